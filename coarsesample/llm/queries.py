@@ -7,8 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from coarsesample.llm import language_id, packing, quality, sharding, token_files
-from coarsesample.runtime import materialize, read_table, scratch_path, ship_package
+from coarsesample.llm import chat, decontaminate, html, language_id, near_text, near_vectors, packing, quality, sharding, token_files
+from coarsesample.runtime import read_table, scratch_path, ship_package
 
 
 def op1_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -24,6 +24,23 @@ def op2_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return placed.select("doc_id", "size", "text_crc32", F.lit("key").alias("law"), "shard", "slot", "grown_shard")
 
 
+def op3_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
+    given = read_table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    said = "</s>[INST] ok [/INST]"
+    own = spark.range(2).select(F.lit(-1).cast("long").alias("conv_id"), F.col("id").alias("turn"), F.when(F.col("id") == 0, "user").otherwise("assistant").alias("role"), F.lit(said).alias("text"))
+    return chat.read_back(chat.format_windows(given.unionByName(own)))
+
+
+def op4_leaks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ship_package(spark)
+    return decontaminate.find_leaks(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "benchmark"))
+
+
+def op5_html(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ship_package(spark)
+    return html.extract(read_table(spark, sf_dir, "pages"))
+
+
 def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     ship_package(spark)
     docs = read_table(spark, sf_dir, "documents")
@@ -33,12 +50,22 @@ def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", kept_out.alias("held_out"), "lang_pred", "score", "rejected")
 
 
+def op7_near_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ship_package(spark)
+    return near_vectors.near_vectors(read_table(spark, sf_dir, "embeddings"))
+
+
 def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     ship_package(spark)
     pieces = packing.pack(read_table(spark, sf_dir, "documents"))
     return pieces.select("doc_id", "start", "length", F.crc32("ids").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset", "padded")
 
 
+def op9_near_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ship_package(spark)
+    return near_text.near_duplicates(read_table(spark, sf_dir, "documents"), width=3, num=85, den=100)
+
+
 def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     ship_package(spark)
     path = scratch_path(spark, "tokens")
@@ -49,8 +76,13 @@ def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_quality": op1_quality,
     "op2_sharding": op2_sharding,
+    "op3_chat": op3_chat,
+    "op4_leaks": op4_leaks,
+    "op5_html": op5_html,
     "op6_language": op6_language,
+    "op7_near_vectors": op7_near_vectors,
     "op8_packing": op8_packing,
+    "op9_near_text": op9_near_text,
     "op10_token_files": op10_token_files,
 }
 
