@@ -101,3 +101,16 @@ def predict_language(docs: DataFrame, dictionaries: dict[str, bytes], narrow: in
             yield pd.DataFrame({key: batch[key], "lang_pred": [f[0] for f in found], "score": [f[1] for f in found], "margin": [f[2] for f in found], "rejected": [f[0] == UNKNOWN or f[2] < narrow for f in found]})
 
     return given.mapInPandas(run, schema)
+
+
+def accepts(dictionaries: dict[str, bytes], narrow: int = 1):
+    """A column function of the text: whether its language can be told. Never null."""
+
+    @F.pandas_udf("boolean")
+    def told(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        model = CompressionClassifier(dictionaries)
+        for texts in batches:
+            found = [model.predict(t) for t in texts]
+            yield pd.Series([f[0] != UNKNOWN and f[2] >= narrow for f in found])
+
+    return told

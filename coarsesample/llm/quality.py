@@ -204,3 +204,15 @@ def score(docs: DataFrame, model: AttentionModel, threshold: float = 0.7, key: s
                 yield pd.DataFrame({key: part[key], "score": found, "predicted": (found >= threshold).astype(np.int32)})
 
     return given.mapInPandas(run, f"{key} {given.schema.fields[0].dataType.simpleString()}, score double, predicted int")
+
+
+def accepts(model: AttentionModel, threshold: float = 0.7):
+    """A column function of the text: whether its score reaches the threshold. Never null."""
+
+    @F.pandas_udf("boolean")
+    def good(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        for texts in batches:
+            parts = [texts.iloc[i : i + 500] for i in range(0, len(texts), 500)]
+            yield pd.Series(np.concatenate([model.scores([encode(t) for t in p]) >= threshold for p in parts]) if parts else np.zeros(0, bool))
+
+    return good
