@@ -10,12 +10,13 @@ from __future__ import annotations
 
 import os
 import re
+import unicodedata
 from array import array
 
-import numpy as np
-
 END_ID = 1
 _ODD = re.compile("[\x1c-\x1f]")
+_SPACE = re.compile(r"\s")
+_CLOSING = ".,!?;:#$%&*|-\"()"
 _SPACED = re.compile(r"\s+(?!\S)| ?\S+|\s")
 
 
@@ -29,39 +30,82 @@ def vocabulary_path(name: str) -> str:
 
 
 class _Pieces(dict):
-    """Piece to its ids as little-endian 32-bit bytes; stops growing at ``limit`` entries."""
+    """Piece to its ids as little-endian 32-bit bytes; stops growing at ``limit`` entries.
 
-    def __init__(self, tokenizer, limit: int):
+    A new piece that is letters and closing punctuation is the ids of both, since every vocabulary
+    here cuts between letters and other signs; so the library sees each stem once.
+    """
+
+    def __init__(self, tokenizer, limit: int, folds: bool):
         super().__init__()
-        self.tokenizer, self.limit = tokenizer, limit
+        self.tokenizer, self.limit, self.folds = tokenizer, limit, folds
+
+    def encode(self, text: str) -> bytes:
+        return array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
 
     def __missing__(self, piece: str) -> bytes:
-        ids = np.array(self.tokenizer.encode(piece, add_special_tokens=False).ids, dtype="<u4").tobytes()
+        stem = piece.rstrip(_CLOSING)
+        if stem and len(stem) < len(piece) and stem.isalpha() and (not self.folds or unicodedata.normalize("NFC", stem).lower().isalpha()):
+            ids = self[stem] + self.tail(piece[len(stem) :])
+        elif self.folds and piece.isascii() and piece != piece.lower():
+            ids = self[piece.lower()]
+        else:
+            ids = self.novel(piece)
         if len(self) < self.limit and len(piece) < 64:
             self[piece] = ids
         return ids
 
+    def tail(self, signs: str) -> bytes:
+        return self[signs]
+
+    def novel(self, piece: str) -> bytes:
+        return self.encode(piece)
+
+
+class _SpacedPieces(_Pieces):
+    """Pieces that follow one space in the text; the space is part of their ids."""
+
+    def __init__(self, tokenizer, limit: int):
+        super().__init__(tokenizer, limit, False)
+        self.bare = _Pieces(tokenizer, 50_000, False)
+
+    def tail(self, signs: str) -> bytes:
+        return self.bare[signs]
+
+    def novel(self, piece: str) -> bytes:
+        if _SPACE.search(piece) or not piece:
+            return self.join(_SPACED.findall(" " + piece))
+        return self.encode(" " + piece)
+
+    def join(self, parts: list[str]) -> bytes:
+        return b"".join(self[p[1:]] if p[0] == " " and len(p) > 1 and not p[1].isspace() else self.bare[p] for p in parts)
+
 
 class PieceEncoder:
     """Encodes texts to ids. ``spaces`` says whether the vocabulary keeps white space (byte level) or drops it."""
 
-    def __init__(self, vocabulary: str, spaces: bool, limit: int = 500_000):
+    def __init__(self, vocabulary: str, spaces: bool, limit: int = 700_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         tokenizer = Tokenizer.from_file(vocabulary_path(vocabulary))
         tokenizer.encode_special_tokens = True
-        self._whole = _Pieces(tokenizer, 0)
-        self._pieces = _Pieces(tokenizer, limit)
-        self._split = _SPACED.findall if spaces else str.split
+        self.spaces = spaces
+        self._pieces = _SpacedPieces(tokenizer, limit) if spaces else _Pieces(tokenizer, limit, True)
 
     def ids_bytes(self, text: str | None) -> bytes:
         """Ids of one text as little-endian unsigned 32-bit integers, without an end id."""
         if not text:
             return b""
+        pieces = self._pieces
         if _ODD.search(text):
-            return self._whole[text]
-        return b"".join(map(self._pieces.__getitem__, self._split(text)))
+            return pieces.encode(text)
+        if not self.spaces:
+            return b"".join(map(pieces.__getitem__, text.split()))
+        first, *rest = text.split(" ")
+        if not first or "" in rest:
+            return pieces.join(_SPACED.findall(text))
+        return pieces.join(_SPACED.findall(first)) + b"".join(map(pieces.__getitem__, rest))
 
 
 END_BYTES = array("I", [END_ID]).tobytes()
