@@ -29,6 +29,17 @@ def vocabulary_path(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def _byte_letters() -> dict[int, str]:
+    """The byte-level alphabet: printable Latin-1 signs stand for themselves, other bytes follow from U+0100."""
+    plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in plain]
+    return {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(rest)}
+
+
+_LETTERS = _byte_letters()
+_LATIN_END = "\u0250"
+
+
 class _Pieces(dict):
     """Piece to its ids as little-endian 32-bit bytes; stops growing at ``limit`` entries.
 
@@ -38,11 +49,18 @@ class _Pieces(dict):
 
     def __init__(self, tokenizer, limit: int, folds: bool):
         super().__init__()
-        self.tokenizer, self.limit, self.folds = tokenizer, limit, folds
+        self.tokenizer, self.limit, self.folds, self.model = tokenizer, limit, folds, tokenizer.model
 
     def encode(self, text: str) -> bytes:
         return array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
 
+    def letters(self, word: str, before: str = "") -> bytes:
+        """Ids of a word of Latin letters: one pre-token, so the vocabulary's model takes it as it is."""
+        if self.folds:
+            word = word.lower()
+        mapped = (before + word).encode().decode("latin-1").translate(_LETTERS)
+        return array("I", [t.id for t in self.model.tokenize(mapped)]).tobytes()
+
     def __missing__(self, piece: str) -> bytes:
         stem = piece.rstrip(_CLOSING)
         if stem and len(stem) < len(piece) and stem.isalpha() and (not self.folds or unicodedata.normalize("NFC", stem).lower().isalpha()):
@@ -59,6 +77,8 @@ class _Pieces(dict):
         return self[signs]
 
     def novel(self, piece: str) -> bytes:
+        if piece.isalpha() and max(piece) < _LATIN_END and (not self.folds or piece.lower().isalpha()):
+            return self.letters(piece)
         return self.encode(piece)
 
 
@@ -73,6 +93,8 @@ class _SpacedPieces(_Pieces):
         return self.bare[signs]
 
     def novel(self, piece: str) -> bytes:
+        if piece.isalpha() and max(piece) < _LATIN_END:
+            return self.letters(piece, " ")
         if _SPACE.search(piece) or not piece:
             return self.join(_SPACED.findall(" " + piece))
         return self.encode(" " + piece)
