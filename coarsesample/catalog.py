@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from coarsesample.plans import registry_ops, registry_pick, registry_stats, registry_work
+from coarsesample.plans.registry import ORACLE_SQL, QUERIES
 
-QUERIES: dict[str, Callable] = {}
-ORACLE_SQL: dict[str, str] = {}
+__all__ = ["ORACLE_SQL", "QUERIES", "registry_ops", "registry_pick", "registry_stats", "registry_work"]

@@ -130,7 +130,7 @@ def cluster_sample(parts: np.ndarray, x: np.ndarray, n: int, algo: str = "kmeans
         else:
             far = (parts[own] * 7919 + seed * 104729) % 10007
         best = own[np.lexsort((parts[own], far))][: reads[j]]
-        out += [(int(parts[i]), sizes[j] / reads[j], j) for i in best]
+        out += [(int(parts[i]), float(sizes[j] / reads[j]), int(j)) for i in best]
     return out
 
 

@@ -110,6 +110,11 @@ class FeatureSchema:
         return np.array([k == "selectivity" or (c in q.group_by if s.startswith("bit") else c in cols) for c, s, k in zip(self.cols, self.stats, self.kinds, strict=True)], float)
 
 
+def _holds(col: str, item: str) -> F.Column:
+    """Whether an item is in a partition's own dictionary."""
+    return F.exists(f"{col}__hh", lambda h: h["value"] == item)
+
+
 def static_features(stats: DataFrame, cfg: TableConfig, items: dict[str, list[str]]) -> DataFrame:
     """The unmasked features but for selectivity, as an array per partition; a projection without shuffle."""
     schema = FeatureSchema.of(cfg)
@@ -121,7 +126,7 @@ def static_features(stats: DataFrame, cfg: TableConfig, items: dict[str, list[st
             e = F.sqrt(F.greatest(F.col(f"{c}__mean_sq") - F.col(f"{c}__mean") * F.col(f"{c}__mean"), F.lit(0.0)))
         elif s.startswith("bit"):
             i = int(s[3:])
-            e = F.exists(f"{c}__hh", lambda h, i=i, c=c: h["value"] == items[c][i]).cast("double") if i < len(items[c]) else F.lit(0.0)
+            e = _holds(c, items[c][i]).cast("double") if i < len(items[c]) else F.lit(0.0)
         elif s.startswith("hh_"):
             n = F.size(f"{c}__hh")
             total = F.aggregate(f"{c}__hh", F.lit(0.0), lambda acc, h: acc + h["n"])
@@ -134,7 +139,7 @@ def static_features(stats: DataFrame, cfg: TableConfig, items: dict[str, list[st
 
 def bitmap(stats: DataFrame, col: str, items: list[str]) -> DataFrame:
     """part_id and the packed bits of one grouping column."""
-    bits = [F.exists(f"{col}__hh", lambda h, v=v: h["value"] == v).cast("long") * (1 << i) for i, v in enumerate(items)]
+    bits = [_holds(col, v).cast("long") * (1 << i) for i, v in enumerate(items)]
     total = bits[0]
     for b in bits[1:]:
         total = total + b

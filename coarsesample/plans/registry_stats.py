@@ -138,7 +138,7 @@ def m1_global_hh(spark: SparkSession, d: str) -> DataFrame:
 @register(
     "m1_sketch_bytes",
     f"""WITH {LINES}, vc AS ({counts_sql(['l_quantity'], 'DOUBLE')}), parts AS (SELECT count(DISTINCT part_id) AS p FROM li),
- kv AS (SELECT part_id, {HASH.format("CASE WHEN value = floor(value) THEN CAST(CAST(value AS BIGINT) AS VARCHAR) || '.0' ELSE CAST(value AS VARCHAR) END")} AS h FROM vc GROUP BY ALL QUALIFY row_number() OVER (PARTITION BY part_id ORDER BY h) <= 128),
+ hv AS (SELECT DISTINCT part_id, {HASH.format("CASE WHEN value = floor(value) THEN CAST(CAST(value AS BIGINT) AS VARCHAR) || '.0' ELSE CAST(value AS VARCHAR) END")} AS h FROM vc), kv AS (SELECT part_id, h FROM hv QUALIFY row_number() OVER (PARTITION BY part_id ORDER BY h) <= 128),
  hh AS (SELECT part_id, n, value FROM vc QUALIFY n >= 0.01 * sum(n) OVER (PARTITION BY part_id))
  SELECT 'measures' AS kind, CAST(64 AS DOUBLE) AS bytes_per_part UNION ALL SELECT 'histogram', round((SELECT count(*) FROM ({histogram_sql('vc')})) * 32.0 / p, 4) FROM parts
  UNION ALL SELECT 'distinct', round((SELECT count(*) FROM kv) * 12.0 / p, 4) FROM parts UNION ALL SELECT 'heavy_hitters', round((SELECT sum(length(CASE WHEN value = floor(value) THEN CAST(CAST(value AS BIGINT) AS VARCHAR) || '.0' ELSE CAST(value AS VARCHAR) END) + 4) FROM hh) * 1.0 / p, 4) FROM parts""",
