@@ -8,7 +8,8 @@ Candidates come from inverted lists of retained values in two steps:
    That is linear in a list's length and joins groups of near copies.
 2. For what is not yet joined, each document enters the lists of its rarest retained values, as many
    as a pair at the threshold must share one of (prefix filter over the sketch). Only lists that
-   hold more than one component give pairs, and only pairs between components.
+   hold more than one component count, and only pairs between components. Short lists give pairs;
+   members of long ones are compared inside tasks, block against block.
 
 The sketch of the union estimates the similarity and drops pairs that are clearly below; the exact
 Jaccard on full shingle sets, rebuilt from the whole texts, decides. The union of all links gives
@@ -31,7 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from coarsesample.llm.components import connected_components
+from coarsesample.llm.components import connected_components, local_roots
 from coarsesample.runtime import materialize
 
 _U = np.uint64
@@ -90,8 +91,8 @@ def sketches(docs: DataFrame, width: int, k: int, key: str = "doc_id", text: str
             sets = [shingle_set(t, width) for t in batch["text"]]
             yield pd.DataFrame({"doc_id": batch["doc_id"], "n_shingles": [len(s) for s in sets], "fingerprint": [hashlib.md5(s.tobytes()).digest() for s in sets], "sketch": [_signed(s[:k]) for s in sets]})
 
-    given = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("text"))
-    return given.mapInPandas(run, "doc_id long, n_shingles long, fingerprint binary, sketch array<long>")
+    given = docs.select(F.col(key).cast("string").alias("doc_id"), F.col(text).alias("text"))
+    return given.mapInPandas(run, "doc_id string, n_shingles long, fingerprint binary, sketch array<long>").withColumn("doc_id", F.col("doc_id").cast("long"))
 
 
 def prefix_length(threshold: float, k: int) -> int:
@@ -114,7 +115,7 @@ def _confirm(pairs: DataFrame, reps: DataFrame, docs: DataFrame, width: int, num
     held = held.withColumn("u", union).withColumn("shared", F.size(F.array_intersect(F.array_intersect("u", "sa"), "sb")) / F.size("u"))
     slack = F.lit(4.5 * math.sqrt(threshold * (1 - threshold))) / F.sqrt(F.size("u"))
     likely = materialize(held.where(F.col("shared") >= F.lit(threshold) - slack).select("a", "b"), f"likely-{tag}")
-    wanted = likely.select(F.col("a").alias("doc_id")).unionByName(likely.select(F.col("b").alias("doc_id"))).distinct()
+    wanted = materialize(likely.select(F.col("a").alias("doc_id")).unionByName(likely.select(F.col("b").alias("doc_id"))).distinct(), f"wanted-{tag}")
     texts = docs.join(wanted, "doc_id", "left_semi").dropDuplicates(["doc_id"])
     both = likely.join(texts.select(F.col("doc_id").alias("a"), F.col("text").alias("ta")), "a").join(texts.select(F.col("doc_id").alias("b"), F.col("text").alias("tb")), "b")
 
@@ -138,7 +139,56 @@ def _confirm(pairs: DataFrame, reps: DataFrame, docs: DataFrame, width: int, num
     return materialize(both.mapInPandas(run, "u long, v long"), f"links-{tag}")
 
 
-def near_duplicates(docs: DataFrame, width: int = 5, num: int = 80, den: int = 100, k: int = 64, first_keys: int = 10, key: str = "doc_id", text: str = "text") -> DataFrame:
+def _long_lists(lists: DataFrame, docs: DataFrame, width: int, num: int, den: int, block: int = 512) -> DataFrame:
+    """Links between components inside lists of many members, without listing pairs.
+
+    Clouds of near copies fill many long lists with the same members. Members that long lists tie
+    together form a group; a group is dealt to blocks by a hash, and each pair of blocks is one task
+    that counts shared shingles by a matrix product and gives back a spanning forest.
+    """
+    ties = lists.where("doc_id <> head").select(F.col("doc_id").alias("u"), F.col("head").alias("v")).distinct()
+    groups = connected_components(ties).withColumnRenamed("node", "doc_id").withColumnRenamed("component", "bunch")
+    sizes = groups.groupBy("bunch").agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("blocks"))
+    members = lists.groupBy("doc_id").agg(F.min("component").alias("component")).join(groups, "doc_id").join(sizes, "bunch")
+    members = materialize(members.withColumn("own", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int")), "bunches")
+    texts = docs.join(members, "doc_id").dropDuplicates(["doc_id"])
+    dealt = texts.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = dealt.withColumn("low", F.least("own", "other")).withColumn("high", F.greatest("own", "other"))
+
+    def run(group: pd.DataFrame) -> pd.DataFrame:
+        empty = pd.DataFrame({"u": [], "v": []}, dtype="int64")
+        if group["component"].nunique() < 2:
+            return empty
+        group = group.sort_values("doc_id")
+        ids, comp, own = group["doc_id"].to_numpy(np.int64), group["component"].to_numpy(np.int64), group["own"].to_numpy()
+        sets = [shingle_set(t, width) for t in group["text"]]
+        n = np.array([len(s) for s in sets], np.int64)
+        _, where, count = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+        row = np.repeat(np.arange(len(ids)), n)
+        seat = np.cumsum(count > 1) - 1
+        held = count[where] > 1
+        row, col = row[held], seat[where[held]]
+        order = np.argsort(col, kind="stable")
+        row, col = row[order], col[order]
+        shared = np.zeros((len(ids), len(ids)), np.float32)
+        for at in range(0, int(seat[-1]) + 1 if len(seat) else 0, 4096):
+            a, b = np.searchsorted(col, [at, at + 4096])
+            part = np.zeros((len(ids), 4096), np.float32)
+            part[row[a:b], col[a:b] - at] = 1
+            shared += part @ part.T
+        linked = shared * den >= (n[:, None] + n[None] - shared) * num
+        linked &= comp[:, None] != comp[None]
+        if group["low"].iloc[0] != group["high"].iloc[0]:
+            linked &= own[:, None] != own[None]
+        i, j = np.nonzero(linked)
+        root = local_roots(len(ids), i, j)
+        tied = root != np.arange(len(ids))
+        return pd.DataFrame({"u": ids[tied], "v": ids[root[tied]]})
+
+    return materialize(dealt.select("bunch", "low", "high", "own", "doc_id", "component", "text").groupBy("bunch", "low", "high").applyInPandas(run, "u long, v long"), "links-long")
+
+
+def near_duplicates(docs: DataFrame, width: int = 5, num: int = 80, den: int = 100, k: int = 64, first_keys: int = 10, short_list: int = 32, key: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id, n_shingles, component_id, kept for every row; links where den * shared >= num * union."""
     given = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("text"))
     sets = materialize(sketches(given, width, k), "sketches")
@@ -167,12 +217,13 @@ def near_duplicates(docs: DataFrame, width: int = 5, num: int = 80, den: int = 1
     entered = rare.select("doc_id", "n_shingles", F.explode(F.slice("found", F.lit(1), F.greatest(longest - alone, F.lit(0)).cast("int"))).alias("at"))
     entered = entered.join(joined.withColumnRenamed("node", "doc_id"), "doc_id", "left").select(F.col("at.value").alias("value"), "doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component"))
     entered = materialize(entered, "entered")
-    mixed = entered.groupBy("value").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("value")
-    lists = entered.join(mixed, "value")
-    other = lists.select("value", F.col("doc_id").alias("b"), F.col("n_shingles").alias("nb"), F.col("component").alias("cb"))
-    met = lists.select("value", F.col("doc_id").alias("a"), F.col("n_shingles").alias("na"), F.col("component").alias("ca")).join(other, "value")
+    whole_lists = entered.groupBy("value").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.min("doc_id").alias("head"), F.count(F.lit(1)).alias("n")).where("low < high")
+    lists = materialize(entered.join(whole_lists.select("value", "head", "n"), "value"), "lists")
+    short = lists.where(F.col("n") <= short_list)
+    other = short.select("value", F.col("doc_id").alias("b"), F.col("n_shingles").alias("nb"), F.col("component").alias("cb"))
+    met = short.select("value", F.col("doc_id").alias("a"), F.col("n_shingles").alias("na"), F.col("component").alias("ca")).join(other, "value")
     rest = met.where((F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & _sizes_fit(F.col("na"), F.col("nb"), num, den)).select("a", "b").distinct()
-    more = _confirm(rest, reps, given, width, num, den, k, "rare")
+    more = _confirm(rest, reps, given, width, num, den, k, "rare").unionByName(_long_lists(lists.where(F.col("n") > short_list), given, width, num, den))
     bridged = more.join(joined.select(F.col("node").alias("u"), F.col("component").alias("cu")), "u", "left").join(joined.select(F.col("node").alias("v"), F.col("component").alias("cv")), "v", "left")
     bridges = bridged.select(F.coalesce("cu", "u").alias("u"), F.coalesce("cv", "v").alias("v"))
     merged = connected_components(bridges)

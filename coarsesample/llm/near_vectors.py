@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from coarsesample.llm.components import connected_components
+from coarsesample.llm.components import connected_components, local_roots
 from coarsesample.runtime import materialize
 
 BITS = 60
@@ -44,19 +44,6 @@ def _units(rows: pd.Series) -> np.ndarray:
     return v / np.linalg.norm(v, axis=1)[:, None]
 
 
-def _roots(n: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:
-    """Smallest place that each of n places reaches over the links i to j."""
-    root = np.arange(n)
-    while True:
-        before = root.copy()
-        least = np.minimum(root[i], root[j])
-        np.minimum.at(root, i, least)
-        np.minimum.at(root, j, least)
-        root = root[root]
-        if (root == before).all():
-            return root
-
-
 def _hash_pass(seed: int, turn: int):
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
@@ -111,14 +98,14 @@ def _compare_pass(threshold: float, block: int):
             np.add.at(a["links"], i[fresh], b["copies"][j[fresh]])
             np.add.at(b["links"], j[fresh], a["copies"][i[fresh]])
             if same:
-                root = _roots(len(a["id"]), i, j)
+                root = local_roots(len(a["id"]), i, j)
                 tied = root != np.arange(len(root))
                 for x in np.flatnonzero(tied):
                     a["ties"][x].append(int(a["id"][root[x]]))
             else:
                 n = len(a["id"])
                 ids = np.concatenate([a["id"], b["id"]])
-                root = _roots(n + len(b["id"]), i, j + n)
+                root = local_roots(n + len(b["id"]), i, j + n)
                 for x in np.flatnonzero(root != np.arange(len(root))):
                     (a["ties"][x] if x < n else b["ties"][x - n]).append(int(ids[root[x]]))
 
