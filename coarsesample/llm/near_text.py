@@ -32,6 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from coarsesample.llm import worker
 from coarsesample.llm.components import connected_components, local_roots
 from coarsesample.runtime import materialize
 
@@ -66,7 +67,8 @@ def shingle_set(text: str | None, width: int) -> np.ndarray:
     words = (text or "").encode("utf-8", "surrogatepass").lower().split()
     if not words:
         return np.zeros(0, _U)
-    if len(_known) > 1_000_000:
+    worker.claim("near_text", _known.clear)
+    if len(_known) > 300_000:
         _known.clear()
     h = np.fromiter(map(_known.__getitem__, words), _U, len(words))
     n = max(1, len(h) - width + 1)
@@ -87,7 +89,7 @@ def sketches(docs: DataFrame, width: int, k: int, key: str = "doc_id", text: str
     """doc_id, n_shingles, fingerprint of the whole set, sketch (ascending)."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for batch in batches:
+        for batch in (whole.iloc[at : at + 500] for whole in batches for at in range(0, len(whole), 500)):
             sets = [shingle_set(t, width) for t in batch["text"]]
             yield pd.DataFrame({"doc_id": batch["doc_id"], "n_shingles": [len(s) for s in sets], "fingerprint": [hashlib.md5(s.tobytes()).digest() for s in sets], "sketch": [_signed(s[:k]) for s in sets]})
 
@@ -120,7 +122,7 @@ def _confirm(pairs: DataFrame, reps: DataFrame, docs: DataFrame, width: int, num
     both = likely.join(texts.select(F.col("doc_id").alias("a"), F.col("text").alias("ta")), "a").join(texts.select(F.col("doc_id").alias("b"), F.col("text").alias("tb")), "b")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for batch in batches:
+        for batch in (whole.iloc[at : at + 1000] for whole in batches for at in range(0, len(whole), 1000)):
             made: dict = {}
             found = []
             for a, b, ta, tb in batch[["a", "b", "ta", "tb"]].itertuples(index=False):

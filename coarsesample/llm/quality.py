@@ -23,6 +23,8 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from coarsesample.llm import worker
+
 PASSAGE = 64
 _LETTERS = re.compile(r"[^\W\d_]")
 _SYMBOLS = re.compile(r"[^\w\s.,;:'\"()?-]")
@@ -55,7 +57,7 @@ def word_features(word: str) -> list[float]:
 class _Words(dict):
     """Word to its row in a growing feature table; emptied when full."""
 
-    def __init__(self, limit: int = 300_000):
+    def __init__(self, limit: int = 200_000):
         super().__init__()
         self.limit = limit
         self.table = np.zeros((limit + 4096, len(WORD_FEATURES)), np.float32)
@@ -78,6 +80,7 @@ _words: list[_Words] = []
 
 def encode(text: str | None) -> np.ndarray:
     """Passages by features."""
+    worker.claim("quality", _words.clear)
     if not _words:
         _words.append(_Words())
     known = _words[0]
@@ -194,7 +197,8 @@ def train(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "
 
 def score(docs: DataFrame, model: AttentionModel, threshold: float = 0.7, key: str = "doc_id", text: str = "text") -> DataFrame:
     """key, score, predicted for every document."""
-    given = docs.select(F.col(key), F.col(text).alias("text"))
+    kind = docs.schema[key].dataType
+    given = docs.select(F.col(key).cast("string").alias(key), F.col(text).alias("text"))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
@@ -203,7 +207,7 @@ def score(docs: DataFrame, model: AttentionModel, threshold: float = 0.7, key: s
                 found = model.scores([encode(t) for t in part["text"]])
                 yield pd.DataFrame({key: part[key], "score": found, "predicted": (found >= threshold).astype(np.int32)})
 
-    return given.mapInPandas(run, f"{key} {given.schema.fields[0].dataType.simpleString()}, score double, predicted int")
+    return given.mapInPandas(run, f"`{key}` string, score double, predicted int").withColumn(key, F.col(key).cast(kind))
 
 
 def accepts(model: AttentionModel, threshold: float = 0.7):

@@ -13,6 +13,8 @@ import re
 import unicodedata
 from array import array
 
+from coarsesample.llm import worker
+
 END_ID = 1
 _ODD = re.compile("[\x1c-\x1f]")
 _SPACE = re.compile(r"\s")
@@ -136,6 +138,7 @@ _encoders: dict[tuple, PieceEncoder] = {}
 
 def encoder(vocabulary: str, spaces: bool) -> PieceEncoder:
     """The worker's encoder for a vocabulary; it lives as long as the Python worker."""
+    worker.claim("tokens", _encoders.clear)
     key = (vocabulary, spaces)
     if key not in _encoders:
         _encoders[key] = PieceEncoder(vocabulary, spaces)
