@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 
 from coarsesample.llm import worker
 from coarsesample.llm.components import connected_components, local_roots
-from coarsesample.runtime import materialize
+from coarsesample.runtime import broadcast_if_small, materialize
 
 _U = np.uint64
 _MIX = (_U(0x9E3779B97F4A7C15), _U(0xBF58476D1CE4E5B9), _U(0x94D049BB133111EB))
@@ -118,7 +118,7 @@ def _confirm(pairs: DataFrame, reps: DataFrame, docs: DataFrame, width: int, num
     slack = F.lit(4.5 * math.sqrt(threshold * (1 - threshold))) / F.sqrt(F.size("u"))
     likely = materialize(held.where(F.col("shared") >= F.lit(threshold) - slack).select("a", "b"), f"likely-{tag}")
     wanted = materialize(likely.select(F.col("a").alias("doc_id")).unionByName(likely.select(F.col("b").alias("doc_id"))).distinct(), f"wanted-{tag}")
-    texts = docs.join(wanted, "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    texts = docs.join(broadcast_if_small(wanted), "doc_id", "left_semi").dropDuplicates(["doc_id"])
     both = likely.join(texts.select(F.col("doc_id").alias("a"), F.col("text").alias("ta")), "a").join(texts.select(F.col("doc_id").alias("b"), F.col("text").alias("tb")), "b")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -153,7 +153,7 @@ def _long_lists(lists: DataFrame, docs: DataFrame, width: int, num: int, den: in
     sizes = groups.groupBy("bunch").agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("blocks"))
     members = lists.groupBy("doc_id").agg(F.min("component").alias("component")).join(groups, "doc_id").join(sizes, "bunch")
     members = materialize(members.withColumn("own", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int")), "bunches")
-    texts = docs.join(members, "doc_id").dropDuplicates(["doc_id"])
+    texts = docs.join(broadcast_if_small(members), "doc_id").dropDuplicates(["doc_id"])
     dealt = texts.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     dealt = dealt.withColumn("low", F.least("own", "other")).withColumn("high", F.greatest("own", "other"))
 
