@@ -173,7 +173,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.65, l
     items = benchmark.select(F.col(item).cast("long").alias("i"), F.coalesce(F.col("text"), F.lit("")).alias("t"))
     total = items.agg(F.sum(F.length("t"))).first()[0] or 0
     slices = max(1, math.ceil(total / slice_chars))
-    given = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("text"))
+    given = docs.select(F.col(key).cast("string").alias("doc_id"), F.col(text).alias("text"))
     out = None
     df: Counter = Counter()
     n = 0
@@ -185,9 +185,9 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.65, l
                 n += 1
     for part in parts:
         held = sorted((-1 if r["i"] is None else r["i"], r["t"]) for r in part.collect())
-        found = given.mapInPandas(_search(held, threshold, least, {t: df[t] for _, x in held for t in words_of(x)} if slices > 1 else None, n or None), "doc_id long, item_id long, score double, question_overlap double, answer_overlap double, first_word long")
+        found = given.mapInPandas(_search(held, threshold, least, {t: df[t] for _, x in held for t in words_of(x)} if slices > 1 else None, n or None), "doc_id string, item_id long, score double, question_overlap double, answer_overlap double, first_word long")
         out = found if out is None else out.unionByName(found)
-    return out
+    return out.withColumn("doc_id", F.col("doc_id").cast("long"))
 
 
 def _search(items: list[tuple[int, str]], threshold: float, least: float, df: dict | None, n: int | None):

@@ -91,8 +91,9 @@ class CompressionClassifier:
 
 def predict_language(docs: DataFrame, dictionaries: dict[str, bytes], narrow: int = 1, key: str = "doc_id", text: str = "text") -> DataFrame:
     """key, lang_pred, score, margin, rejected for each row."""
-    given = docs.select(F.col(key), F.col(text).alias("text"))
-    schema = f"{given.schema.fields[0].name} {given.schema.fields[0].dataType.simpleString()}, lang_pred string, score double, margin long, rejected boolean"
+    kind = docs.schema[key].dataType
+    given = docs.select(F.col(key).cast("string").alias(key), F.col(text).alias("text"))
+    schema = f"`{key}` string, lang_pred string, score double, margin long, rejected boolean"
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         model = CompressionClassifier(dictionaries)
@@ -100,7 +101,7 @@ def predict_language(docs: DataFrame, dictionaries: dict[str, bytes], narrow: in
             found = [model.predict(t) for t in batch["text"]]
             yield pd.DataFrame({key: batch[key], "lang_pred": [f[0] for f in found], "score": [f[1] for f in found], "margin": [f[2] for f in found], "rejected": [f[0] == UNKNOWN or f[2] < narrow for f in found]})
 
-    return given.mapInPandas(run, schema)
+    return given.mapInPandas(run, schema).withColumn(key, F.col(key).cast(kind))
 
 
 def accepts(dictionaries: dict[str, bytes], narrow: int = 1):

@@ -140,11 +140,11 @@ def pack(docs: DataFrame, vocabulary: str = "byte_bpe_50k.json", spaces: bool =
     held = docs.select(F.col(key).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
     total = held.agg(F.sum(F.octet_length("text") + F.lit(64)).alias("bytes")).first()["bytes"] or 0
     shards = max(1, math.ceil(total / shard_bytes))
-    dealt = held.withColumn("shard", F.pmod(F.xxhash64("doc_id", F.crc32(F.col("text").cast("binary"))), F.lit(shards)).cast("int"))
+    dealt = held.withColumn("doc_id", F.col("doc_id").cast("string")).withColumn("shard", F.pmod(F.xxhash64("doc_id", F.crc32(F.col("text").cast("binary"))), F.lit(shards)).cast("int"))
 
     def run(group: pd.DataFrame) -> pd.DataFrame:
         coder = encoder(vocabulary, spaces)
-        group = group.sort_values(["doc_id", "text"], kind="stable", na_position="first")
+        group = group.assign(at=[-(1 << 63) if pd.isna(k) else int(k) for k in group["doc_id"]]).sort_values(["at", "text"], kind="stable")
         ids = [np.frombuffer(coder.ids_bytes(t) + END_BYTES, "<u4") for t in group["text"]]
         keys = [None if pd.isna(k) else int(k) for k in group["doc_id"]]
         return pack_shard(int(group["shard"].iloc[0]), keys, ids, budget)

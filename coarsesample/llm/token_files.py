@@ -128,7 +128,7 @@ def write_token_files(docs: DataFrame, path: str, vocabulary: str = "word_bpe_49
         .repartitionByRange(F.col("doc_id").asc_nulls_first())
         .sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
     )
-    ordered.mapInPandas(_blocks(vocabulary, spaces, block_tokens), BLOCK_SCHEMA).write.parquet(path)
+    ordered.select(F.col("doc_id").cast("string").alias("doc_id"), "text").mapInPandas(_blocks(vocabulary, spaces, block_tokens), BLOCK_SCHEMA).write.parquet(path)
 
 
 def shard_bases(spark: SparkSession, path: str) -> DataFrame:
