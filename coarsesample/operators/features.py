@@ -147,21 +147,26 @@ def bitmap(stats: DataFrame, col: str, items: list[str]) -> DataFrame:
 
 
 class Normalizer:
-    """Signed log, then zero mean and unit spread on training features; bits and selectivities stay as they are."""
+    """Features relative to their training average, on a signed log scale; bits and selectivities stay as they are.
+
+    A feature counts by its relative variation: one that only wobbles by sampling noise stays small,
+    and one whose spread exceeds one is shrunk to it, so none dominates.
+    """
 
     def __init__(self, schema: FeatureSchema):
         self.as_is = np.array([k == "selectivity" or s.startswith("bit") for k, s in zip(schema.kinds, schema.stats, strict=True)])
-        self.mean, self.std = np.zeros(len(schema)), np.ones(len(schema))
+        self.scale, self.mean, self.std = np.ones(len(schema)), np.zeros(len(schema)), np.ones(len(schema))
 
     def _shrunk(self, x: np.ndarray) -> np.ndarray:
-        return np.where(self.as_is, x, np.sign(x) * np.log1p(np.abs(x)))
+        return np.where(self.as_is, x, np.sign(x) * np.log1p(np.abs(x) / self.scale))
 
     def fit(self, x: np.ndarray) -> Normalizer:
+        average = np.abs(x).mean(0)
+        self.scale = np.where(average > 1e-12, average, 1.0)
         y = self._shrunk(x)
         self.mean = np.where(self.as_is, 0, y.mean(0))
-        self.std = np.where(self.as_is, 1, y.std(0))
+        self.std = np.where(self.as_is, 1, np.maximum(1.0, y.std(0)))
         return self
 
     def transform(self, x: np.ndarray) -> np.ndarray:
-        safe = np.where(self.std > 1e-12, self.std, 1)
-        return np.where(self.std > 1e-12, (self._shrunk(x) - self.mean) / safe, 0.0)
+        return (self._shrunk(x) - self.mean) / self.std

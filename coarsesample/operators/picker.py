@@ -77,6 +77,15 @@ def importance_levels(scores: list[np.ndarray]) -> np.ndarray:
     return level
 
 
+def merge_levels(level: np.ndarray, most: int) -> np.ndarray:
+    """Levels renumbered without gaps, the least important ones united until at most ``most`` are left.
+
+    A level without a read would be missing from the answer, so a small budget needs few levels.
+    """
+    kept, out = np.unique(level, return_inverse=True)
+    return np.maximum(out - max(0, len(kept) - most), 0)
+
+
 @dataclass
 class Candidates:
     """What the picker knows of a query's partitions, on the driver: ids, features, outlier key, selectivities."""
@@ -129,6 +138,7 @@ def select_full(
         alive = np.array([i for i in alive if c.keys[i] not in chosen], int)
     left = n - len(out)
     level = importance_levels([m(c.raw[alive]) for m in models]) if use_models and models else np.zeros(len(alive), int)
+    level = merge_levels(level, max(1, left // 3))
     top = int(level.max()) + 1 if len(level) else 1
     reads = allocate([int((level == j).sum()) for j in range(top)], left, alpha)
     fallback = near_unique or (len(alive) and float(np.median(c.indep[alive])) < 0.01)

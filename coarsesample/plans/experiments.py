@@ -37,7 +37,7 @@ def n_parts_of(sf_dir: str, name: str) -> int:
     return {"lineitem": 200 if big else 100, "orders": 100, "events": 100, "documents": 50, "embeddings": 25}[name] if "0.001" not in sf_dir else {"lineitem": 50, "orders": 30, "events": 20, "documents": 20, "embeddings": 10}[name]
 
 
-def trained(spark: SparkSession, sf_dir: str, name: str, layout: str, n_parts: int | None = None, n_train: int = 24, n_test: int = 12) -> tuple:
+def trained(spark: SparkSession, sf_dir: str, name: str, layout: str, n_parts: int | None = None, n_train: int = 60, n_test: int = 20) -> tuple:
     """Prepared view with models, test queries, their answers and selectivities; kept for the session."""
     n_parts = n_parts or n_parts_of(sf_dir, name)
     key = (spark.sparkContext.applicationId, sf_dir, name, layout, n_parts, n_train, n_test)
@@ -49,6 +49,8 @@ def trained(spark: SparkSession, sf_dir: str, name: str, layout: str, n_parts: i
         sels = p.selectivities(both)
         train = [i for i in range(n_train) if answers[i].n_groups]
         p.fit([both[i] for i in train], [answers[i] for i in train], [sels[i] for i in train])
+        some = train[:24]
+        p.keep = select_features(p, [both[i] for i in some], [answers[i] for i in some], [sels[i] for i in some], restarts=1)[0]
         rest = [i for i in range(n_train, len(both)) if answers[i].n_groups]
         _held[key] = (p, [both[i] for i in rest], [answers[i] for i in rest], [sels[i] for i in rest], ([both[i] for i in train], [answers[i] for i in train], [sels[i] for i in train]))
     return _held[key]
@@ -64,7 +66,7 @@ def pick(p: Prepared, method: str, q, sel: np.ndarray, n: int, seed: int) -> lis
     if method == "strata":
         score = p.scorer(p.raw(q, sel))[sel[:, 0] > 0]
         return baselines.strata_rows(alive, score, min(n, len(alive)), 5, seed)
-    return select_full(p.candidates(q, sel), n, p.models, seed=seed, keep=p.keep, **FLAGS[method])
+    return select_full(p.candidates(q, sel), n, p.models, seed=seed, **FLAGS[method])
 
 
 def curves(p: Prepared, queries, answers, sels, methods, budgets=BUDGETS, seeds: int = 5) -> list[tuple]:
@@ -138,11 +140,12 @@ def feature_kinds(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def feature_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Clustering error with each kind left out, and with selected features."""
-    p, q, a, s, train = trained(spark, sf_dir, "events", "user")
+    p, q, a, s, _ = trained(spark, sf_dir, "events", "user")
     n = max(1, round(0.1 * len(p.parts)))
-    kept, trace = select_features(p, *(x[:6] for x in train), restarts=1)
+    kept, p.keep = p.keep, None
     sets = {"all": np.ones(len(p.schema), bool), "selected": kept} | {f"no_{k}": np.array([x != k for x in p.schema.kinds]) for k in ("measure", "heavy_hitter", "distinct", "selectivity")}
     rows = [(name, float(np.mean([y.errors(select_full(p.candidates(x, z), n, p.models, keep=cols))["rel"] for x, y, z in zip(q, a, s, strict=True)])), int(cols.sum())) for name, cols in sets.items()]
+    p.keep = kept
     return frame(spark, rows, "features string, rel_error double, dimensions int")
 
 

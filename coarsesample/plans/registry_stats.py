@@ -197,10 +197,12 @@ def m2_masked(spark: SparkSession, d: str) -> DataFrame:
     return rounded(f.select("part_id", *[(F.col("f")[i] * F.lit(float(used[i]))).alias(n) for n, i in cols.items()]))
 
 
-@register("m2_normalized", f"WITH {LINES}, m AS (SELECT part_id, ln(1 + avg(l_extendedprice)) AS x FROM li GROUP BY part_id) SELECT part_id, round((x - avg(x) OVER ()) / stddev_pop(x) OVER (), 4) + 0.0 AS z FROM m")
+@register("m2_normalized", f"WITH {LINES}, m AS (SELECT part_id, sum(l_extendedprice) AS x FROM li GROUP BY part_id), y AS (SELECT part_id, ln(1 + x / avg(x) OVER ()) AS y FROM m) SELECT part_id, round((y - avg(y) OVER ()) / greatest(1, stddev_pop(y) OVER ()), 6) + 0.0 AS z FROM y")
 def m2_normalized(spark: SparkSession, d: str) -> DataFrame:
-    m = lines(spark, d).groupBy("part_id").agg(F.log1p(F.avg("l_extendedprice")).alias("x"))
-    return rounded(m.crossJoin(F.broadcast(m.agg(F.avg("x").alias("a"), F.stddev_pop("x").alias("s")))).select("part_id", ((F.col("x") - F.col("a")) / F.col("s")).alias("z")))
+    m = lines(spark, d).groupBy("part_id").agg(F.sum("l_extendedprice").alias("x"))
+    y = m.crossJoin(F.broadcast(m.agg(F.avg("x").alias("a")))).select("part_id", F.log1p(F.col("x") / F.col("a")).alias("y"))
+    spread = y.agg(F.avg("y").alias("a"), F.greatest(F.lit(1.0), F.stddev_pop("y")).alias("s"))
+    return rounded(y.crossJoin(F.broadcast(spread)).select("part_id", ((F.col("y") - F.col("a")) / F.col("s")).alias("z")), 6)
 
 
 @register("m2_assembled")

@@ -28,8 +28,8 @@ from coarsesample.runtime import materialize
 class BoostedTrees:
     """Least-squares gradient boosting over binned features; gain by feature is kept."""
 
-    def __init__(self, trees: int = 20, depth: int = 3, rate: float = 0.3, bins: int = 32):
-        self.trees, self.depth, self.rate, self.bins = trees, depth, rate, bins
+    def __init__(self, trees: int = 20, depth: int = 3, rate: float = 0.3, bins: int = 32, ridge: float = 5.0):
+        self.trees, self.depth, self.rate, self.bins, self.ridge = trees, depth, rate, bins, ridge
 
     def fit(self, x: np.ndarray, y: np.ndarray, weight: np.ndarray) -> BoostedTrees:
         self.edges = [np.unique(np.quantile(c, np.linspace(0, 1, self.bins + 1)[1:-1])) for c in x.T]
@@ -49,14 +49,14 @@ class BoostedTrees:
 
     def _grow(self, b, r, w, own, depth, used):
         sw, sr = w[own].sum(), (w[own] * r[own]).sum()
-        leaf = sr / (sw + 1e-9)
-        if depth == 0 or len(own) < 8:
+        leaf = sr / (sw + self.ridge)
+        if depth == 0 or len(own) < 40:
             return leaf
         best = (1e-9, None, None)
         for j in used:
             cw = np.cumsum(np.bincount(b[own, j], w[own], self.bins))
             cr = np.cumsum(np.bincount(b[own, j], w[own] * r[own], self.bins))
-            gain = cr**2 / (cw + 1e-9) + (sr - cr) ** 2 / (sw - cw + 1e-9) - sr**2 / (sw + 1e-9)
+            gain = cr**2 / (cw + self.ridge) + (sr - cr) ** 2 / (sw - cw + self.ridge) - sr**2 / (sw + self.ridge)
             k = int(gain[:-1].argmax())
             if gain[k] > best[0]:
                 best = (gain[k], j, k)
@@ -198,7 +198,8 @@ class Prepared:
         x = self.raw(q, sel)
         bits = [i for i, (c, s) in enumerate(zip(self.schema.cols, self.schema.stats, strict=True)) if s.startswith("bit") and c in q.group_by]
         keys = [tuple(self.static[r, bits].astype(int)) if bits else None for r in range(len(self.parts))]
-        return Candidates(self.parts, x, keys, sel[:, 0], sel[:, 1], x)
+        kept = x if self.keep is None else x[:, self.keep]
+        return Candidates(self.parts, kept, keys, sel[:, 0], sel[:, 1], x)
 
     def fit(self, queries: list[QuerySpec], answers: list[Answers], sels: list[np.ndarray], k: int = 4, top: float = 0.01) -> Prepared:
         """k regressors on centred, balanced targets with cut-offs at falling shares, and one on the contribution."""
@@ -285,6 +286,6 @@ def select_features(p: Prepared, queries: list[QuerySpec], answers: list[Answers
     return np.array([k in best for k in kinds]), trace or [best_error]
 
 
-def needs_retrain(old: Prepared, new_mean: np.ndarray, limit: float = 3.0) -> bool:
-    """Whether features have moved by more than ``limit`` training spreads on average."""
-    return bool(np.mean(np.abs(old.norm._shrunk(new_mean) - old.norm.mean) / np.where(old.norm.std > 1e-12, old.norm.std, 1)) > limit)
+def needs_retrain(old: Prepared, features: np.ndarray, limit: float = 0.5) -> bool:
+    """Whether new partitions' features have moved, on the normalized scale, by more than ``limit`` on average."""
+    return bool(np.abs(old.norm.transform(features).mean(0)).mean() > limit)
