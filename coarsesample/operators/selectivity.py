@@ -90,8 +90,9 @@ def bounds(leaf) -> tuple[Column, Column, Column]:
     raise TypeError(leaf)
 
 
-def _leaves(p) -> list:
-    return [x for c in p.of for x in _leaves(c)] if isinstance(p, And | Or) else [p]
+def leaves_of(p) -> list:
+    """Leaves of a normalized predicate, in order."""
+    return [x for c in p.of for x in leaves_of(c)] if isinstance(p, And | Or) else [p]
 
 
 def upper(p) -> Column:
@@ -121,7 +122,7 @@ def four_features(p, or_rule: str = "min") -> dict[str, Column]:
     p = normalize(p)
     if p is None:
         return {k: F.lit(1.0) for k in ("sel_upper", "sel_indep", "sel_min", "sel_max")}
-    each = [bounds(x)[1] for x in _leaves(p)]
+    each = [bounds(x)[1] for x in leaves_of(p)]
     least, most = (each[0], each[0]) if len(each) == 1 else (F.least(*each), F.greatest(*each))
     return {"sel_upper": upper(p), "sel_indep": independent(p, or_rule), "sel_min": least, "sel_max": most}
 

@@ -37,7 +37,7 @@ def n_parts_of(sf_dir: str, name: str) -> int:
     return {"lineitem": 200 if big else 100, "orders": 100, "events": 100, "documents": 50, "embeddings": 25}[name] if "0.001" not in sf_dir else {"lineitem": 50, "orders": 30, "events": 20, "documents": 20, "embeddings": 10}[name]
 
 
-def trained(spark: SparkSession, sf_dir: str, name: str, layout: str, n_parts: int | None = None, n_train: int = 60, n_test: int = 20) -> tuple:
+def trained(spark: SparkSession, sf_dir: str, name: str, layout: str, n_parts: int | None = None, n_train: int = 48, n_test: int = 20) -> tuple:
     """Prepared view with models, test queries, their answers and selectivities; kept for the session."""
     n_parts = n_parts or n_parts_of(sf_dir, name)
     key = (spark.sparkContext.applicationId, sf_dir, name, layout, n_parts, n_train, n_test)
@@ -49,7 +49,7 @@ def trained(spark: SparkSession, sf_dir: str, name: str, layout: str, n_parts: i
         sels = p.selectivities(both)
         train = [i for i in range(n_train) if answers[i].n_groups]
         p.fit([both[i] for i in train], [answers[i] for i in train], [sels[i] for i in train])
-        some = train[:24]
+        some = train[:16]
         p.keep = select_features(p, [both[i] for i in some], [answers[i] for i in some], [sels[i] for i in some], restarts=1)[0]
         rest = [i for i in range(n_train, len(both)) if answers[i].n_groups]
         _held[key] = (p, [both[i] for i in rest], [answers[i] for i in rest], [sels[i] for i in rest], ([both[i] for i in train], [answers[i] for i in train], [sels[i] for i in train]))
@@ -75,7 +75,7 @@ def curves(p: Prepared, queries, answers, sels, methods, budgets=BUDGETS, seeds:
     for m in methods:
         for b in budgets:
             n = max(1, round(b * len(p.parts)))
-            found = [a.errors(pick(p, m, q, s, n, seed)) for q, a, s in zip(queries, answers, sels, strict=True) for seed in range(seeds if m in ("uniform", "filtered", "strata", "random", "filter", "no_clusters") else 1)]
+            found = [a.errors(pick(p, m, q, s, n, seed)) for q, a, s in zip(queries, answers, sels, strict=True) for seed in range(seeds if m in ("uniform", "filtered", "strata") or not FLAGS[m].get("use_clusters", True) else 1)]
             rows.append((m, float(b), *(float(np.mean([f[e] for f in found])) for e in ("missed", "rel", "abs"))))
     return rows
 

@@ -19,8 +19,8 @@ from coarsesample.operators import features as X
 from coarsesample.operators.clustering import cluster_sample
 from coarsesample.operators.metrics import cutoff_fractions
 from coarsesample.operators.picker import Candidates
-from coarsesample.operators.selectivity import four_features
-from coarsesample.plans.query import QuerySpec, parts_of, to_sql
+from coarsesample.operators.selectivity import bounds, leaves_of
+from coarsesample.plans.query import And, Or, QuerySpec, normalize, parts_of, to_sql
 from coarsesample.plans.workload import WORKLOADS, Workload, laid_out
 from coarsesample.runtime import materialize
 
@@ -179,13 +179,37 @@ class Prepared:
     scorer: BoostedTrees = None
     keep: np.ndarray = None
 
-    def selectivities(self, queries: list[QuerySpec], step: int = 8) -> list[np.ndarray]:
-        """The four features of each query for all partitions, a few queries to a job."""
-        out = []
-        for i in range(0, len(queries), step):
-            cols = [e.cast("double").alias(f"s{j}_{n}") for j, q in enumerate(queries[i : i + step]) for n, e in four_features(q.where).items()]
+    def selectivities(self, queries: list[QuerySpec], step: int = 40) -> list[np.ndarray]:
+        """The four features of each query for all partitions.
+
+        Every distinct leaf is evaluated on the sketches once, many to a job; predicate trees are then
+        folded over those partition-level columns.
+        """
+        trees = [normalize(q.where) for q in queries]
+        leaves = list(dict.fromkeys(x for t in trees if t is not None for x in leaves_of(t)))
+        known: dict = {}
+        for i in range(0, len(leaves), step):
+            part = leaves[i : i + step]
+            cols = [e.cast("double").alias(f"{n}{j}") for j, x in enumerate(part) for n, e in zip(("guess", "most"), bounds(x)[1:], strict=True)]
             table = self.stats.select("part_id", *cols).toPandas().set_index("part_id").loc[self.parts].to_numpy(float)
-            out += [np.nan_to_num(table[:, 4 * j : 4 * j + 4]) for j in range(len(queries[i : i + step]))]
+            known |= {x: np.nan_to_num(table[:, 2 * j : 2 * j + 2]) for j, x in enumerate(part)}
+
+        def fold(t, at: int, both, either):
+            if not isinstance(t, And | Or):
+                return known[t][:, at]
+            each = [fold(x, at, both, either) for x in t.of]
+            return (both if isinstance(t, And) else either)(each)
+
+        out = []
+        for t in trees:
+            if t is None:
+                out.append(np.ones((len(self.parts), 4)))
+                continue
+            least = lambda e: np.minimum.reduce(e)
+            each = np.stack([known[x][:, 0] for x in leaves_of(t)])
+            upper = fold(t, 1, least, lambda e: np.minimum(1.0, np.add.reduce(e)))
+            indep = fold(t, 0, lambda e: np.multiply.reduce(e), least)
+            out.append(np.stack([upper, indep, each.min(0), each.max(0)], axis=1))
         return out
 
     def raw(self, q: QuerySpec, sel: np.ndarray) -> np.ndarray:

@@ -53,3 +53,15 @@ def test_schema_is_fixed_and_masked():
     assert len(used) == len(schema)
     assert all(u == 0 for u, c in zip(used, schema.cols) if c in ("y", "s"))
     assert all(u == 1 for u, k in zip(used, schema.kinds) if k == "selectivity")
+
+
+def test_driver_folding_equals_expressions(spark):
+    import numpy as np
+
+    from coarsesample.plans.experiments import trained
+    from conftest import TINY
+
+    p, queries, _, sels, _ = trained(spark, TINY, "events", "user")
+    for q, s in list(zip(queries, sels))[:6]:
+        rows = with_selectivity(p.stats, q.where).orderBy("part_id").select("sel_upper", "sel_indep", "sel_min", "sel_max").toPandas().to_numpy(float)
+        assert np.allclose(np.nan_to_num(rows), s, atol=1e-9)
