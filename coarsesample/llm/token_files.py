@@ -28,7 +28,7 @@ from coarsesample.llm.tokens import END_BYTES, encoder
 
 MAGIC = b"DAC1"
 STRETCH = 512
-BLOCK_SCHEMA = "shard int, block int, first_token long, n_tokens long, doc_ids array<long>, lengths array<long>, payload binary"
+BLOCK_SCHEMA = "shard int, block int, first_token long, n_tokens long, doc_ids array<string>, lengths array<long>, payload binary"
 
 
 def dac_encode(ids: np.ndarray) -> bytes:
@@ -106,7 +106,7 @@ def _blocks(vocabulary: str, spaces: bool, block_tokens: int):
             for doc, text in zip(batch["doc_id"].tolist(), batch["text"], strict=True):
                 ids = coder.ids_bytes(text) + END_BYTES
                 held.append(ids)
-                docs.append(None if pd.isna(doc) else int(doc))
+                docs.append(None if pd.isna(doc) else str(doc))
                 lengths.append(len(ids) // 4)
                 total += lengths[-1]
                 if total >= block_tokens:
@@ -148,10 +148,11 @@ def _documents(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             ends = np.cumsum(np.asarray(row.lengths, np.int64))
             starts = ends - np.asarray(row.lengths, np.int64)
             crcs = [zlib.crc32(ids[a:b].tobytes()) for a, b in zip(starts, ends, strict=True)]
-            yield pd.DataFrame({"doc_id": pd.array(list(row.doc_ids), dtype="Int64"), "start": row.base + row.first_token + starts, "n_tokens": ends - starts, "ids_crc32": crcs})
+            yield pd.DataFrame({"doc_id": list(row.doc_ids), "start": row.base + row.first_token + starts, "n_tokens": ends - starts, "ids_crc32": crcs})
 
 
 def read_token_files(spark: SparkSession, path: str) -> DataFrame:
     """doc_id, start, n_tokens, ids_crc32 of each document, from the files alone."""
     blocks = spark.read.schema(BLOCK_SCHEMA).parquet(path)
-    return blocks.join(F.broadcast(shard_bases(spark, path)), "shard").mapInPandas(_documents, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    found = blocks.join(F.broadcast(shard_bases(spark, path)), "shard").mapInPandas(_documents, "doc_id string, start long, n_tokens long, ids_crc32 long")
+    return found.withColumn("doc_id", F.col("doc_id").cast("long"))

@@ -7,6 +7,7 @@ import re
 import zlib
 
 import numpy as np
+import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
@@ -87,7 +88,8 @@ def test_token_files(spark, request, tmp_path, which):
 @pytest.mark.parametrize("which", ["docs", "odd", "nothing"])
 def test_packing(request, which):
     given = request.getfixturevalue(which)
-    pieces = packing.pack(given, shard_bytes=200_000).toPandas()
+    frame = packing.pack(given, shard_bytes=200_000)
+    pieces = pd.DataFrame([r.asDict() for r in frame.collect()], columns=frame.columns, dtype=object)
     rows = [(r["doc_id"], r["text"]) for r in given.collect()]
     whole = brute_ids(rows, "byte_bpe_50k.json")
     assert pieces["length"].sum() == sum(len(i) for _, i in whole)
@@ -101,8 +103,8 @@ def test_packing(request, which):
     by_key = {}
     for k, i in whole:
         by_key.setdefault(k, []).append(i.tobytes())
-    for k, g in pieces.groupby("doc_id", dropna=False):
-        texts = by_key[None if k is None or k != k else int(k)]
+    for k, texts in by_key.items():
+        g = pieces[[x == k for x in pieces["doc_id"]]]
         if len(texts) == 1:
             g = g.sort_values("start")
             assert b"".join(map(bytes, g["ids"])) == texts[0]
