@@ -68,6 +68,54 @@ def partition_stats(df: DataFrame, cfg: TableConfig) -> DataFrame:
     return out
 
 
+def partition_stats_onepass(df: DataFrame, cfg: TableConfig) -> DataFrame:
+    """The same table from one scan and one aggregation, by built-in sketches: for wide tables at scale.
+
+    Nothing is unpivoted, so rows don't multiply by columns, and a partition's state is bounded:
+    approximate quantiles cut the buckets, a top-k sketch holds frequent values, HLL counts the rest.
+    Extremes stay exact and buckets cover all between them, so the filter still loses nothing. A
+    dictionary is kept only if its counts add up to all non-null rows.
+    """
+    pos = S.positive_columns(df, list(cfg.numeric))
+    cuts = [i / cfg.buckets for i in range(1, cfg.buckets)]
+    aggs = [F.count(F.lit(1)).alias("n_rows")]
+    for c in (*cfg.numeric, *cfg.strings):
+        text = c in cfg.strings
+        x = S.hash32(F.col(c)).cast("double") if text else F.col(c).cast("double")
+        aggs += [F.min(x).alias(f"{c}__min"), F.max(x).alias(f"{c}__max"), F.count(c).alias(f"{c}__n"), F.percentile_approx(x, cuts, 1000).alias(f"{c}__cuts"), F.approx_count_distinct(c, 0.02).cast("double").alias(f"{c}__ndv")]
+        aggs.append(F.expr(f"approx_top_k({c if text else f'CAST({c} AS DOUBLE)'}, 100, 10000)").alias(f"{c}__top"))
+        if not text:
+            aggs += [F.count(F.lit(1)).alias(f"{c}__rows"), F.avg(x).alias(f"{c}__mean"), F.avg(x * x).alias(f"{c}__mean_sq")]
+            log = F.ln(x) if c in pos else F.lit(None).cast("double")
+            aggs += [F.min(log).alias(f"{c}__log_min"), F.max(log).alias(f"{c}__log_max"), F.avg(log).alias(f"{c}__log_mean"), F.avg(log * log).alias(f"{c}__log_mean_sq")]
+    held = df.groupBy("part_id").agg(*aggs)
+    more: dict = {}
+    for c in (*cfg.numeric, *cfg.strings):
+        n, ndv, top = F.col(f"{c}__n"), F.col(f"{c}__ndv"), F.col(f"{c}__top")
+        edges = F.array_distinct(F.concat(F.array(f"{c}__min"), F.col(f"{c}__cuts"), F.array(f"{c}__max")))
+        low, high = F.slice(edges, F.lit(1), F.greatest(F.size(edges) - 1, F.lit(1))), F.slice(edges, F.least(F.size(edges), F.lit(2)), F.greatest(F.size(edges) - 1, F.lit(1)))
+        share = F.greatest(F.size(edges) - 1, F.lit(1))
+        more[f"{c}__hist"] = F.when(n > 0, F.zip_with(low, high, _bucket(n, ndv, share))).otherwise(F.array().cast("array<struct<lo:double,hi:double,n_rows:double,ndv:double>>"))
+        more[f"{c}__hh"] = F.transform(F.filter(top, _frequent(n, cfg.support)), lambda h: F.struct(h["count"].alias("n"), h["item"].cast("string").alias("value")))
+        more[f"{c}__freq_avg"] = n / F.greatest(ndv, F.lit(1.0))
+        more[f"{c}__freq_max"] = F.get(top, 0)["count"]
+        more[f"{c}__freq_min"], more[f"{c}__freq_sum"] = F.lit(1), n
+        if c in cfg.strings:
+            complete = F.aggregate(top, F.lit(0).cast("long"), lambda s, h: s + h["count"]) == n
+            more[f"{c}__dict"] = F.when(complete & (F.size(top) <= 100) & (n > 0), F.transform(top, lambda h: F.struct(h["item"].alias("value"), h["count"].alias("n"))))
+        else:
+            more[f"{c}__n_null"] = F.col(f"{c}__rows") - n
+    return held.withColumns(more).drop(*[f"{c}__{x}" for c in (*cfg.numeric, *cfg.strings) for x in ("top", "cuts", "n", "rows")])
+
+
+def _bucket(n: F.Column, ndv: F.Column, share: F.Column):
+    return lambda lo, hi: F.struct(lo.alias("lo"), hi.alias("hi"), (n / share).cast("double").alias("n_rows"), F.greatest(ndv / share, F.lit(1.0)).alias("ndv"))
+
+
+def _frequent(n: F.Column, support: float):
+    return lambda h: h["count"] >= n * support
+
+
 def global_items(stats: DataFrame, cfg: TableConfig) -> dict[str, list[str]]:
     """The grouping columns' most frequent items over all partitions, at most ``cfg.bitmap`` each."""
     each = F.array(*[F.struct(F.lit(c).alias("col_name"), F.coalesce(F.col(f"{c}__hh"), F.array().cast("array<struct<n:bigint,value:string>>")).alias("hh")) for c in cfg.groupable])

@@ -326,3 +326,21 @@ def u3_table_function(spark: SparkSession, d: str) -> DataFrame:
     return spark.sql("SELECT s.part_id, t.value, t.n FROM held_sketches s, LATERAL sketch_explode(s.sketch) t")
 
 
+
+
+@register("u4_weighted_sql")
+def u4_weighted_sql(spark: SparkSession, d: str) -> DataFrame:
+    from coarsesample.plans.experiments import trained
+    from coarsesample.plans.front import weighted_sql
+
+    p = trained(spark, d, "events", "user")[0]
+    return rounded(weighted_sql(p, "SELECT event_type, sum(value) AS s, count(*) AS n FROM events WHERE k > 50 GROUP BY event_type", 0.2), 2)
+
+
+@register("u4_weighted_sql_full", "SELECT event_type, round(sum(value), 2) AS s, CAST(count(*) AS DOUBLE) AS n FROM events WHERE CAST(json_extract_string(props, '$.k') AS INTEGER) > 50 GROUP BY event_type")
+def u4_weighted_sql_full(spark: SparkSession, d: str) -> DataFrame:
+    from coarsesample.plans.experiments import trained
+    from coarsesample.plans.front import weighted_sql
+
+    p = trained(spark, d, "events", "user")[0]
+    return rounded(weighted_sql(p, "SELECT event_type, sum(value) AS s, count(*) AS n FROM events WHERE k > 50 GROUP BY event_type", 1.0), 2)

@@ -161,6 +161,12 @@ def m1_build(spark: SparkSession, d: str) -> DataFrame:
     return stats(spark, d).select("part_id", "n_rows", F.round("l_quantity__min", 4).alias("low"), F.col("l_quantity__ndv").alias("ndv"), F.size("l_returnflag__dict").alias("flags"))
 
 
+@register("m1_build_onepass", f"WITH {LINES} SELECT part_id, count(*) AS n_rows, round(min(l_quantity), 4) AS low, round(max(l_discount), 4) AS high, CAST(count(DISTINCT l_returnflag) AS INTEGER) AS flags FROM li GROUP BY part_id")
+def m1_build_onepass(spark: SparkSession, d: str) -> DataFrame:
+    held = X.partition_stats_onepass(lines(spark, d), SMALL)
+    return held.select("part_id", "n_rows", F.round("l_quantity__min", 4).alias("low"), F.round("l_discount__max", 4).alias("high"), F.size("l_returnflag__dict").alias("flags"))
+
+
 @register("m2_measure_block", f"WITH {LINES} SELECT part_id, round(avg(l_quantity), 4) AS mean, round(sqrt(greatest(avg(l_quantity * l_quantity) - avg(l_quantity) * avg(l_quantity), 0)), 4) AS std FROM li GROUP BY part_id")
 def m2_measure_block(spark: SparkSession, d: str) -> DataFrame:
     m = S.measures(lines(spark, d), ["l_quantity"])

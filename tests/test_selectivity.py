@@ -2,6 +2,7 @@
 
 import random
 
+import pytest
 from pyspark.sql import functions as F
 
 from coarsesample.operators import features as X
@@ -12,7 +13,8 @@ from test_query import random_predicate
 CFG = X.TableConfig(("x", "y"), ("s",), ("s",))
 
 
-def test_recall_is_perfect(spark):
+@pytest.mark.parametrize("build", [X.partition_stats, X.partition_stats_onepass])
+def test_recall_is_perfect(spark, build):
     rng = random.Random(5)
     rows = []
     for part in range(25):
@@ -20,7 +22,7 @@ def test_recall_is_perfect(spark):
         for _ in range(rng.randint(1, 30)):
             rows.append((part, None if rng.random() < 0.1 else float(rng.randint(lo, min(5, lo + 2))), rng.random() * 5, None if rng.random() < 0.1 else rng.choice("abcd"[: 1 + part % 4])))
     df = spark.createDataFrame(rows, "part_id int, x double, y double, s string").cache()
-    stats = X.partition_stats(df, CFG).cache()
+    stats = build(df, CFG).cache()
     preds = [random_predicate(rng) for _ in range(60)] + [Like("s", "a%"), Like("s", "a%", True)]
     kept = stats.select("part_id", *[four_features(p)["sel_upper"].alias(f"u{i}") for i, p in enumerate(preds)]).collect()
     true = df.groupBy("part_id").agg(*[F.count(F.when(F.expr(to_sql(p)), 1)).alias(f"u{i}") for i, p in enumerate(preds)]).collect()
@@ -65,3 +67,17 @@ def test_driver_folding_equals_expressions(spark):
     for q, s in list(zip(queries, sels))[:6]:
         rows = with_selectivity(p.stats, q.where).orderBy("part_id").select("sel_upper", "sel_indep", "sel_min", "sel_max").toPandas().to_numpy(float)
         assert np.allclose(np.nan_to_num(rows), s, atol=1e-9)
+
+
+def test_features_of_both_builders_agree(spark):
+    rows = [(p, float(i % (5 + p)), float(i), "abc"[i % 3]) for p in range(3) for i in range(60)]
+    df = spark.createDataFrame(rows, "part_id int, x double, y double, s string")
+    out = []
+    for build in (X.partition_stats, X.partition_stats_onepass):
+        st = build(df, CFG).cache()
+        out.append({r["part_id"]: r["f"] for r in X.static_features(st, CFG, X.global_items(st, CFG)).collect()})
+    names = X.FeatureSchema.of(CFG).names
+    for p in range(3):
+        for n, a, b in zip(names, out[0][p], out[1][p]):
+            if n.split("__")[-1] not in ("freq_min",):
+                assert abs(a - b) <= 0.06 * max(1, abs(a)), n
