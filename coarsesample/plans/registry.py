@@ -56,8 +56,11 @@ WIDE = f"""wide AS (SELECT l.*, o.o_custkey, o.o_orderstatus, o.o_totalprice, o.
  JOIN nation cn ON c_nationkey = cn.n_nationkey JOIN region cr ON cn.n_regionkey = cr.r_regionkey JOIN nation sn ON s_nationkey = sn.n_nationkey JOIN region sr ON sn.n_regionkey = sr.r_regionkey)"""
 
 
-def answer_sql(q: QuerySpec, table: str, weight: str | None = None, digits: int = 2) -> str:
-    """SELECT text of a query's exact answer, or of its weighted one where ``weight`` is a column."""
+def answer_sql(q: QuerySpec, table: str, weight: str | None = None, digits: int = 4) -> str:
+    """SELECT text of a query's exact answer, or of its weighted one where ``weight`` is a column.
+
+    Products of the tables' prices and rates have four decimals; fewer digits would round at ties.
+    """
     w = weight or "1"
     out = list(q.group_by)
     for a in q.aggs:

@@ -195,7 +195,7 @@ WEIGHTED = {
 def _weighted(name: str, q: QuerySpec):
     @register(name, f"WITH {LINES}, w AS (SELECT *, 10.0::DOUBLE AS weight FROM li WHERE part_id % 10 = 3) {answer_sql(q, 'w', 'weight')}")
     def run(spark: SparkSession, d: str) -> DataFrame:
-        return rounded(weighted_aggregate(weighted_scan(lines(spark, d), tenth(spark, d)), q), 2)
+        return rounded(weighted_aggregate(weighted_scan(lines(spark, d), tenth(spark, d)), q), 4)
 
     return run
 
@@ -211,12 +211,12 @@ def m5_partials(spark: SparkSession, d: str) -> DataFrame:
 
 @register("m5_estimate", f"WITH {LINES}, w AS (SELECT *, 10.0::DOUBLE AS weight FROM li WHERE part_id % 10 = 3) {answer_sql(Q_YEAR, 'w', 'weight')}")
 def m5_estimate(spark: SparkSession, d: str) -> DataFrame:
-    return rounded(estimate(year_parts(spark, d), Q_YEAR, tenth(spark, d)), 2)
+    return rounded(estimate(year_parts(spark, d), Q_YEAR, tenth(spark, d)), 4)
 
 
 @register("m5_exact", f"WITH {LINES} {answer_sql(Q_YEAR, 'li')}")
 def m5_exact(spark: SparkSession, d: str) -> DataFrame:
-    return rounded(exact(lines(spark, d), Q_YEAR), 2)
+    return rounded(exact(lines(spark, d), Q_YEAR), 4)
 
 
 @register("m5_star", f"WITH {LINES} SELECT p_type, round(sum(l_extendedprice * 10.0), 2) AS s FROM li JOIN part ON l_partkey = p_partkey WHERE part_id % 10 = 3 GROUP BY p_type")
@@ -294,7 +294,7 @@ def b4_blocks_touched(spark: SparkSession, d: str) -> DataFrame:
 
 @register("b5_full_scan", f"WITH {LINES} {answer_sql(Q_PLAIN, 'li')}")
 def b5_full_scan(spark: SparkSession, d: str) -> DataFrame:
-    return rounded(exact(lines(spark, d), Q_PLAIN), 2)
+    return rounded(exact(lines(spark, d), Q_PLAIN), 4)
 
 
 @register("b6_ten_runs", f"WITH {LINES}, p AS (SELECT part_id, sum(l_quantity) AS x FROM li GROUP BY 1), r AS (SELECT seed, part_id, x, row_number() OVER (PARTITION BY seed ORDER BY (part_id * 7919 + seed * 104729) % 10007, part_id) AS pos, count(*) OVER (PARTITION BY seed) AS n FROM p, range(10) t(seed)) SELECT seed, round(sum(x) * max(n) / 10.0::DOUBLE, 2) AS estimate FROM r WHERE pos <= 10 GROUP BY seed")
@@ -439,7 +439,7 @@ def c16_bias_variance(spark: SparkSession, d: str) -> DataFrame:
 def wide_exact(name: str, q: QuerySpec):
     @register(f"w5_{name}", f"WITH {WIDE} {answer_sql(q, 'wide')}")
     def run(spark: SparkSession, d: str) -> DataFrame:
-        return rounded(exact(tables.lineitem_wide(spark, d), q), 2)
+        return rounded(exact(tables.lineitem_wide(spark, d), q), 4)
 
     return run
 

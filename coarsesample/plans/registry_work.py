@@ -17,9 +17,9 @@ for _name, _q in workload.templates().items():
     wide_exact(_name, _q)
 
 
-@register("w1_lineitem_wide", f"WITH {WIDE} SELECT z_part, z_supp, z_cust, count(*) AS n, round(sum(revenue), 2) AS revenue, min(ship_day) AS first_day, max(order_year) AS last_year FROM wide GROUP BY 1, 2, 3")
+@register("w1_lineitem_wide", f"WITH {WIDE} SELECT z_part, z_supp, z_cust, count(*) AS n, round(sum(revenue), 4) AS revenue, min(ship_day) AS first_day, max(order_year) AS last_year FROM wide GROUP BY 1, 2, 3")
 def w1_lineitem_wide(spark: SparkSession, d: str) -> DataFrame:
-    return tables.lineitem_wide(spark, d).groupBy("z_part", "z_supp", "z_cust").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("revenue"), 2).alias("revenue"), F.min("ship_day").alias("first_day"), F.max("order_year").alias("last_year"))
+    return tables.lineitem_wide(spark, d).groupBy("z_part", "z_supp", "z_cust").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("revenue"), 4).alias("revenue"), F.min("ship_day").alias("first_day"), F.max("order_year").alias("last_year"))
 
 
 @register("w2_orders_wide", "SELECT r_name, CAST(year(o_orderdate) AS INTEGER) AS o_year, CAST(month(o_orderdate) AS INTEGER) AS o_month, count(*) AS n, round(sum(o_totalprice), 2) AS total FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY 1, 2, 3")
@@ -52,7 +52,7 @@ def w5_weighted_q01(spark: SparkSession, d: str) -> DataFrame:
     q = workload.templates()["q01"]
     df = tables.lineitem_wide(spark, d).withColumn("part_id", F.floor((F.col("ship_day") - 9131) / 25).cast("int"))
     chosen = df.select("part_id").distinct().where("part_id % 5 = 2").withColumn("weight", F.lit(5.0))
-    return rounded(estimate(partials(df, q), q, chosen), 2)
+    return rounded(estimate(partials(df, q), q, chosen), 4)
 
 
 @register("w6_generator")
@@ -124,7 +124,7 @@ EVENTS = "ev AS (SELECT *, CAST(json_extract_string(props, '$.k') AS INTEGER) AS
 
 @register("w16_illustration", f"WITH {EVENTS} {answer_sql(Q_EVENTS, 'ev')}")
 def w16_illustration(spark: SparkSession, d: str) -> DataFrame:
-    return rounded(exact(tables.events_flat(spark, d), Q_EVENTS), 2)
+    return rounded(exact(tables.events_flat(spark, d), Q_EVENTS), 4)
 
 
 @register("w16_dominant_share", "SELECT round(max(n) / sum(n)::DOUBLE, 6) AS share, count(*) AS kinds FROM (SELECT CAST(floor(exp(ln(26.0::DOUBLE) * ((l_partkey) % 997) / 997.0::DOUBLE)) AS INTEGER) AS z, count(*) AS n FROM lineitem GROUP BY 1)")
