@@ -3,14 +3,18 @@
 Vectors are compared inside a group (same label, same dimension). Equal vectors form a class of
 which one goes on, with its count. In every pass the vectors of a group are ordered by the
 concatenated signs of random projections, the order is cut into blocks, and each block is compared
-with itself and the block before it, as one matrix product in double precision. A pair that met in
-an earlier pass is not counted again, which the blocks that a vector remembers tell, so links are
-counted without ever listing pairs. Inside a window a spanning forest is kept, one edge per vector
-at most, and the passes' forests are united by connected components.
+with itself and the block before it, as one matrix product in double precision; where a task's order
+ends, its last block meets the next task's first. A window gives a spanning forest, one edge per
+vector at most, and the passes' forests are united by connected components.
 
-The chance to miss a pair falls with every pass: at cosine 0.98 two vectors differ in a projection's
-sign with probability 0.064, and the window spans ``block`` to twice ``block`` vectors. Raise
-``passes`` and ``block`` for larger groups; both are linear in cost.
+Links are then counted exactly inside each component, whatever its size: its members are dealt to
+blocks by a hash, each pair of blocks is one task, and only a count per vector leaves it. So the
+work in a component grows with the square of its members, but no pair is listed.
+
+What is left to chance is whether the passes join two vectors that only each other's link connects.
+At cosine 0.98 two vectors differ in a projection's sign with probability 0.064, and they have to
+agree in about as many signs as the group has doublings of ``block``; ``passes`` is raised with the
+largest group until that fails for at most one such pair in 10^5.
 
 Defined results: null, zero or empty vectors, vectors with null or non-finite components, and null
 labels link with nothing and are their own component; repeated rows count as other vectors of equal
@@ -19,6 +23,7 @@ value; a null id is never a component's name; an empty table gives an empty resu
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -44,21 +49,54 @@ def _units(rows: pd.Series) -> np.ndarray:
     return v / np.linalg.norm(v, axis=1)[:, None]
 
 
-def _hash_pass(seed: int, turn: int):
+def _hash_passes(seed: int, passes: int):
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            key = np.zeros(len(batch), np.int64)
+            keys = np.zeros((len(batch), passes), np.int64)
             dims = batch["dim"].to_numpy()
             for dim in np.unique(dims):
                 own = np.flatnonzero(dims == dim)
-                key[own] = _keys(_units(batch["embedding"].iloc[own]), seed, turn)
-            yield batch.assign(key=key)
+                unit = _units(batch["embedding"].iloc[own])
+                for turn in range(passes):
+                    keys[own, turn] = _keys(unit, seed, turn)
+            yield batch.assign(keys=list(keys))
 
     return run
 
 
+def passes_for(largest: int, block: int, threshold: float, miss: float = 1e-5) -> int:
+    """Passes after which a pair at the threshold in a group of ``largest`` has met, but for a chance of ``miss``."""
+    signs = max(0.0, math.log2(max(1, largest) / block))
+    meet = (1 - math.acos(max(-1.0, min(1.0, threshold))) / math.pi) ** signs
+    return 1 if meet >= 1 else math.ceil(math.log(miss) / math.log1p(-meet))
+
+
+def _ties(a: pd.DataFrame, b: pd.DataFrame, threshold: float) -> tuple[np.ndarray, np.ndarray]:
+    """Spanning forest of the links between two blocks, or inside one if they are the same."""
+    ua = _units(a["embedding"])
+    ids = a["vec_id"].to_numpy(np.int64)
+    if a is b:
+        i, j = np.nonzero(ua @ ua.T >= threshold)
+        i, j = i[i < j], j[i < j]
+    else:
+        i, j = np.nonzero(ua @ _units(b["embedding"]).T >= threshold)
+        j = j + len(ids)
+        ids = np.concatenate([ids, b["vec_id"].to_numpy(np.int64)])
+    root = local_roots(len(ids), i, j)
+    tied = root != np.arange(len(root))
+    return ids[tied], ids[root[tied]]
+
+
+def _group_of(rows: pd.DataFrame) -> tuple:
+    return rows["label"].iloc[0], rows["dim"].iloc[0]
+
+
+#: Links u, v of a pass, or (with u null) the rows at a task's borders: side 0 ends it, side 1 begins it.
+PASS_SCHEMA = "u long, v long, part int, side int, vec_id long, label string, dim int, embedding array<double>"
+
+
 def _compare_pass(threshold: float, block: int):
-    """Blocks of ordered rows against themselves and the one before. Rows come out once their links are known."""
+    """Blocks of ordered rows against themselves and the one before, as links, and the task's border rows."""
 
     def rows_of(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         """Blocks that hold one group each."""
@@ -69,7 +107,7 @@ def _compare_pass(threshold: float, block: int):
             change[0] = True
             for part in np.split(np.arange(len(batch)), np.flatnonzero(change)[1:]):
                 rows = batch.iloc[part]
-                here = (rows["label"].iloc[0], rows["dim"].iloc[0])
+                here = _group_of(rows)
                 if here != group and held:
                     yield pd.concat(held)
                     held, size = [], 0
@@ -84,53 +122,101 @@ def _compare_pass(threshold: float, block: int):
         if held:
             yield pd.concat(held)
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        part, at, last = TaskContext.get().partitionId(), 0, None
+    def found(u: np.ndarray, v: np.ndarray) -> pd.DataFrame:
+        none = pd.Series([None] * len(u), dtype=object)
+        whole = pd.Series([pd.NA] * len(u), dtype="Int64")
+        return pd.DataFrame({"u": u, "v": v, "part": whole, "side": whole, "vec_id": whole, "label": none, "dim": whole, "embedding": none})
 
-        def links(a: dict, b: dict, same: bool) -> None:
-            i, j = np.nonzero(a["unit"] @ b["unit"].T >= threshold)
-            if same:
-                i, j = i[i < j], j[i < j]
-            if not len(i):
-                return
-            pa, pb = a["places"][i], b["places"][j]
-            fresh = ~((pa >> 32 == pb >> 32) & (np.abs((pa & 0xFFFFFFFF) - (pb & 0xFFFFFFFF)) <= 1)).any(axis=1)
-            np.add.at(a["links"], i[fresh], b["copies"][j[fresh]])
-            np.add.at(b["links"], j[fresh], a["copies"][i[fresh]])
-            if same:
-                root = local_roots(len(a["id"]), i, j)
-                tied = root != np.arange(len(root))
-                for x in np.flatnonzero(tied):
-                    a["ties"][x].append(int(a["id"][root[x]]))
-            else:
-                n = len(a["id"])
-                ids = np.concatenate([a["id"], b["id"]])
-                root = local_roots(n + len(b["id"]), i, j + n)
-                for x in np.flatnonzero(root != np.arange(len(root))):
-                    (a["ties"][x] if x < n else b["ties"][x - n]).append(int(ids[root[x]]))
-
-        def out(x: dict) -> pd.DataFrame:
-            rows = x["rows"].drop(columns=["key"])
-            places = [np.append(p, (part << 32) | x["at"]) for p in x["places"]]
-            ties = [[*old, *new] for old, new in zip(rows["ties"], x["ties"], strict=True)]
-            return rows.assign(n_links=x["links"], places=places, ties=ties)
+    def border(rows: pd.DataFrame, part: int, side: int) -> pd.DataFrame:
+        whole = pd.array([pd.NA] * len(rows), dtype="Int64")
+        return rows[["vec_id", "label", "dim", "embedding"]].assign(u=whole, v=whole, part=part, side=side)[["u", "v", "part", "side", "vec_id", "label", "dim", "embedding"]]
 
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        part, last, tail = TaskContext.get().partitionId(), None, None
         for rows in rows_of(batches):
-            now = {"rows": rows, "at": at, "id": rows["vec_id"].to_numpy(np.int64), "unit": _units(rows["embedding"]), "copies": rows["copies"].to_numpy(np.int64), "links": rows["n_links"].to_numpy(np.int64).copy(), "places": np.stack([np.asarray(p, np.int64) for p in rows["places"]]), "ties": [[] for _ in range(len(rows))]}
-            links(now, now, True)
-            if last is not None:
-                if tuple(last["rows"][["label", "dim"]].iloc[0]) == tuple(rows[["label", "dim"]].iloc[0]):
-                    links(last, now, False)
-                else:
-                    at = now["at"] = at + 1
-                yield out(last)
-            last, at = now, at + 1
-        if last is not None:
-            yield out(last)
+            yield found(*_ties(rows, rows, threshold))
+            if last is None:
+                yield border(rows, part, 1)
+            tail = rows
+            if last is not None and _group_of(last) == _group_of(rows):
+                yield found(*_ties(last, rows, threshold))
+                tail = pd.concat([last, rows]).iloc[-block:]
+            last = rows
+        if tail is not None:
+            yield border(tail, part, 0)
 
     return run
 
 
+def _border_links(rows: DataFrame, threshold: float) -> DataFrame:
+    """Links between the end of each task and the begin of the next that had rows, in each pass."""
+    spark = rows.sparkSession
+    parts = sorted(tuple(r) for r in rows.where("side = 1").select("turn", "part").distinct().collect())
+    follows = [(t, p, i) for i, (t, p) in enumerate(parts)]
+    order = F.broadcast(spark.createDataFrame(follows, "turn int, part int, place long"))
+
+    def run(group: pd.DataFrame) -> pd.DataFrame:
+        ends, begins = group[group["side"] == 0], group[group["side"] == 1]
+        if len(ends) and len(begins) and _group_of(ends) == _group_of(begins):
+            u, v = _ties(ends, begins, threshold)
+            return pd.DataFrame({"u": u, "v": v})
+        return pd.DataFrame({"u": [], "v": []}, dtype="int64")
+
+    met = rows.join(order, ["turn", "part"]).withColumn("border", F.col("place") - F.col("side"))
+    return met.groupBy("turn", "border").applyInPandas(run, "u long, v long")
+
+
+def _count_links(threshold: float, step: int = 512):
+    """Links of each member of a component, or of a block with another one, weighted by copies."""
+
+    def counts(a: pd.DataFrame, b: pd.DataFrame, same: bool) -> tuple[np.ndarray, np.ndarray]:
+        ua, ub = _units(a["embedding"]), _units(b["embedding"])
+        ca, cb = a["copies"].to_numpy(np.float64), b["copies"].to_numpy(np.float64)
+        of_a, of_b = np.zeros(len(a)), np.zeros(len(b))
+        for at in range(0, len(a), step):
+            linked = ua[at : at + step] @ ub.T >= threshold
+            if same:
+                i = np.arange(len(linked))
+                linked[i, at + i] = False
+            linked = linked.astype(np.float64)
+            of_a[at : at + step] = linked @ cb
+            of_b += ca[at : at + step] @ linked
+        return of_a, of_b
+
+    def run(group: pd.DataFrame) -> pd.DataFrame:
+        out = []
+        for _, rows in group.groupby("component", sort=False):
+            low, high = rows["low"].iloc[0], rows["high"].iloc[0]
+            a, b = rows[rows["own"] == low], rows[rows["own"] == high]
+            of_a, of_b = counts(a, b, low == high)
+            out.append(pd.DataFrame({"vec_id": a["vec_id"], "links": of_a.astype(np.int64)}))
+            if low != high:
+                out.append(pd.DataFrame({"vec_id": b["vec_id"], "links": of_b.astype(np.int64)}))
+        return pd.concat(out)
+
+    return run
+
+
+def _links_inside(vectors: DataFrame, components: DataFrame, threshold: float, small: int = 256, most: int = 4096, spread: int = 16, per_task: int = 2000) -> DataFrame:
+    """vec_id, n_links: all links inside the components, each pair of blocks in one task.
+
+    Up to ``spread`` blocks of ``small`` members, then blocks grow to ``most``. Components of one
+    block share tasks.
+    """
+    sizes = components.groupBy("component").agg(F.count(F.lit(1)).alias("n"))
+    blocks = F.greatest(F.ceil(F.col("n") / most), F.least(F.ceil(F.col("n") / small), F.lit(spread))).cast("int")
+    placed = components.join(sizes.select("component", blocks.alias("blocks")), "component").withColumnRenamed("node", "vec_id")
+    placed = materialize(placed.withColumn("own", F.pmod(F.xxhash64("vec_id"), F.col("blocks")).cast("int")), "placed")
+    tasks = placed.count() // per_task + 1
+    alone = F.col("blocks") == 1
+    dealt = placed.join(vectors.select("vec_id", "embedding", "copies"), "vec_id")
+    dealt = dealt.withColumn("shared", F.when(alone, F.pmod(F.xxhash64("component"), F.lit(tasks))).otherwise(-1)).withColumn("cloud", F.when(alone, 0).otherwise(F.col("component")))
+    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = dealt.withColumn("low", F.least("own", "other")).withColumn("high", F.greatest("own", "other")).drop("other", "blocks")
+    found = dealt.groupBy("shared", "cloud", "low", "high").applyInPandas(_count_links(threshold), "vec_id long, links long")
+    return found.groupBy("vec_id").agg(F.sum("links").alias("n_links"))
+
+
 def near_vectors(table: DataFrame, threshold: float = 0.98, passes: int = 8, block: int = 1024, seed: int = 11, key: str = "vec_id", vector: str = "embedding", label: str = "label") -> DataFrame:
     """vec_id, n_links, component_id, kept for every row."""
     given = table.select(F.col(key).cast("long").alias("vec_id"), F.col(vector).cast("array<double>").alias("embedding"), F.col(label).cast("string").alias("label"))
@@ -142,17 +228,21 @@ def near_vectors(table: DataFrame, threshold: float = 0.98, passes: int = 8, blo
     valid = given.where("fine").withColumn("print", print_of)
     classes = materialize(valid.groupBy("label", "print").agg(F.min("vec_id").alias("rep"), F.count(F.lit(1)).alias("copies")), "classes")
     firsts = classes.select(F.col("rep").alias("vec_id"), "copies")
-    empty = F.array().cast("array<bigint>")
-    current = valid.dropDuplicates(["vec_id"]).join(firsts, "vec_id").select("vec_id", "label", F.size("embedding").alias("dim"), "embedding", "copies", F.lit(0).cast("long").alias("n_links"), empty.alias("places"), empty.alias("ties"))
-    current = materialize(current, "vectors")
-    shape = "vec_id long, label string, dim int, embedding array<double>, copies long, n_links long, places array<bigint>, ties array<bigint>"
+    vectors = valid.dropDuplicates(["vec_id"]).join(firsts, "vec_id").select("vec_id", "label", F.size("embedding").alias("dim"), "embedding", "copies")
+    largest = classes.groupBy("label").count().agg(F.max("count")).first()[0] or 0
+    passes = max(passes, passes_for(largest, block, threshold))
+    shape = "vec_id long, label string, dim int, embedding array<double>, copies long, keys array<bigint>"
+    vectors = materialize(vectors.mapInPandas(_hash_passes(seed, passes), shape), "vectors")
+    met = None
     for turn in range(passes):
-        keyed = materialize(current.mapInPandas(_hash_pass(seed, turn), shape + ", key long"), "keys")
         order = ["label", "dim", "key", "vec_id"]
-        current = materialize(keyed.repartitionByRange(*order).sortWithinPartitions(*order).mapInPandas(_compare_pass(threshold, block), shape), "pass")
-    links = current.select(F.col("vec_id").alias("u"), F.explode("ties").alias("v"))
-    components = connected_components(links)
-    found = classes.join(current.select(F.col("vec_id").alias("rep"), "n_links"), "rep").join(components.withColumnRenamed("node", "rep"), "rep", "left")
+        ordered = vectors.select("label", "dim", F.element_at("keys", turn + 1).alias("key"), "vec_id", "embedding").repartitionByRange(*order).sortWithinPartitions(*order)
+        found = materialize(ordered.mapInPandas(_compare_pass(threshold, block), PASS_SCHEMA), "pass").withColumn("turn", F.lit(turn))
+        met = found if met is None else met.unionByName(found)
+    links = met.where("u is not null").select("u", "v").unionByName(_border_links(met.where("u is null").drop("u", "v"), threshold))
+    components = materialize(connected_components(links), "components")
+    inside = _links_inside(vectors, components, threshold)
+    found = classes.join(inside.withColumnRenamed("vec_id", "rep"), "rep", "left").join(components.withColumnRenamed("node", "rep"), "rep", "left").withColumn("n_links", F.coalesce("n_links", F.lit(0)))
     found = found.select("label", "print", (F.col("n_links") + F.col("copies") - 1).alias("links"), F.coalesce("component", "rep").alias("component"))
     rows = given.withColumn("print", F.when(F.col("fine"), print_of)).drop("embedding").join(found, ["label", "print"], "left")
     out = rows.select("vec_id", F.coalesce("links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("component", "vec_id").alias("component_id"))

@@ -424,6 +424,34 @@ def test_near_vectors(spark):
     assert [got[i]["component_id"] for i in range(v)] == comp.tolist()
 
 
+def test_near_vectors_counts_clouds_beyond_the_windows(spark):
+    rng = np.random.default_rng(5)
+    centre = rng.normal(size=16)
+    rows = [(i, (centre + rng.normal(size=16) * 0.06).tolist(), 1) for i in range(900)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")
+    e = np.array([r[1] for r in rows])
+    e /= np.linalg.norm(e, axis=1)[:, None]
+    want = (e @ e.T >= 0.98).sum(1) - 1
+    got = {r["vec_id"]: r for r in near_vectors.near_vectors(df, block=16, passes=3).collect()}
+    assert [got[i]["n_links"] for i in range(900)] == want.tolist()
+    assert {r["component_id"] for r in got.values()} == {0}
+
+
+def test_near_vectors_across_tasks(spark):
+    rows = [(i, [1.0, i * 1e-6], 1) for i in range(64)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")
+    vectors = df.selectExpr("vec_id", "cast(label as string) label", "2 dim", "embedding").repartitionByRange(4, "vec_id").sortWithinPartitions("vec_id")
+    met = vectors.mapInPandas(near_vectors._compare_pass(0.98, 8), near_vectors.PASS_SCHEMA).withColumn("turn", F.lit(0)).persist()
+    inside, across = met.where("u is not null").select("u", "v"), near_vectors._border_links(met.where("u is null").drop("u", "v"), 0.98)
+    assert len({r["component"] for r in connected_components(inside).collect()}) > 1
+    assert {r["component"] for r in connected_components(inside.unionByName(across)).collect()} == {0}
+    met.unpersist()
+
+
+def test_near_vectors_passes_grow_with_the_group():
+    assert near_vectors.passes_for(1000, 1024, 0.98) == 1 and near_vectors.passes_for(10**6, 1024, 0.98) > 8
+
+
 def test_near_vectors_odd(spark):
     nan, inf = float("nan"), float("inf")
     rows = [(1, [1.0, 0.0], 1), (2, [2.0, 0.0], 1), (3, [1.0, 0.0], 2), (4, None, 1), (5, [0.0, 0.0], 1), (6, [nan, 1.0], 1), (7, [inf, 1.0], 1), (8, [None, 1.0], 1), (9, [1.0, 0.0], None), (10, [], 1), (11, [1.0, 0.0, 0.0], 1), (12, [1.0, 0.0], 1), (None, [1.0, 0.0], 1)]
