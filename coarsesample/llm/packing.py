@@ -2,8 +2,8 @@
 
 Documents are dealt to shards of bounded bytes by a hash of key and text; each shard holds a BM25
 inverted index over its documents' token ids. Whole windows of a document longer than a sequence
-leave at once. Of the rest, a seed document opens a sequence, its best unused BM25 neighbours fill
-it in order of score, and the document that meets the border is cut there; its tail opens the next
+leave at once. Of the rest, a seed document opens a sequence, its best unused BM25 neighbours, scored
+with all of the seed's distinct ids, fill it in order of score, and the document that meets the border is cut there; its tail opens the next
 sequence. So every sequence of a shard is full but its last, which is padded to a power of two.
 
 Defined results: null or empty text is one end id; repeated rows are packed once each; ties in score
@@ -13,6 +13,7 @@ go to the lower place in the shard; an empty table gives no pieces. Only key and
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
@@ -27,39 +28,54 @@ PIECE_SCHEMA = "doc_id long, start long, length long, doc_tokens long, sequence_
 class ShardIndex:
     """BM25 over short documents of token ids; documents leave the index once used."""
 
-    def __init__(self, docs: list[np.ndarray], k1: float = 1.2, b: float = 0.75, query_terms: int = 12):
+    def __init__(self, docs: list[np.ndarray], k1: float = 1.2, b: float = 0.75):
         n = len(docs)
-        self.query_terms = query_terms
         sizes = np.fromiter(map(len, docs), np.int64, n)
         owner = np.repeat(np.arange(n, dtype=np.int64), sizes)
         terms = np.concatenate(docs).astype(np.int64) if n else np.zeros(0, np.int64)
         pairs, counts = np.unique(terms * n + owner if n else terms, return_counts=True)
-        self.term, self.doc = (pairs // n, pairs % n) if n else (pairs, pairs)
-        self.terms, first, df = np.unique(self.term, return_index=True, return_counts=True)
-        self.span = np.append(first, len(pairs))
-        self.idf = np.log(1 + (n - df + 0.5) / (df + 0.5))
-        self.df = df
+        del terms, owner
+        term, self.doc = (pairs // n, pairs % n) if n else (pairs, pairs)
+        del pairs
+        _, at, df = np.unique(term, return_inverse=True, return_counts=True)
+        del term
+        self.span = np.append(0, np.cumsum(df))
+        idf = np.log(1 + (n - df + 0.5) / (df + 0.5))
         norm = k1 * (1 - b + b * sizes / max(1.0, sizes.mean() if n else 1.0))
         tf = counts.astype(np.float64)
-        self.impact = tf * (k1 + 1) / (tf + norm[self.doc]) * np.repeat(self.idf, df)
-        by_doc = np.argsort(self.doc, kind="stable")
-        self.of_doc = np.searchsorted(self.terms, self.term[by_doc])
-        self.doc_span = np.searchsorted(self.doc[by_doc], np.arange(n + 1))
+        self.impact = tf * (k1 + 1) / (tf + norm[self.doc]) * np.repeat(idf, df)
+        self.of_doc = at[np.argsort(self.doc, kind="stable")].astype(np.int32)
+        self.doc_span = np.append(0, np.cumsum(np.bincount(self.doc, minlength=n)))
         self.free = np.ones(n, bool)
+        self.listed = n
 
-    def neighbours(self, seed: int) -> np.ndarray:
-        """Unused documents that share the seed's rarest terms, best first."""
+    def _forget_used(self) -> None:
+        """Take used documents out of the lists; weights stay those of the whole shard."""
+        left = self.free[self.doc]
+        self.span = np.append(0, np.cumsum(left))[self.span]
+        self.doc, self.impact = self.doc[left], self.impact[left]
+        self.listed = int(self.free.sum())
+
+    def scores(self, seed: int) -> np.ndarray:
+        """BM25 of every document still listed for all distinct terms of the seed."""
         terms = self.of_doc[self.doc_span[seed] : self.doc_span[seed + 1]]
-        terms = terms[self.df[terms] > 1]
-        if len(terms) > self.query_terms:
-            terms = terms[np.argpartition(self.df[terms], self.query_terms)[: self.query_terms]]
-        if not len(terms):
-            return np.zeros(0, np.int64)
-        at = np.concatenate([np.arange(self.span[t], self.span[t + 1]) for t in terms])
-        at = at[self.free[self.doc[at]]]
-        found, where = np.unique(self.doc[at], return_inverse=True)
-        scores = np.bincount(where, self.impact[at], len(found))
-        return found[np.lexsort((found, -scores))]
+        spans = list(zip(self.span[terms].tolist(), self.span[terms + 1].tolist(), strict=True))
+        if not spans:
+            return np.zeros(len(self.free))
+        where = np.concatenate([self.doc[i:j] for i, j in spans])
+        return np.bincount(where, np.concatenate([self.impact[i:j] for i, j in spans]), len(self.free))
+
+    def neighbours(self, seed: int, first: int = 32) -> Iterator[int]:
+        """Unused documents that share a term with the seed, best first; the tail is only sorted if it is asked for."""
+        if self.free.sum() < 0.8 * self.listed:
+            self._forget_used()
+        scores = self.scores(seed)
+        found = np.flatnonzero((scores > 0) & self.free)
+        scores = scores[found]
+        least = np.partition(scores, len(scores) - first)[len(scores) - first] if len(scores) > first else 0.0
+        for part in (scores >= least, scores < least):
+            docs, own = found[part], scores[part]
+            yield from docs[np.lexsort((docs, -own))].tolist()
 
 
 def _next_power(n: int, most: int) -> int:
@@ -106,8 +122,8 @@ def pack_shard(shard: int, doc_ids: list, ids: list[np.ndarray], budget: int) ->
                 continue
         closed = False
         for near in index.neighbours(seed):
-            if place(int(near)):
-                closed, seed = True, int(near)
+            if place(near):
+                closed, seed = True, near
                 break
         if not closed:
             opened = seed

@@ -121,6 +121,25 @@ def test_packing_prefers_lexical_neighbours():
 
 
 # Sharding
+def test_packing_scores_all_terms_of_the_seed():
+    rng = np.random.default_rng(1)
+    docs_ = [rng.choice(400, rng.integers(60, 200), p=(w := 1 / np.arange(1, 401)) / w.sum()).astype("<u4") for _ in range(80)]
+    sizes, held = np.array([len(d) for d in docs_]), [set(d.tolist()) for d in docs_]
+    df = {t: sum(t in h for h in held) for t in set().union(*held)}
+
+    def bm25(seed, d):
+        tf = [(t, int((docs_[d] == t).sum())) for t in held[seed] & held[d]]
+        return sum(np.log(1 + (80 - df[t] + 0.5) / (df[t] + 0.5)) * n * 2.2 / (n + 1.2 * (0.25 + 0.75 * sizes[d] / sizes.mean())) for t, n in tf)
+
+    index = packing.ShardIndex(docs_)
+    for seed in range(0, 80, 2):
+        index.free[seed] = False
+        got = list(index.neighbours(seed))
+        scores = {d: bm25(seed, d) for d in range(80) if index.free[d]}
+        assert sorted(got) == sorted(scores)
+        assert all(scores[x] >= scores[y] - 1e-9 for x, y in zip(got, got[1:], strict=False))
+
+
 def test_sharding_moves_only_into_the_new_shard(docs):
     got = sharding.assign_shards(docs).toPandas()
     texts = {r["doc_id"]: r["text"] for r in docs.collect()}
