@@ -302,6 +302,19 @@ def test_repeated_runs_of_a_host_go(spark):
     assert html.extract(df.where("false")).count() == 0
 
 
+def test_mirrored_pages_and_shared_quotations_stay(spark):
+    own = lambda i: " ".join(f"own{i}x{j}" for j in range(30))
+    quote, cookie = " ".join(f"q{i}" for i in range(20)), "we bake cookies"
+    rows = [(i, f"http://m.example/{i}", f"<div><p>{own(0)}</p></div>") for i in range(4)]
+    texts = {i: own(0) for i in range(4)}
+    for i in range(4, 12):
+        said = quote if i < 6 else own(i + 100)
+        rows.append((i, f"http://q.example/{i}", f"<div><p>{own(i)}</p><p>{said}</p><p>{cookie}</p></div>"))
+        texts[i] = f"{own(i)} {said}"
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    assert {r["page_id"]: r["text"] for r in html.extract(df).collect()} == texts
+
+
 def test_shared_article_text_stays(spark):
     shared = " ".join(f"w{i}" for i in range(40))
     df = spark.createDataFrame([(i, "http://a.b/", f"<nav>n</nav><article><p>{shared}</p></article>") for i in range(3)], "page_id long, url string, html string")
