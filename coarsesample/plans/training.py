@@ -263,15 +263,20 @@ def prepare(spark: SparkSession, sf_dir: str, name: str, layout: str, n_parts: i
     return Prepared(w, df, stats, rows["part_id"].to_numpy(int), np.stack(rows["f"].to_numpy()).astype(float), X.FeatureSchema.of(w.cfg), items)
 
 
-def constants_of(p: Prepared, per_column: int = 20) -> dict[str, list]:
-    """Candidate constants from the sketches: bucket edges of numbers, dictionary values of strings."""
+def constants_of(p: Prepared, per_column: int = 20, most_values: int = 10_000) -> dict[str, list]:
+    """Candidate constants from the sketches of all partitions: bucket edges of numbers, dictionary values of strings.
+
+    Numbers are quantiles of a column's distinct edges. Of more than ``most_values`` strings, those of
+    the lowest hash stand for all. The driver gets nothing else.
+    """
     out: dict[str, list] = {}
-    some = p.stats.orderBy("part_id").limit(40).toPandas()
+    ranks = F.array(*[F.lit(i / (per_column - 1)) for i in range(per_column)])
     for c in p.w.cfg.numeric:
-        edges = sorted({round(float(h["hi"]), 4) for hs in some[f"{c}__hist"] if hs is not None for h in hs})
-        out[c] = [edges[i] for i in np.unique(np.linspace(0, len(edges) - 1, per_column).astype(int))] if edges else []
+        edges = p.stats.select(F.explode(F.col(f"{c}__hist.hi")).alias("edge")).select(F.round(F.col("edge").cast("double"), 4).alias("edge")).distinct()
+        out[c] = sorted(set(edges.agg(F.percentile_approx("edge", ranks, F.lit(10_000))).first()[0] or []))
     for c in p.w.cfg.strings:
-        out[c] = sorted({d["value"] for ds in some[f"{c}__dict"] if ds is not None for d in ds})[:100]
+        values = p.stats.select(F.explode(F.col(f"{c}__dict.value")).alias("value")).where("value is not null").distinct()
+        out[c] = sorted(r[0] for r in values.orderBy(F.xxhash64("value"), "value").limit(most_values).collect())
     return out
 
 

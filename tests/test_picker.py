@@ -133,3 +133,16 @@ def test_cells_cluster_in_parallel(spark):
     df = spark.createDataFrame([(i, rng.normal(size=3).tolist()) for i in range(200)], "part_id int, f array<double>")
     rows = clustering.cell_sample(df, 40, 4).collect()
     assert sum(r["weight"] for r in rows) == pytest.approx(200)
+
+
+def test_constants_come_from_all_partitions(spark):
+    from types import SimpleNamespace
+
+    from coarsesample.plans.training import constants_of
+
+    rows = [(i, [(float(10 * i + j),) for j in range(1, 11)], [(f"v{i:03d}",)]) for i in range(200)]
+    stats = spark.createDataFrame(rows, "part_id int, x__hist array<struct<hi: double>>, s__dict array<struct<value: string>>")
+    got = constants_of(SimpleNamespace(stats=stats, w=SimpleNamespace(cfg=SimpleNamespace(numeric=("x",), strings=("s",)))))
+    assert len(got["x"]) == 20 and got["x"][0] == 1.0 and got["x"][-1] == 2000.0
+    assert max(b - a for a, b in zip(got["x"], got["x"][1:], strict=False)) < 150
+    assert got["s"] == [f"v{i:03d}" for i in range(200)]
