@@ -37,7 +37,7 @@ def n_parts_of(sf_dir: str, name: str) -> int:
     return {"lineitem": 200 if big else 100, "orders": 100, "events": 100, "documents": 50, "embeddings": 25}[name] if "0.001" not in sf_dir else {"lineitem": 50, "orders": 30, "events": 20, "documents": 20, "embeddings": 10}[name]
 
 
-def trained(spark: SparkSession, sf_dir: str, name: str, layout: str, n_parts: int | None = None, n_train: int = 48, n_test: int = 20) -> tuple:
+def trained(spark: SparkSession, sf_dir: str, name: str, layout: str, n_parts: int | None = None, n_train: int = 400, n_test: int = 100) -> tuple:
     """Prepared view with models, test queries, their answers and selectivities; kept for the session."""
     n_parts = n_parts or n_parts_of(sf_dir, name)
     key = (spark.sparkContext.applicationId, sf_dir, name, layout, n_parts, n_train, n_test)
@@ -49,8 +49,7 @@ def trained(spark: SparkSession, sf_dir: str, name: str, layout: str, n_parts: i
         sels = p.selectivities(both)
         train = [i for i in range(n_train) if answers[i].n_groups]
         p.fit([both[i] for i in train], [answers[i] for i in train], [sels[i] for i in train])
-        some = train[:16]
-        p.keep = select_features(p, [both[i] for i in some], [answers[i] for i in some], [sels[i] for i in some], restarts=1)[0]
+        p.keep = select_features(p, [both[i] for i in train], [answers[i] for i in train], [sels[i] for i in train])[0]
         rest = [i for i in range(n_train, len(both)) if answers[i].n_groups]
         _held[key] = (p, [both[i] for i in rest], [answers[i] for i in rest], [sels[i] for i in rest], ([both[i] for i in train], [answers[i] for i in train], [sels[i] for i in train]))
     return _held[key]
@@ -69,7 +68,7 @@ def pick(p: Prepared, method: str, q, sel: np.ndarray, n: int, seed: int) -> lis
     return select_full(p.candidates(q, sel), n, p.models, seed=seed, **FLAGS[method])
 
 
-def curves(p: Prepared, queries, answers, sels, methods, budgets=BUDGETS, seeds: int = 5) -> list[tuple]:
+def curves(p: Prepared, queries, answers, sels, methods, budgets=BUDGETS, seeds: int = 10) -> list[tuple]:
     """(method, budget, missed, rel, abs), means over queries and seeds."""
     rows = []
     for m in methods:
@@ -176,7 +175,7 @@ def picker_times(spark: SparkSession, sf_dir: str) -> DataFrame:
     return frame(spark, rows, "view string, parts int, total_ms double, total_sd double, cluster_ms double, cluster_sd double")
 
 
-def unseen(spark: SparkSession, sf_dir: str, instances: int = 4, budget: float = 0.1) -> DataFrame:
+def unseen(spark: SparkSession, sf_dir: str, instances: int = 20, budget: float = 0.1) -> DataFrame:
     """Benchmark-like templates that training never saw: mean, best and worst error of each method."""
     import random
 

@@ -85,7 +85,7 @@ def laid_out(spark: SparkSession, sf_dir: str, name: str, layout: str, n_parts:
 
 
 def generate(w: Workload, constants: dict[str, list], n: int, seed: int) -> list[QuerySpec]:
-    """n different random queries: 0 to 3 group columns, 0 to 5 clauses, 1 to 3 aggregates.
+    """n different random queries: 0 to 2 group columns, 0 to 5 clauses, 1 to 3 aggregates.
 
     ``constants`` holds candidate values by column, from sketches; the count of group columns is kept
     low so that estimated groups stay few.

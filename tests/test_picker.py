@@ -146,3 +146,22 @@ def test_constants_come_from_all_partitions(spark):
     assert len(got["x"]) == 20 and got["x"][0] == 1.0 and got["x"][-1] == 2000.0
     assert max(b - a for a, b in zip(got["x"], got["x"][1:], strict=False)) < 150
     assert got["s"] == [f"v{i:03d}" for i in range(200)]
+
+
+def test_experiments_use_all_training_queries(spark, monkeypatch):
+    import inspect
+
+    from coarsesample.plans import experiments
+
+    of = lambda f: {k: v.default for k, v in inspect.signature(f).parameters.items()}
+    assert (of(experiments.trained)["n_train"], of(experiments.trained)["n_test"]) == (400, 100)
+    assert of(experiments.curves)["seeds"] == 10 and of(experiments.unseen)["instances"] == 20
+    asked = []
+
+    def noted(p, queries, *a, **b):
+        asked.append(len(queries))
+        return np.ones(len(p.schema), bool), [0.0]
+
+    monkeypatch.setattr(experiments, "select_features", noted)
+    train = experiments.trained(spark, "/root/testdata/sf0.001", "events", "user", 10, n_train=30, n_test=3)[4]
+    assert asked == [len(train[0])] and asked[0] > 16
