@@ -215,7 +215,8 @@ def near_duplicates(docs: DataFrame, width: int = 5, num: int = 80, den: int = 1
     rare = rare.join(reps.select("doc_id", "n_shingles"), "doc_id")
     alone = F.least("n_shingles", F.lit(k)) - F.size("found")
     whole = F.floor(F.col("n_shingles") * (den - num) / den) + 1
-    longest = F.when(F.col("n_shingles") <= k, F.least(whole, prefix)).otherwise(prefix)
+    # The short prefix holds where every partner that can reach the threshold has its whole set for a sketch.
+    longest = F.when(F.col("n_shingles") * den <= k * num, F.least(whole, prefix)).otherwise(prefix)
     entered = rare.select("doc_id", "n_shingles", F.explode(F.slice("found", F.lit(1), F.greatest(longest - alone, F.lit(0)).cast("int"))).alias("at"))
     entered = entered.join(joined.withColumnRenamed("node", "doc_id"), "doc_id", "left").select(F.col("at.value").alias("value"), "doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component"))
     entered = materialize(entered, "entered")

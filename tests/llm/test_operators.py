@@ -418,6 +418,13 @@ def test_near_text(spark, width, num, short):
     assert all(r["n_shingles"] == len(sets[i]) and r["kept"] == (want[i] == i) for i, r in got.items())
 
 
+def test_near_text_small_set_with_a_partner_beyond_its_sketch(spark):
+    rows = [(2 * i + j, " ".join(f"w{i}x{x}" for x in range(n))) for i in range(120) for j, n in enumerate((64, 75))]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = near_text.near_duplicates(df, width=1, num=85, den=100, first_keys=0).collect()
+    assert [r["doc_id"] for r in got if r["component_id"] != r["doc_id"] // 2 * 2] == []
+
+
 def test_near_text_odd(odd, nothing):
     got = near_text.near_duplicates(odd, 3, 85, 100).collect()
     assert len(got) == odd.count()
