@@ -84,3 +84,8 @@ def test_llm_can_be_deleted(tmp_path):
     shutil.copy(root / "__spark_entry__.py", tmp_path)
     out = subprocess.run([sys.executable, "-c", "import __spark_entry__ as e; print(len(e.queries()), any(k.startswith('op1_') for k in e.queries()))"], cwd=tmp_path, capture_output=True, text=True, env={"PATH": "/usr/bin", "PYTHONPATH": ""})
     assert out.stdout.split() and out.stdout.split()[1] == "False", out.stderr
+
+
+@pytest.mark.parametrize("name", ["o06_project_whole", "o24_ranking_whole", "o25_analytic_whole", "o30_math_whole"])
+def test_every_row_of_lineitem(spark, name):
+    assert QUERIES[name](spark, TINY).count() == spark.read.parquet(f"{TINY}/lineitem.parquet").count()
