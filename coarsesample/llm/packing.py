@@ -1,10 +1,14 @@
 """Lexical retrieval packing.
 
-Documents are dealt to shards of bounded bytes by a hash of key and text; each shard holds a BM25
+Documents are dealt to shards of bounded bytes by a hash of key and row; each shard holds a BM25
 inverted index over its documents' token ids. Whole windows of a document longer than a sequence
 leave at once. Of the rest, a seed document opens a sequence, its best unused BM25 neighbours, scored
-with all of the seed's distinct ids, fill it in order of score, and the document that meets the border is cut there; its tail opens the next
-sequence. So every sequence of a shard is full but its last, which is padded to a power of two.
+with all of the seed's distinct ids, fill it in order of score, and the document that meets the border
+is cut there; its tail opens the next sequence. So every sequence of a shard is full but its last,
+which is padded to a power of two: one in about 500 at ``shard_bytes``.
+
+A shard is one task's memory and its scoring grows with the square of its documents, so shards stay
+small and their number follows the table. Rows that repeat a key and text spread over all shards.
 
 Defined results: null or empty text is one end id; repeated rows are packed once each; ties in score
 go to the lower place in the shard; an empty table gives no pieces. Only key and text are read.
@@ -151,12 +155,12 @@ def pack_shard(shard: int, doc_ids: list, ids: list[np.ndarray], budget: int) ->
     )
 
 
-def pack(docs: DataFrame, vocabulary: str = "byte_bpe_50k.json", spaces: bool = True, budget: int = 2048, shard_bytes: int = 12_000_000, key: str = "doc_id", text: str = "text") -> DataFrame:
+def pack(docs: DataFrame, vocabulary: str = "byte_bpe_50k.json", spaces: bool = True, budget: int = 2048, shard_bytes: int = 4_000_000, key: str = "doc_id", text: str = "text") -> DataFrame:
     """Pieces with their ids. The count of shards follows the bytes, so a shard's size doesn't grow."""
     held = docs.select(F.col(key).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
     total = held.agg(F.sum(F.octet_length("text") + F.lit(64)).alias("bytes")).first()["bytes"] or 0
     shards = max(1, math.ceil(total / shard_bytes))
-    dealt = held.withColumn("doc_id", F.col("doc_id").cast("string")).withColumn("shard", F.pmod(F.xxhash64("doc_id", F.crc32(F.col("text").cast("binary"))), F.lit(shards)).cast("int"))
+    dealt = held.withColumn("doc_id", F.col("doc_id").cast("string")).withColumn("shard", F.pmod(F.xxhash64("doc_id", F.monotonically_increasing_id()), F.lit(shards)).cast("int"))
 
     def run(group: pd.DataFrame) -> pd.DataFrame:
         coder = encoder(vocabulary, spaces)
