@@ -1,16 +1,18 @@
 """Document quality by attention-based multiple-instance learning.
 
-A document is a bag of passages of ``PASSAGE`` words. Every passage is encoded to style features and
-a hidden layer; gated attention (tanh times sigmoid) weighs the passages; the weighted
-representation gives the score. Only document labels are given, so the attention learns which
-passages matter.
-
-Learning takes a bounded sample of labelled documents (``max_documents``, chosen by a hash of the
-key), encoded on the executors; scoring reads whole texts.
-
-Defined results: null text counts as empty, an empty text is one passage of zeros; without both
-labels in the sample the score is the share of label 1, or 0.5; an empty table gives an empty
-result; the output holds key, score and decision only.
+A document is a bag of passages of ``PASSAGE`` words. A passage is encoded as the mean of its words'
+learnt embeddings (words share ``BUCKETS`` rows by a hash) together with style features, through one
+hidden layer; gated attention (tanh times sigmoid) weighs the passages; the weighted representation
+gives the score. Embeddings, attention and scorer are learnt together from document labels alone, so
+the attention learns which passages matter.
+
+Learning takes a bounded sample of labelled documents (about ``max_documents``, chosen by a hash of
+the key), encoded on the executors; scoring reads whole texts.
+
+Defined results: null text counts as empty, an empty text is one passage of zeros; of rows that repeat
+a labelled key the least text is learnt from, and the highest label; without both labels in the sample
+the score is the share of label 1, or 0.5; an empty table gives an empty result; the output holds key,
+score and decision only.
 """
 
 from __future__ import annotations
@@ -20,6 +22,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -31,7 +34,9 @@ _SYMBOLS = re.compile(r"[^\w\s.,;:'\"()?-]")
 _RUN = re.compile(r"(.)\1")
 WORD_FEATURES = ("length", "long", "upper", "title", "digits", "symbols", "doubled_symbol", "no_letter", "ends_sentence", "ends_comma", "url_or_mail")
 BAG_FEATURES = ("distinct", "repeats", "run", "words")
-N_FEATURES = len(WORD_FEATURES) + len(BAG_FEATURES)
+N_STYLE = len(WORD_FEATURES) + len(BAG_FEATURES)
+BUCKETS = 256
+N_FEATURES = N_STYLE + BUCKETS
 
 
 def word_features(word: str) -> list[float]:
@@ -61,12 +66,15 @@ class _Words(dict):
         super().__init__()
         self.limit = limit
         self.table = np.zeros((limit + 4096, len(WORD_FEATURES)), np.float32)
+        self.bucket = np.zeros(limit + 4096, np.int64)
 
     def __missing__(self, word: str) -> int:
         at = len(self)
         if at >= len(self.table):
             self.table = np.concatenate([self.table, np.zeros_like(self.table)])
+            self.bucket = np.concatenate([self.bucket, np.zeros_like(self.bucket)])
         self.table[at] = word_features(word)
+        self.bucket[at] = xxhash.xxh3_64_intdigest(word.lower().encode("utf-8", "surrogatepass")) % BUCKETS
         self[word] = at
         return at
 
@@ -79,7 +87,7 @@ _words: list[_Words] = []
 
 
 def encode(text: str | None) -> np.ndarray:
-    """Passages by features."""
+    """Passages by features: style, then the share of the passage's words in each bucket."""
     worker.claim("quality", _words.clear)
     if not _words:
         _words.append(_Words())
@@ -107,27 +115,40 @@ def encode(text: str | None) -> np.ndarray:
     twice[2:] = again[2:] * again[1:-1]
     out[:, k + 2] = np.add.reduceat(twice, starts) / sizes
     out[:, k + 3] = np.minimum(sizes, PASSAGE) / PASSAGE
+    lexical = np.bincount(passage * BUCKETS + known.bucket[ids], minlength=len(starts) * BUCKETS).reshape(-1, BUCKETS)
+    out[:, N_STYLE:] = lexical / sizes[:, None]
     return out
 
 
 class AttentionModel:
-    """Passage encoder, gated attention and scorer, trained together with Adam on whole bags."""
+    """Passage encoder, gated attention and scorer, trained together with Adam on whole bags.
 
-    def __init__(self, hidden: int = 16, gate: int = 8, seed: int = 7):
+    ``attention=False`` gives all passages the same weight: mean pooling, to compare with.
+    """
+
+    def __init__(self, hidden: int = 16, gate: int = 8, seed: int = 7, attention: bool = True):
         rng = np.random.default_rng(seed)
+        self.attention = attention
         put = lambda *shape: rng.normal(0, 1 / np.sqrt(shape[0]), shape).astype(np.float32)
-        self.p = {"E": put(N_FEATURES, hidden), "e": np.zeros(hidden), "V": put(hidden, gate), "U": put(hidden, gate), "w": put(gate), "c": put(hidden), "b": np.zeros(1)}
+        self.p = {"E": put(N_FEATURES, hidden), "e": np.zeros(hidden, np.float32), "V": put(hidden, gate), "U": put(hidden, gate), "w": put(gate), "c": put(hidden), "b": np.zeros(1, np.float32)}
         self.mean, self.scale = np.zeros(N_FEATURES), np.ones(N_FEATURES)
         self.constant: float | None = None
 
+    def scaled(self, x: np.ndarray) -> np.ndarray:
+        """Features in units of their spread; a passage holds few of the buckets, so together they weigh about as much as the style."""
+        out = np.clip((x - self.mean) / self.scale, -8, 8)
+        out[:, N_STYLE:] /= 16
+        return out
+
     def forward(self, x: np.ndarray, starts: np.ndarray) -> dict:
+        """All layers over the scaled passages of bags that begin at ``starts``."""
         p, f = self.p, {}
         sizes = np.diff(np.append(starts, len(x)))
         f["bag"] = np.repeat(np.arange(len(starts)), sizes)
-        f["x"] = np.clip((x - self.mean) / self.scale, -8, 8)
+        f["x"] = x
         f["h"] = np.tanh(f["x"] @ p["E"] + p["e"])
         f["t"], f["s"] = np.tanh(f["h"] @ p["V"]), 1 / (1 + np.exp(-f["h"] @ p["U"]))
-        a = (f["t"] * f["s"]) @ p["w"]
+        a = (f["t"] * f["s"]) @ p["w"] * float(self.attention)
         a = np.exp(a - np.maximum.reduceat(a, starts)[f["bag"]])
         f["a"] = a / np.add.reduceat(a, starts)[f["bag"]]
         f["z"] = np.add.reduceat(f["h"] * f["a"][:, None], starts, axis=0)
@@ -140,6 +161,7 @@ class AttentionModel:
         dz = d[:, None] * p["c"]
         da = np.sum(f["h"] * dz[bag], axis=1)
         dl = f["a"] * (da - np.add.reduceat(f["a"] * da, starts)[bag])
+        dl = dl * float(self.attention)
         dg = dl[:, None] * p["w"]
         dt, ds = dg * f["s"] * (1 - f["t"] ** 2), dg * f["t"] * f["s"] * (1 - f["s"])
         dh = f["a"][:, None] * dz[bag] + dt @ p["V"].T + ds @ p["U"].T
@@ -147,7 +169,7 @@ class AttentionModel:
         g = {"E": f["x"].T @ dx, "e": dx.sum(0), "V": f["h"].T @ dt, "U": f["h"].T @ ds, "w": (f["t"] * f["s"]).T @ dl, "c": f["z"].T @ d, "b": np.array([d.sum()])}
         return {k: v + decay * p[k] for k, v in g.items()}
 
-    def fit(self, bags: list[np.ndarray], labels: np.ndarray, steps: int = 200, rate: float = 0.03, decay: float = 1e-4) -> AttentionModel:
+    def fit(self, bags: list[np.ndarray], labels: np.ndarray, steps: int = 150, rate: float = 0.02, decay: float = 3e-4) -> AttentionModel:
         labels = np.asarray(labels, np.float32)
         if not len(labels) or labels.min() == labels.max():
             self.constant = float(labels.mean()) if len(labels) else 0.5
@@ -155,6 +177,7 @@ class AttentionModel:
         x = np.concatenate(bags).astype(np.float32)
         starts = np.concatenate([[0], np.cumsum([len(b) for b in bags])[:-1]])
         self.mean, self.scale = x.mean(0, dtype=float).astype(np.float32), x.std(0, dtype=float).astype(np.float32) + np.float32(1e-3)
+        x = self.scaled(x).astype(np.float32)
         m, v = ({k: np.zeros_like(w) for k, w in self.p.items()} for _ in range(2))
         for step in range(1, steps + 1):
             g = self.gradients(self.forward(x, starts), starts, labels, decay)
@@ -170,7 +193,7 @@ class AttentionModel:
         if not bags:
             return np.zeros(0)
         starts = np.concatenate([[0], np.cumsum([len(b) for b in bags])[:-1]]).astype(np.int64)
-        return self.forward(np.concatenate(bags).astype(float), starts)["y"]
+        return self.forward(self.scaled(np.concatenate(bags).astype(float)), starts)["y"]
 
 
 def train(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text", label: str = "quality", max_documents: int = 2000) -> AttentionModel:
@@ -179,20 +202,21 @@ def train(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "
     The sample's keys are broadcast (bounded by that number); their texts are encoded where they
     lie and only the passages' features reach the driver.
     """
-    known = labels.where(F.col(label).isNotNull() & F.col(key).isNotNull()).select(F.col(key).alias("k"), F.col(label).cast("int").alias("y"))
-    n = known.count()
-    at = F.pmod(F.xxhash64("k", F.lit("sample")), F.lit(1 << 30))
-    chosen = known.where(at < F.lit(int(min(1.0, max_documents / max(1, n)) * (1 << 30)))).groupBy("k").agg(F.max("y").alias("y"))
-    bags = docs.select(F.col(key).alias("k"), F.col(text).alias("text")).join(F.broadcast(chosen), "k")
+    known = labels.where(F.col(label).isNotNull() & F.col(key).isNotNull()).select(F.col(key).cast("string").alias("k"), F.col(label).cast("int").alias("y"))
+    n = known.agg(F.approx_count_distinct("k", 0.02)).first()[0]
+    at = F.pmod(F.xxhash64("k", F.lit("sample")), F.lit(1 << 62))
+    chosen = known.where(at < F.lit(int(min(1.0, max_documents / max(1, n)) * (1 << 62)))).groupBy("k").agg(F.max("y").alias("y"))
+    held = docs.select(F.col(key).cast("string").alias("k"), F.coalesce(F.col(text), F.lit("")).alias("text")).join(F.broadcast(chosen), "k")
+    bags = held.groupBy("k", "y").agg(F.min("text").alias("text"))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            coded = [encode(t) for t in batch["text"]]
+            coded = [encode(t).astype(np.float16) for t in batch["text"]]
             yield pd.DataFrame({"k": batch["k"], "y": batch["y"], "n": [len(c) for c in coded], "bag": [c.tobytes() for c in coded]})
 
-    rows = bags.mapInPandas(run, "k long, y int, n int, bag binary").collect()
-    rows.sort(key=lambda r: (r["k"], r["y"], bytes(r["bag"])))
-    return AttentionModel().fit([np.frombuffer(r["bag"], np.float32).reshape(r["n"], N_FEATURES) for r in rows], np.array([r["y"] for r in rows]))
+    rows = bags.mapInPandas(run, "k string, y int, n int, bag binary").collect()
+    rows.sort(key=lambda r: r["k"])
+    return AttentionModel().fit([np.frombuffer(r["bag"], np.float16).reshape(r["n"], N_FEATURES) for r in rows], np.array([r["y"] for r in rows]))
 
 
 def score(docs: DataFrame, model: AttentionModel, threshold: float = 0.7, key: str = "doc_id", text: str = "text") -> DataFrame:
