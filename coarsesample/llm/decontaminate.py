@@ -10,10 +10,13 @@ passage. Passages are two steps long and start at every step, which is the longe
 so each occurrence lies whole in one.
 
 The index holds the benchmark only. Its size is checked; a benchmark over ``slice_chars`` is searched
-in slices, each with its own index and the document frequencies of the whole benchmark.
+in slices. Scores and passages don't depend on the slices: item count, mean and longest length and the
+document frequencies are those of the whole benchmark, counted on the executors, and a slice gets the
+frequencies of its own words only.
 
 Defined results: null and empty texts match nothing; items without words are left out; repeated
-items each match; an item shorter than five words must occur as a whole; an empty table gives an
+items each match; an item shorter than five words must occur as a whole; a null key is null in the
+result, and a document without a key is dropped by drop_leaks like any other; an empty table gives an
 empty result.
 """
 
@@ -23,6 +26,7 @@ import math
 import re
 from collections import Counter
 from collections.abc import Iterator
+from dataclasses import dataclass, field
 from itertools import repeat
 
 import numpy as np
@@ -30,6 +34,8 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from coarsesample.runtime import materialize
+
 _WORD = re.compile(r"\w+")
 _SENTENCE = re.compile(r"(?<=[.!?])\s+|\n")
 
@@ -57,21 +63,30 @@ def shingles(words: list[str], width: int = 5) -> set[tuple]:
     return set(zip(*(words[i:] for i in range(width)), strict=False))
 
 
+@dataclass
+class Totals:
+    """What a slice has to know of the whole benchmark: items, their mean and longest length, items by word."""
+
+    items: int
+    mean: float
+    longest: int
+    df: dict[str, int] = field(default_factory=dict)
+
+
 class BlockMaxIndex:
     """Impact-ordered bounds over document-ordered posting lists."""
 
-    def __init__(self, items: list[tuple[int, str]], threshold: float = 0.65, k1: float = 1.2, b: float = 0.75, block: int = 4, df: dict[str, int] | None = None, n: int | None = None):
+    def __init__(self, items: list[tuple[int, str]], threshold: float = 0.65, k1: float = 1.2, b: float = 0.75, block: int = 4, totals: Totals | None = None):
         self.threshold, self.block = threshold, block
         split = [(i, question_and_answer(t)) for i, t in items]
         split = [(i, q, a) for i, (q, a) in split if q or a]
         self.ids = [i for i, _, _ in split]
         self.parts = [(q, a, shingles(q), shingles(a)) for _, q, a in split]
         counts = [Counter(q + a) for _, q, a in split]
-        df = df or Counter(t for c in counts for t in c)
-        n = n or len(counts)
-        idf = {t: math.log(1 + (n - d + 0.5) / (d + 0.5)) for t, d in df.items()}
-        mean = sum(c.total() for c in counts) / max(1, len(counts))
-        self.longest = max((c.total() for c in counts), default=0)
+        sizes = [c.total() for c in counts]
+        totals = totals or Totals(len(counts), sum(sizes) / max(1, len(counts)), max(sizes, default=0), Counter(t for c in counts for t in c))
+        n, mean, self.longest = totals.items, totals.mean, totals.longest
+        idf = {t: math.log(1 + (n - d + 0.5) / (d + 0.5)) for t, d in totals.df.items()}
         lists: dict[str, list[tuple[int, float]]] = {}
         for at, c in enumerate(counts):
             norm = k1 * (1 - b + b * c.total() / mean)
@@ -153,7 +168,7 @@ class BlockMaxIndex:
         return starts[: len(half)][(half >= self.threshold - 1e-4).any(axis=1)]
 
     def matches(self, text: str | None, least: float) -> list[tuple[int, float, float, float, int]]:
-        """Best verified passage of each item found in a text: place, score, overlaps, first word."""
+        """Best verified passage of each item found in a text, the first of equal ones: place, score, overlaps, first word."""
         words = words_of(text)
         if not words:
             return []
@@ -162,37 +177,50 @@ class BlockMaxIndex:
         for start in self._bound_passages(words, step).tolist():
             passage = words[start : start + 2 * step]
             for item, score in self.search(set(passage)):
-                seen = self.verify(item, passage, least)
+                seen, score = self.verify(item, passage, least), round(score, 9)
                 if seen and (item not in best or (seen, score) > (best[item][2:4], best[item][1])):
                     best[item] = (item, score, *seen, start)
         return sorted(best.values())
 
 
-def find_leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.65, least: float = 0.8, slice_chars: int = 4_000_000, key: str = "doc_id", text: str = "text", item: str = "item_id") -> DataFrame:
-    """doc_id, item_id, score, question_overlap, answer_overlap, first_word: one row per document and item."""
+def _item_words(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    for batch in batches:
+        found = [words_of(t) for t in batch["t"]]
+        yield pd.DataFrame({"slice": batch["slice"], "n": [len(w) for w in found], "words": [sorted(set(w)) for w in found]})
+
+
+def _indexes(benchmark: DataFrame, threshold: float, slice_chars: int, item: str) -> Iterator[tuple]:
+    """Arguments of each slice's index: one for a benchmark up to ``slice_chars``."""
     items = benchmark.select(F.col(item).cast("long").alias("i"), F.coalesce(F.col("text"), F.lit("")).alias("t"))
     total = items.agg(F.sum(F.length("t"))).first()[0] or 0
     slices = max(1, math.ceil(total / slice_chars))
+    held = lambda rows: sorted((-1 if r["i"] is None else r["i"], r["t"]) for r in rows.collect())
+    if slices == 1:
+        yield held(items), threshold, None
+        return
+    dealt = items.withColumn("slice", F.pmod(F.xxhash64("i", "t"), F.lit(slices)).cast("int"))
+    counted = materialize(dealt.mapInPandas(_item_words, "slice int, n int, words array<string>").where("n > 0"), "benchmark")
+    n, mean, longest = counted.agg(F.count(F.lit(1)), F.avg("n"), F.max("n")).first()
+    words = counted.select("slice", F.explode("words").alias("word"))
+    df = materialize(words.groupBy("word").agg(F.count(F.lit(1)).alias("df")), "frequencies")
+    for s in range(slices):
+        own = words.where(F.col("slice") == s).select("word").distinct().join(df, "word")
+        yield held(dealt.where(F.col("slice") == s)), threshold, Totals(n or 0, mean or 0.0, longest or 0, {r["word"]: r["df"] for r in own.collect()})
+
+
+def find_leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.65, least: float = 0.8, slice_chars: int = 4_000_000, key: str = "doc_id", text: str = "text", item: str = "item_id") -> DataFrame:
+    """doc_id, item_id, score, question_overlap, answer_overlap, first_word: one row per document and item."""
     given = docs.select(F.col(key).cast("string").alias("doc_id"), F.col(text).alias("text"))
     out = None
-    df: Counter = Counter()
-    n = 0
-    parts = [items.where(F.pmod(F.hash("i"), F.lit(slices)) == s) for s in range(slices)] if slices > 1 else [items]
-    if slices > 1:
-        for part in parts:
-            for _, t in part.collect():
-                df.update(set(words_of(t)))
-                n += 1
-    for part in parts:
-        held = sorted((-1 if r["i"] is None else r["i"], r["t"]) for r in part.collect())
-        found = given.mapInPandas(_search(held, threshold, least, {t: df[t] for _, x in held for t in words_of(x)} if slices > 1 else None, n or None), "doc_id string, item_id long, score double, question_overlap double, answer_overlap double, first_word long")
+    for args in _indexes(benchmark, threshold, slice_chars, item):
+        found = given.mapInPandas(_search(*args, least), "doc_id string, item_id long, score double, question_overlap double, answer_overlap double, first_word long")
         out = found if out is None else out.unionByName(found)
     return out.withColumn("doc_id", F.col("doc_id").cast("long"))
 
 
-def _search(items: list[tuple[int, str]], threshold: float, least: float, df: dict | None, n: int | None):
+def _search(items: list[tuple[int, str]], threshold: float, totals: Totals | None, least: float):
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        index = BlockMaxIndex(items, threshold, df=df, n=n)
+        index = BlockMaxIndex(items, threshold, totals=totals)
         for batch in batches:
             rows = [(doc, index.ids[m[0]], *m[1:]) for doc, t in zip(batch["doc_id"], batch["text"], strict=True) for m in index.matches(t, least)]
             yield pd.DataFrame(rows, columns=["doc_id", "item_id", "score", "question_overlap", "answer_overlap", "first_word"])
@@ -200,7 +228,20 @@ def _search(items: list[tuple[int, str]], threshold: float, least: float, df: di
     return run
 
 
-def drop_leaks(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
-    """The documents in which no benchmark item was found."""
-    leaked = find_leaks(docs, benchmark, **options).select("doc_id").where("doc_id is not null").distinct()
-    return docs.join(leaked, "doc_id", "left_anti")
+def _clean(items: list[tuple[int, str]], threshold: float, totals: Totals | None, least: float):
+    """A column function of the text: whether no item of a slice is in it. Never null."""
+
+    @F.pandas_udf("boolean")
+    def clean(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        index = BlockMaxIndex(items, threshold, totals=totals)
+        for texts in batches:
+            yield pd.Series([not index.matches(t, least) for t in texts], dtype=bool)
+
+    return clean
+
+
+def drop_leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.65, least: float = 0.8, slice_chars: int = 4_000_000, text: str = "text", item: str = "item_id") -> DataFrame:
+    """The documents in which no benchmark item was found: a filter on the text, without a join or shuffle."""
+    for args in _indexes(benchmark, threshold, slice_chars, item):
+        docs = docs.where(_clean(*args, least)(F.col(text)))
+    return docs
