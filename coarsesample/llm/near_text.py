@@ -16,8 +16,9 @@ Jaccard on full shingle sets, rebuilt from the whole texts, decides. The union o
 components; a component's first document is kept.
 
 Defined results: null or empty text has an empty set, is linked with nothing and kept; a text of
-fewer words than a shingle is one shingle; repeated rows are copies; a null key is never linked and
-its component is null; an empty table gives an empty result. Only key and text are read.
+fewer words than a shingle is one shingle; rows that repeat a key are one document, with its text or
+with several, and whatever one of them is linked with, all are; a null key is never linked and its
+component is null; an empty table gives an empty result. Only key and text are read.
 """
 
 from __future__ import annotations
@@ -108,6 +109,11 @@ def _sizes_fit(a, b, num: int, den: int):
     return F.least(a, b) * den >= F.greatest(a, b) * num
 
 
+def _once(rows: DataFrame) -> DataFrame:
+    """Rows that repeat a key and its text, once."""
+    return rows.withColumn("__text", F.xxhash64("text")).dropDuplicates(["doc_id", "__text"]).drop("__text")
+
+
 def _confirm(pairs: DataFrame, reps: DataFrame, docs: DataFrame, width: int, num: int, den: int, k: int, tag: str) -> DataFrame:
     """Those of ``pairs`` (a, b) that reach the threshold on full sets, as edges u, v."""
     threshold = num / den
@@ -118,7 +124,7 @@ def _confirm(pairs: DataFrame, reps: DataFrame, docs: DataFrame, width: int, num
     slack = F.lit(4.5 * math.sqrt(threshold * (1 - threshold))) / F.sqrt(F.size("u"))
     likely = materialize(held.where(F.col("shared") >= F.lit(threshold) - slack).select("a", "b"), f"likely-{tag}")
     wanted = materialize(likely.select(F.col("a").alias("doc_id")).unionByName(likely.select(F.col("b").alias("doc_id"))).distinct(), f"wanted-{tag}")
-    texts = docs.join(broadcast_if_small(wanted), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    texts = _once(docs.join(broadcast_if_small(wanted), "doc_id", "left_semi"))
     both = likely.join(texts.select(F.col("doc_id").alias("a"), F.col("text").alias("ta")), "a").join(texts.select(F.col("doc_id").alias("b"), F.col("text").alias("tb")), "b")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -126,13 +132,12 @@ def _confirm(pairs: DataFrame, reps: DataFrame, docs: DataFrame, width: int, num
             made: dict = {}
             found = []
             for a, b, ta, tb in batch[["a", "b", "ta", "tb"]].itertuples(index=False):
-                for i, t in ((a, ta), (b, tb)):
-                    if i not in made:
-                        if len(made) > 2000:
-                            made.clear()
-                        made[i] = shingle_set(t, width)
-                x, y = (made.get(i, None) for i in (a, b))
-                x = shingle_set(ta, width) if x is None else x
+                if len(made) > 2000:
+                    made.clear()
+                for t in (ta, tb):
+                    if t not in made:
+                        made[t] = shingle_set(t, width)
+                x, y = made[ta], made[tb]
                 shared = len(np.intersect1d(x, y, assume_unique=True))
                 if shared * den >= (len(x) + len(y) - shared) * num:
                     found.append((a, b))
@@ -153,7 +158,7 @@ def _long_lists(lists: DataFrame, docs: DataFrame, width: int, num: int, den: in
     sizes = groups.groupBy("bunch").agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("blocks"))
     members = lists.groupBy("doc_id").agg(F.min("component").alias("component")).join(groups, "doc_id").join(sizes, "bunch")
     members = materialize(members.withColumn("own", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int")), "bunches")
-    texts = docs.join(broadcast_if_small(members), "doc_id").dropDuplicates(["doc_id"])
+    texts = _once(docs.join(broadcast_if_small(members), "doc_id"))
     dealt = texts.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     dealt = dealt.withColumn("low", F.least("own", "other")).withColumn("high", F.greatest("own", "other"))
 
@@ -190,14 +195,22 @@ def _long_lists(lists: DataFrame, docs: DataFrame, width: int, num: int, den: in
     return materialize(dealt.select("bunch", "low", "high", "own", "doc_id", "component", "text").groupBy("bunch", "low", "high").applyInPandas(run, "u long, v long"), "links-long")
 
 
+def _same_key(usable: DataFrame, classes: DataFrame) -> DataFrame:
+    """Links between the classes of a key that has several texts, as edges u, v of their first members."""
+    several = usable.groupBy("doc_id").agg(F.min("fingerprint").alias("low"), F.max("fingerprint").alias("high")).where("low <> high").select("doc_id")
+    tied = usable.select("doc_id", "fingerprint").join(several, "doc_id", "left_semi").join(classes, "fingerprint").select("doc_id", "rep").distinct()
+    heads = tied.groupBy("doc_id").agg(F.min("rep").alias("u"))
+    return tied.join(heads, "doc_id").where("u <> rep").select("u", F.col("rep").alias("v"))
+
+
 def near_duplicates(docs: DataFrame, width: int = 5, num: int = 80, den: int = 100, k: int = 64, first_keys: int = 10, short_list: int = 32, key: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id, n_shingles, component_id, kept for every row; links where den * shared >= num * union."""
     given = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("text"))
     sets = materialize(sketches(given, width, k), "sketches")
     usable = sets.where("n_shingles > 0 and doc_id is not null")
     classes = materialize(usable.groupBy("fingerprint").agg(F.min("doc_id").alias("rep")), "classes")
-    firsts = classes.select(F.col("rep").alias("doc_id"))
-    reps = materialize(usable.join(firsts, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("doc_id", "n_shingles", "sketch"), "reps")
+    firsts = classes.select("fingerprint", F.col("rep").alias("doc_id"))
+    reps = materialize(usable.join(firsts, ["doc_id", "fingerprint"], "left_semi").dropDuplicates(["doc_id", "fingerprint"]).select("doc_id", "n_shingles", "sketch"), "reps")
 
     # Step 1: every member of a two-value list against the list's first member.
     two = F.zip_with(F.slice("sketch", 1, first_keys), F.slice("sketch", 2, first_keys), lambda x, y: F.xxhash64(x, F.coalesce(y, F.lit(0))))
@@ -205,14 +218,14 @@ def near_duplicates(docs: DataFrame, width: int = 5, num: int = 80, den: int = 1
     heads = keyed.groupBy("list").agg(F.min(F.struct("b", "nb")).alias("head"), F.count(F.lit(1)).alias("n")).where("n > 1").select("list", F.col("head.b").alias("a"), F.col("head.nb").alias("na"))
     stars = keyed.join(heads, "list").where((F.col("a") < F.col("b")) & _sizes_fit(F.col("na"), F.col("nb"), num, den)).select("a", "b").distinct()
     links = _confirm(stars, reps, given, width, num, den, k, "stars")
-    joined = connected_components(links)
+    joined = connected_components(links.unionByName(_same_key(usable, classes)))
 
     # Step 2: lists of rare retained values, between components only.
     posted = reps.select(F.explode("sketch").alias("value"), "doc_id")
     shared = posted.groupBy("value").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
     rare = posted.join(shared, "value").groupBy("doc_id").agg(F.sort_array(F.collect_list(F.struct("df", "value"))).alias("found"))
     prefix = F.lit(prefix_length(num / den, k))
-    rare = rare.join(reps.select("doc_id", "n_shingles"), "doc_id")
+    rare = rare.join(reps.groupBy("doc_id").agg(F.max("n_shingles").alias("n_shingles")), "doc_id")
     alone = F.least("n_shingles", F.lit(k)) - F.size("found")
     whole = F.floor(F.col("n_shingles") * (den - num) / den) + 1
     # The short prefix holds where every partner that can reach the threshold has its whole set for a sketch.
