@@ -16,9 +16,13 @@ At cosine 0.98 two vectors differ in a projection's sign with probability 0.064,
 agree in about as many signs as the group has doublings of ``block``; ``passes`` is raised with the
 largest group until that fails for at most one such pair in 10^5.
 
+Cosines are taken of vectors scaled by their largest component first, so squares neither vanish nor
+overflow.
+
 Defined results: null, zero or empty vectors, vectors with null or non-finite components, and null
-labels link with nothing and are their own component; repeated rows count as other vectors of equal
-value; a null id is never a component's name; an empty table gives an empty result.
+labels or ids link with nothing and are their own component; every row is a vector, so rows that
+repeat an id count as others, with its value or with another, and a component is named by its least
+id; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -46,6 +50,7 @@ def _keys(vectors: np.ndarray, seed: int, turn: int) -> np.ndarray:
 
 def _units(rows: pd.Series) -> np.ndarray:
     v = np.stack([np.asarray(r, np.float64) for r in rows])
+    v = v / np.abs(v).max(axis=1)[:, None]
     return v / np.linalg.norm(v, axis=1)[:, None]
 
 
@@ -221,14 +226,14 @@ def near_vectors(table: DataFrame, threshold: float = 0.98, passes: int = 8, blo
     """vec_id, n_links, component_id, kept for every row."""
     given = table.select(F.col(key).cast("long").alias("vec_id"), F.col(vector).cast("array<double>").alias("embedding"), F.col(label).cast("string").alias("label"))
     bad = F.exists("embedding", lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf")))
-    norm = F.aggregate("embedding", F.lit(0.0), lambda s, x: s + x * x)
-    fine = F.coalesce(F.col("vec_id").isNotNull() & F.col("label").isNotNull() & (F.size("embedding") > 0) & ~bad & (norm > 0) & (norm < float("inf")), F.lit(False))
+    fine = F.coalesce(F.col("vec_id").isNotNull() & F.col("label").isNotNull() & ~bad & F.exists("embedding", lambda x: x != 0), F.lit(False))
     given = given.withColumn("fine", fine)
     print_of = F.struct(F.xxhash64("embedding"), F.md5(F.array_join(F.transform("embedding", lambda x: x.cast("string")), ",").cast("binary")))
     valid = given.where("fine").withColumn("print", print_of)
-    classes = materialize(valid.groupBy("label", "print").agg(F.min("vec_id").alias("rep"), F.count(F.lit(1)).alias("copies")), "classes")
-    firsts = classes.select(F.col("rep").alias("vec_id"), "copies")
-    vectors = valid.dropDuplicates(["vec_id"]).join(firsts, "vec_id").select("vec_id", "label", F.size("embedding").alias("dim"), "embedding", "copies")
+    counted = valid.groupBy("label", "print").agg(F.min("vec_id").alias("rep"), F.count(F.lit(1)).alias("copies"))
+    classes = materialize(counted.withColumn("node", F.monotonically_increasing_id()), "classes")
+    firsts = valid.join(classes, ["label", "print"]).where("vec_id = rep").dropDuplicates(["node"])
+    vectors = firsts.select(F.col("node").alias("vec_id"), "label", F.size("embedding").alias("dim"), "embedding", "copies")
     largest = classes.groupBy("label").count().agg(F.max("count")).first()[0] or 0
     passes = max(passes, passes_for(largest, block, threshold))
     shape = "vec_id long, label string, dim int, embedding array<double>, copies long, keys array<bigint>"
@@ -242,8 +247,9 @@ def near_vectors(table: DataFrame, threshold: float = 0.98, passes: int = 8, blo
     links = met.where("u is not null").select("u", "v").unionByName(_border_links(met.where("u is null").drop("u", "v"), threshold))
     components = materialize(connected_components(links), "components")
     inside = _links_inside(vectors, components, threshold)
-    found = classes.join(inside.withColumnRenamed("vec_id", "rep"), "rep", "left").join(components.withColumnRenamed("node", "rep"), "rep", "left").withColumn("n_links", F.coalesce("n_links", F.lit(0)))
-    found = found.select("label", "print", (F.col("n_links") + F.col("copies") - 1).alias("links"), F.coalesce("component", "rep").alias("component"))
+    named = components.join(classes.select("node", "rep"), "node").groupBy("component").agg(F.min("rep").alias("name"))
+    found = classes.join(inside.withColumnRenamed("vec_id", "node"), "node", "left").join(components.join(named, "component"), "node", "left").withColumn("n_links", F.coalesce("n_links", F.lit(0)))
+    found = found.select("label", "print", (F.col("n_links") + F.col("copies") - 1).alias("links"), F.coalesce("name", "rep").alias("component"))
     rows = given.withColumn("print", F.when(F.col("fine"), print_of)).drop("embedding").join(found, ["label", "print"], "left")
     out = rows.select("vec_id", F.coalesce("links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("component", "vec_id").alias("component_id"))
     return out.withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(True)))
