@@ -4,6 +4,10 @@ Every shard draws a uniform number from (key, shard); the shard with the largest
 ``-weight / ln(draw)`` takes the record. A new shard only competes with its own draw, so it takes
 records into itself and moves none between the others.
 
+Slots come from counts, not from one long order: records are numbered inside (shard, bucket) groups,
+and what one key or text repeats is spread over all buckets by a salt, which is written down first so
+that a lost task draws the same one.
+
 Defined results: a null key hashes as the text ``\\N``; null text counts no bytes and has checksum 0;
 repeated keys land in one shard; an empty table gives an empty result; only the named key and text
 columns are read, so other columns may have any name.
@@ -16,6 +20,8 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from coarsesample.runtime import materialize
+
 ROW_OVERHEAD = 8
 
 
@@ -44,9 +50,9 @@ def assign_shards(
 ) -> DataFrame:
     """key, size, text_crc32, shard, slot, grown_shard for every record.
 
-    ``slot`` numbers a shard's records from 0 without gaps. Records are numbered inside
-    (shard, bucket) groups, each a small share of a shard, and moved up by the count of the buckets
-    before; those counts are ``len(weights) * slot_buckets`` rows at most, which is what is broadcast.
+    ``slot`` numbers a shard's records from 0 without gaps: a record's place in its (shard, bucket)
+    group, a small share of a shard, moved up by the count of the buckets before; those counts are
+    ``len(weights) * slot_buckets`` rows at most, which is what is broadcast.
     """
     stable = F.coalesce(F.col(key).cast("string"), F.lit("\\N"))
     placed = records.select(
@@ -55,8 +61,9 @@ def assign_shards(
         F.coalesce(F.crc32(F.col(text).cast("binary")), F.lit(0)).cast("long").alias("text_crc32"),
         shard_of(stable, weights).alias("shard"),
         shard_of(stable, [*weights, new_weight]).alias("grown_shard"),
-        F.pmod(F.xxhash64(stable, F.lit("slot")), F.lit(slot_buckets)).cast("int").alias("__bucket"),
+        F.pmod(F.xxhash64(stable, F.monotonically_increasing_id()), F.lit(slot_buckets)).cast("int").alias("__bucket"),
     )
+    placed = materialize(placed, "placed")
     before = Window.partitionBy("shard").orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)
     bases = (
         placed.groupBy("shard", "__bucket")
