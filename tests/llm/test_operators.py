@@ -83,6 +83,12 @@ def test_token_files(spark, request, tmp_path, which):
         want.append((k, at, len(ids), zlib.crc32(ids.tobytes())))
         at += len(ids)
     assert got == want
+    ids = [x for _, own in brute_ids(rows, "word_bpe_49k.json") for x in own.tolist()]
+    bases = {r["shard"]: r["base"] for r in token_files.shard_bases(spark, path).collect()}
+    for block in spark.read.schema(token_files.BLOCK_SCHEMA).parquet(path).collect():
+        reader, first = token_files.DacReader(bytes(block["payload"])), bases[block["shard"]] + block["first_token"]
+        for i in range(0, len(reader), 97):
+            assert reader[i] == ids[first + i]
 
 
 @pytest.mark.parametrize("which", ["docs", "odd", "nothing"])
@@ -155,6 +161,11 @@ def test_sharding_weights(spark):
     assert abs(share[1] - 0.75) < 0.01
 
 
+def test_sharding_one_repeated_row(spark):
+    got = sharding.assign_shards(spark.range(3000).select(F.lit(7).alias("doc_id"), F.lit("x").alias("text"))).toPandas()
+    assert got["shard"].nunique() == 1 and sorted(got["slot"]) == list(range(3000))
+
+
 def test_sharding_odd(odd, nothing):
     got = sharding.assign_shards(odd).collect()
     assert len(got) == odd.count() and {r["shard"] for r in got if r["doc_id"] == 1} == {next(r["shard"] for r in got if r["doc_id"] == 1)}
@@ -197,6 +208,8 @@ def test_chat_small_windows(spark):
         assert r["n_new"] >= 1 and (r["tokens"] <= 160 or r["n_new"] == 1)
         assert r["formatted"].count("</s>") == r["n_context"] + r["n_new"] == r["formatted"].count("[INST]")
     assert w.where("n_context > 0").count() > 0
+    counted = chat.format_windows(df.withColumn("given", F.lit(50)), budget=160, history_turns=0, block_turns=1000, tokens="given")
+    assert counted.where("n_new > 3").count() == 0 and counted.agg(F.sum("n_new")).first()[0] == len(rows)
 
 
 def test_chat_tables(spark):
@@ -256,8 +269,21 @@ def test_leaks_odd(spark, odd, nothing):
     assert decontaminate.find_leaks(nothing, bench).count() == 0
     assert decontaminate.find_leaks(odd, bench.where("false")).count() == 0
     assert decontaminate.find_leaks(odd, bench, slice_chars=12).count() == 4
-    kept = decontaminate.drop_leaks(odd, bench)
-    assert kept.columns == odd.columns and kept.count() == odd.count() - 2
+    for size in (4_000_000, 12):
+        kept = decontaminate.drop_leaks(odd, bench, slice_chars=size)
+        assert kept.columns == odd.columns and kept.count() == odd.count() - 2
+    no_key = spark.createDataFrame([(None, "say one two"), (None, "say two")], "doc_id long, text string")
+    assert [r["text"] for r in decontaminate.drop_leaks(no_key, bench).collect()] == ["say two"]
+
+
+def test_leaks_do_not_depend_on_slices(spark):
+    rng = random.Random(6)
+    vocab = [f"t{i}" for i in range(60)]
+    bench = [(i, " ".join(rng.choices(vocab, k=rng.randint(6, 40))) + ". " + " ".join(rng.choices(vocab, k=4)) + ".") for i in range(40)]
+    texts = [(d, " ".join(w for _ in range(4) for w in (rng.choice(bench)[1] if rng.random() < 0.4 else " ".join(rng.choices(vocab, k=30))).split())) for d in range(60)]
+    docs_, items = spark.createDataFrame(texts, "doc_id long, text string"), spark.createDataFrame(bench, "item_id long, text string")
+    rows = lambda size: sorted((r["doc_id"], r["item_id"], round(r["score"], 6), r["first_word"]) for r in decontaminate.find_leaks(docs_, items, slice_chars=size).collect())
+    assert rows(10**9) == rows(700) and len(rows(10**9)) > 20
 
 
 # HTML
@@ -275,12 +301,11 @@ def test_leaks_odd(spark, odd, nothing):
         ("<article><p>two\n\t  spaces&nbsp;here</p></article>", "two spaces here"),
         ("<p>unclosed <b>bold", "unclosed bold"),
         ("<style>p{}</style><title>t</title><p>body</p>", "body"),
+        ("<article><header><h1>own head</h1></header><div class='social-history'>a</div><p class='notice'>b</p><div class='comment-list'>c</div><footer>f</footer></article>", "own head a b"),
     ],
 )
 def test_parse(page, text):
-    has_main, main, outside = html.parse(page)
-    got = main if has_main else " ".join(t for k, b in outside if k == html.OUTSIDE for t in b)
-    assert got == text
+    assert " ".join(t for b in html.candidates(page)[1] for t in b) == text
 
 
 def test_pages(spark):
@@ -315,6 +340,66 @@ def test_mirrored_pages_and_shared_quotations_stay(spark):
     assert {r["page_id"]: r["text"] for r in html.extract(df).collect()} == texts
 
 
+def test_suffix_array_against_sorting():
+    rng = np.random.default_rng(4)
+    for n, kinds in ((0, 1), (1, 1), (40, 1), (300, 2), (500, 5), (400, 300)):
+        s = rng.integers(0, kinds, n)
+        order, shared = html.suffix_array(s)
+        want = sorted(range(n), key=lambda i: s[i:].tolist())
+        assert order.tolist() == want
+        for i in range(1, n):
+            a, b = s[want[i - 1] :], s[want[i] :]
+            m = min(len(a), len(b))
+            assert shared[i] == (m if (a[:m] == b[:m]).all() else int((a[:m] != b[:m]).argmax()))
+
+
+@pytest.mark.parametrize("container", [False, True])
+def test_repeated_runs_against_brute_force(container):
+    rng = random.Random(9)
+    shared = [[f"s{k}x{i}" for i in range(rng.choice([3, 11, 12, 30]))] for k in range(8)]
+    pages, blocks_of = [], []
+    for p in range(25):
+        blocks = [rng.choice(shared) if rng.random() < 0.6 else [f"u{rng.randint(0, 10**6)}" for _ in range(rng.randint(1, 40))] for _ in range(rng.randint(1, 12))]
+        blocks = [[*b, *rng.choice(shared), f"e{p}"] if rng.random() < 0.3 else b for b in blocks]
+        blocks_of.append(blocks)
+        inner = "".join(f"<p>{' '.join(b)}</p>" for b in blocks)
+        pages.append(f"<article>{inner}</article>" if container else f"<div>{inner}</div>")
+    got = html.unique_texts(pages, 12, 0.4, 3, 0.4, 10)
+    least = max(10 if container else 3, 10)
+    grams = {}
+    for i, blocks in enumerate(blocks_of):
+        for b in blocks:
+            for j in range(max(1, len(b) - 11)):
+                grams.setdefault(tuple(b[j : j + 12]) if len(b) >= 12 else ("whole", *b), set()).add(i)
+    removed = 0
+    for text, blocks in zip(got, blocks_of, strict=True):
+        want = []
+        for b in blocks:
+            gone = set()
+            for j in range(max(1, len(b) - 11)):
+                if len(grams[tuple(b[j : j + 12]) if len(b) >= 12 else ("whole", *b)]) >= least:
+                    gone |= set(range(j, min(len(b), j + 12)))
+            removed += len(gone)
+            want += [t for j, t in enumerate(b) if j not in gone]
+        assert text == " ".join(want)
+    assert removed > 50
+
+
+def test_large_hosts_are_cut_into_slices(spark):
+    notice = " ".join(f"n{i}" for i in range(20))
+    rows = [(i, "http://big.example/x", f"<div><p>{' '.join(f'o{i}y{j}' for j in range(30))}</p><p>{notice}</p></div>") for i in range(300)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    got = {r["page_id"]: r["text"] for r in html.extract(df, group_bytes=20_000).collect()}
+    assert got == {i: " ".join(f"o{i}y{j}" for j in range(30)) for i in range(300)}
+
+
+def test_a_container_loses_what_most_pages_repeat(spark):
+    line, quote = "sign up for our letter", " ".join(f"q{i}" for i in range(15))
+    rows = [(i, "http://c.example/x", f"<article><p>own {i} text</p><p>{line}</p>{f'<p>{quote}</p>' if i % 2 else ''}</article>") for i in range(12)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    assert {r["page_id"]: r["text"] for r in html.extract(df).collect()} == {i: f"own {i} text" + (f" {quote}" if i % 2 else "") for i in range(12)}
+
+
 def test_shared_article_text_stays(spark):
     shared = " ".join(f"w{i}" for i in range(40))
     df = spark.createDataFrame([(i, "http://a.b/", f"<nav>n</nav><article><p>{shared}</p></article>") for i in range(3)], "page_id long, url string, html string")
@@ -337,6 +422,32 @@ def test_language_odd(odd, nothing):
     assert language_id.predict_language(nothing, d).count() == 0
 
 
+def test_language_is_the_smallest_size(spark):
+    import zstandard
+
+    docs_ = spark.read.parquet(f"{TINY}/documents.parquet")
+    d = language_id.train_dictionaries(docs_)
+    texts = {r["doc_id"]: r["text"] for r in docs_.collect()}
+    for r in language_id.predict_language(docs_, d).collect():
+        data = language_id.letters(texts[r["doc_id"]]).encode()
+        sizes = {}
+        for name, content in d.items():
+            c = zstandard.ZstdCompressor(dict_data=zstandard.ZstdCompressionDict(content, dict_type=zstandard.DICT_TYPE_RAWCONTENT), compression_params=zstandard.ZstdCompressionParameters.from_level(6, window_log=20, write_content_size=False, write_checksum=False, write_dict_id=False))
+            sizes[name] = sum(len(c.compress(data[i : i + 4096])) for i in range(0, len(data), 4096))
+        first, second = sorted(sizes.values())[:2]
+        assert r["lang_pred"] == "und" or sizes[r["lang_pred"]] == first
+        assert r["rejected"] == (r["lang_pred"] == "und" or (second - first) / first < 0.02)
+
+
+def test_language_sample_is_bounded_and_whole(spark):
+    long = "alpha " * 500 + "omega " * 500
+    rows = [(i, long if i % 2 else f"{long} own{i}", "xx") for i in range(400)] + [(i, "कि की हिन्दी भाषा", "hi") for i in range(400, 3000)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    d = language_id.train_dictionaries(df, docs_per_language=20)
+    assert len(d["xx"]) <= 20 * 1010 and b"alpha" in d["xx"] and b"omega" in d["xx"]
+    assert d["hi"].decode() == " कि की हिन्दी भाषा " and list(d) == ["hi", "xx"]
+
+
 def test_quality_held_out(spark):
     got = queries.op1_quality(spark, SMALL).where("held_out").join(spark.read.parquet(f"{SMALL}/labels.parquet"), "doc_id").toPandas()
     assert ((got["predicted"] == got["quality"]).mean()) > 0.95
@@ -347,7 +458,7 @@ def test_quality_gradients():
     rng = np.random.default_rng(1)
     m = quality.AttentionModel(hidden=4, gate=3)
     m.p = {k: v.astype(float) for k, v in m.p.items()}
-    x, starts, y = rng.normal(size=(9, quality.N_FEATURES)), np.array([0, 2, 5]), np.array([1.0, 0, 1])
+    x, starts, y = rng.normal(size=(9, quality.N_FEATURES)) / 8, np.array([0, 2, 5]), np.array([1.0, 0, 1])
 
     def loss():
         f = m.forward(x, starts)["y"]
@@ -366,6 +477,48 @@ def test_quality_gradients():
             assert abs((up - down) / (2 * e) - g[k].reshape(-1)[i]) < 1e-5
 
 
+def test_quality_forward_against_loops():
+    rng = np.random.default_rng(2)
+    m = quality.AttentionModel(hidden=5, gate=3)
+    bags = [rng.random((n, quality.N_FEATURES)).astype(np.float32) for n in (1, 4, 7)]
+    want = []
+    for bag in bags:
+        hs, logits = [], []
+        for x in bag:
+            z = [min(8, max(-8, v)) / (16 if i >= quality.N_STYLE else 1) for i, v in enumerate(x.tolist())]
+            h = [np.tanh(sum(z[i] * m.p["E"][i, j] for i in range(len(z))) + m.p["e"][j]) for j in range(5)]
+            t = [np.tanh(sum(h[j] * m.p["V"][j, g] for j in range(5))) for g in range(3)]
+            s = [1 / (1 + np.exp(-sum(h[j] * m.p["U"][j, g] for j in range(5)))) for g in range(3)]
+            hs.append(h)
+            logits.append(sum(m.p["w"][g] * t[g] * s[g] for g in range(3)))
+        a = np.exp(logits) / np.exp(logits).sum()
+        score = sum(m.p["c"][j] * sum(a[i] * hs[i][j] for i in range(len(hs))) for j in range(5)) + m.p["b"][0]
+        want.append(1 / (1 + np.exp(-score)))
+    assert np.allclose(m.scores(bags), want, atol=1e-5)
+
+
+def test_quality_attention_beats_mean_pooling():
+    """One bad passage among many: its words, not its style, tell."""
+    rng = random.Random(3)
+    plain, bad = [f"w{i}" for i in range(40)], ["zzgrim", "zzfoul", "zzvile"]
+
+    def document(label):
+        passages = [rng.choices(plain, k=64) for _ in range(rng.randint(10, 16))]
+        if not label:
+            p = rng.choice(passages)
+            for i in rng.sample(range(64), 6):
+                p[i] = rng.choice(bad)
+        return quality.encode(" ".join(w for p in passages for w in p))
+
+    y = np.array([i % 2 for i in range(240)])
+    bags = [document(label) for label in y]
+    right = {}
+    for attention in (True, False):
+        m = quality.AttentionModel(attention=attention).fit(bags[:160], y[:160])
+        right[attention] = float(((m.scores(bags[160:]) >= 0.5) == y[160:]).mean())
+    assert right[True] >= 0.9 and right[True] >= right[False]
+
+
 def test_quality_odd(spark, odd, nothing):
     labels = spark.createDataFrame([(1, 1), (2, None), (None, 1), (8, 0)], "doc_id long, quality int")
     m = quality.train(odd, labels)
@@ -435,6 +588,13 @@ def test_near_text_odd(odd, nothing):
     assert near_text.near_duplicates(nothing).count() == 0
 
 
+def test_near_text_key_with_several_texts(spark):
+    long = lambda tag, n=60: " ".join(f"{tag}{i}" for i in range(n))
+    rows = [(1, long("a")), (1, long("b")), (0, long("b")), (5, long("b", 59)), (7, long("a", 59)), (8, long("c"))]
+    got = near_text.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), 3, 85, 100).collect()
+    assert sorted((r["doc_id"], r["component_id"]) for r in got) == [(0, 0), (1, 0), (1, 0), (5, 0), (7, 0), (8, 8)]
+
+
 def test_near_text_words_are_ascii_split(spark):
     df = spark.createDataFrame([(1, "A\u00a0B C"), (2, "a\u00a0b c"), (3, "É x"), (4, "é x")], "doc_id long, text string")
     got = {r["doc_id"]: r["component_id"] for r in near_text.near_duplicates(df, 3, 85, 100).collect()}
@@ -501,6 +661,24 @@ def test_near_vectors_odd(spark):
     assert near_vectors.near_vectors(df.where("false"), passes=2).count() == 0
 
 
+def test_near_vectors_extremes_and_repeated_ids(spark):
+    rows = [(1, [1e-200, 0.0], 1), (2, [1e200, 1e190], 1), (3, [3.0, 0.1], 1), (3, [0.0, 1.0], 1), (4, [0.0, 2.0], 1), (9, [1e-320, 0.0], 2), (6, [5.0, 0.0], 2)]
+    got = near_vectors.near_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int"), passes=2).collect()
+    assert sorted((r["vec_id"], r["n_links"], r["component_id"]) for r in got) == [(1, 2, 1), (2, 2, 1), (3, 1, 3), (3, 2, 1), (4, 1, 3), (6, 1, 6), (9, 1, 6)]
+
+
+def test_near_vectors_a_large_cloud(spark):
+    """16,000 near vectors of one label: every link is counted."""
+    rng = np.random.default_rng(8)
+    e = (rng.normal(size=24) + rng.normal(size=(16_000, 24)) * 0.11).astype(np.float32)
+    df = spark.createDataFrame(pd.DataFrame({"vec_id": np.arange(len(e)), "embedding": e.astype(float).tolist(), "label": 1}), "vec_id long, embedding array<double>, label int")
+    u = e.astype(np.float64)
+    u /= np.linalg.norm(u, axis=1)[:, None]
+    want = np.concatenate([(u[i : i + 2000] @ u.T >= 0.98).sum(1) - 1 for i in range(0, len(u), 2000)])
+    got = {r["vec_id"]: r["n_links"] for r in near_vectors.near_vectors(df).collect()}
+    assert want.mean() > 1000 and [got[i] for i in range(len(e))] == want.tolist()
+
+
 def test_components_of_long_chains(spark):
     edges = [(i, i + 1) for i in range(0, 199)] + [(1000, 1001), (1001, 1000), (5000, 5000)]
     got = {r[0]: r[1] for r in connected_components(spark.createDataFrame(edges, "u long, v long")).collect()}
