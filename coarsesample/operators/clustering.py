@@ -1,7 +1,8 @@
 """Clustering of partition features, exemplars and weights.
 
-In memory for a level of up to ``DRIVER_MOST`` partitions; beyond, partitions are first dealt to
-cells by a coarse signature and each cell is clustered by its own task (cell_sample).
+A level is clustered as a whole up to ``CELL_MOST`` partitions and in halves of halves beyond
+(split_sample), so the driver plans over hundreds of thousands of them. Where even their features are
+too many for the driver, cells of a coarse signature are clustered by a task each (cell_sample).
 """
 
 from __future__ import annotations
@@ -11,7 +12,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-DRIVER_MOST = 20_000
+CELL_MOST = 2_000
 HAC_MOST = 5_000
 
 
@@ -134,12 +135,46 @@ def cluster_sample(parts: np.ndarray, x: np.ndarray, n: int, algo: str = "kmeans
     return out
 
 
+def split_sample(parts: np.ndarray, x: np.ndarray, n: int, algo: str = "kmeans", exemplar: str = "median", seed: int = 0, most: int = CELL_MOST) -> list[tuple[int, float, int]]:
+    """cluster_sample of many partitions: halved at the median of the widest feature until ``most`` are left.
+
+    A half gets its share of the reads and one at least, so the reads add up to ``n`` and the weights to
+    the number of partitions; work grows with partitions times ``most`` instead of with their square.
+    """
+    if len(parts) <= most or n < 2 or n >= len(parts):
+        return cluster_sample(parts, x, n, algo, exemplar, seed)
+    wide = int(x.var(0).argmax()) if x.shape[1] else 0
+    order = np.lexsort((parts, x[:, wide])) if x.shape[1] else np.argsort(parts)
+    low, high = order[: len(order) // 2], order[len(order) // 2 :]
+    reads = min(max(1, round(n * len(low) / len(parts))), n - 1)
+    out = split_sample(parts[low], x[low], reads, algo, exemplar, seed, most)
+    more = split_sample(parts[high], x[high], n - reads, algo, exemplar, seed, most)
+    shift = 1 + max(c for _, _, c in out)
+    return out + [(p, w, c + shift) for p, w, c in more]
+
+
+def share_out(sizes: dict[int, int], n: int) -> dict[int, int]:
+    """Reads of each cell by largest remainders: ``n`` together, one at least where ``n`` allows, none beyond a cell's size."""
+    total = sum(sizes.values())
+    n = min(n, total)
+    want = {c: n * s / total for c, s in sizes.items()}
+    out = {c: int(w) for c, w in want.items()}
+    for c in sorted(sizes, key=lambda c: (out[c] - want[c], -sizes[c], c))[: n - sum(out.values())]:
+        out[c] += 1
+    for c in sorted(sizes):
+        rich = max(out, key=lambda d: (out[d], -d))
+        if out[c] == 0 and out[rich] > 1:
+            out[c], out[rich] = 1, out[rich] - 1
+    return out
+
+
 def cell_sample(features: DataFrame, n: int, cells: int, algo: str = "kmeans", seed: int = 0) -> DataFrame:
-    """part_id, weight, cluster for more partitions than one driver clusters.
+    """part_id, weight, cluster for more partitions than one driver holds; ``n`` reads, weights sum to the partitions.
 
     ``features`` has part_id and f (array). Cells are hash buckets of a coarse signature (the signs of
-    a few random projections); a cell's reads are its share of ``n``, and cells are clustered in
-    parallel. One shuffle of partition-sized rows.
+    a few random projections), never more than ``n`` of them; a cell's reads are its share of ``n`` by
+    largest remainders, from one count per cell, and cells are clustered in parallel, halved inside
+    where they are large. One shuffle of partition-sized rows.
     """
     first = features.select(F.size("f")).first()
     planes = np.random.default_rng(seed).normal(size=(first[0] if first else 1, 8))
@@ -147,11 +182,11 @@ def cell_sample(features: DataFrame, n: int, cells: int, algo: str = "kmeans", s
     for j in range(planes.shape[1]):
         dot = F.aggregate(F.zip_with("f", F.array(*[F.lit(float(v)) for v in planes[:, j]]), lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v)
         signs = signs + F.when(dot > 0, 1 << j).otherwise(0)
-    total = max(1, features.count())
+    dealt = features.withColumn("cell", F.pmod(F.xxhash64(signs), F.lit(max(1, min(cells, n)))).cast("int"))
+    reads = share_out({r["cell"]: r["count"] for r in dealt.groupBy("cell").count().collect()}, n)
 
     def run(group: pd.DataFrame) -> pd.DataFrame:
         parts, x = group["part_id"].to_numpy(), np.stack(group["f"].to_numpy())
-        reads = max(1, round(n * len(parts) / total))
-        return pd.DataFrame(cluster_sample(parts, x, reads, algo, seed=seed), columns=["part_id", "weight", "cluster"])
+        return pd.DataFrame(split_sample(parts, x, reads[int(group["cell"].iloc[0])], algo, seed=seed), columns=["part_id", "weight", "cluster"])
 
-    return features.withColumn("cell", F.pmod(F.xxhash64(signs), F.lit(cells))).groupBy("cell").applyInPandas(run, "part_id int, weight double, cluster int")
+    return dealt.groupBy("cell").applyInPandas(run, "part_id int, weight double, cluster int")

@@ -7,22 +7,24 @@ from pyspark.sql import functions as F
 
 from coarsesample.plans.query import QuerySpec, finish, to_sql
 
-IN_LIST = 1000
 
-
-def weighted_scan(df: DataFrame, selection: DataFrame) -> DataFrame:
+def weighted_scan(df: DataFrame, selection: DataFrame, path: str | None = None) -> DataFrame:
     """The chosen partitions' rows with column ``weight``.
 
-    A short selection becomes a literal list, which prunes partition directories at planning; a
-    broadcast join alone would read everything. A long one prunes by its range and the join.
+    Where the table lies in one directory per part_id at ``path``, only the chosen directories are
+    listed and read, however many they are. Otherwise the choice is a literal list of any length,
+    which prunes partition directories at planning and else filters rows; a broadcast join alone would
+    read everything. A selection is a plan's result: some bytes for every partition that is read.
     """
-    ids = [r[0] for r in selection.select("part_id").limit(IN_LIST + 1).collect()]
-    if len(ids) <= IN_LIST:
-        pruned = df.where(F.col("part_id").isin(ids)) if ids else df.where("false")
+    weights = {r["part_id"]: r["weight"] for r in selection.select("part_id", "weight").collect()}
+    if not weights:
+        return df.where("false").withColumn("weight", F.lit(0.0))
+    if path:
+        chosen = df.sparkSession.read.schema(df.schema).option("basePath", path).parquet(*[f"{path}/part_id={p}" for p in sorted(weights)])
+        chosen = chosen.select(*df.columns)
     else:
-        low, high = selection.agg(F.min("part_id"), F.max("part_id")).first()
-        pruned = df.where(F.col("part_id").between(low, high))
-    return pruned.join(F.broadcast(selection.select("part_id", "weight")), "part_id")
+        chosen = df.where(f"part_id IN ({', '.join(map(str, sorted(weights)))})")
+    return chosen.join(F.broadcast(selection.select("part_id", "weight")), "part_id")
 
 
 def weighted_aggregate(df: DataFrame, q: QuerySpec) -> DataFrame:

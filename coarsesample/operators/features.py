@@ -39,7 +39,9 @@ def partition_stats(df: DataFrame, cfg: TableConfig) -> DataFrame:
     """All sketches of a partition in one row: the statistics table that queries plan on.
 
     Two value-count aggregations (numbers, strings) and one for measures read the data; everything
-    after works on sketch-sized tables.
+    after works on sketch-sized tables. Columns without a value in a partition have empty sketches
+    there; the partition stays. This is the exact form, for checks and small tables: rows multiply by
+    columns in the value counts.
     """
     numeric, strings = list(cfg.numeric), list(cfg.strings)
     out = df.groupBy("part_id").agg(F.count(F.lit(1)).alias("n_rows"))
@@ -56,8 +58,8 @@ def partition_stats(df: DataFrame, cfg: TableConfig) -> DataFrame:
         hh = S.heavy_hitters(vc, cfg.support)
         pick = lambda c, e: F.when(F.col("col_name") == c, e)
         bucket = F.struct("lo", "hi", "n_rows", "ndv")
-        out = out.join(hist.groupBy("part_id").agg(*[F.sort_array(F.collect_list(pick(c, bucket))).alias(f"{c}__hist") for c in own]), "part_id")
-        out = out.join(kmv.groupBy("part_id").agg(*[F.max(pick(c, F.col(f))).alias(f"{c}__{f}") for c in own for f in ("ndv", "freq_avg", "freq_max", "freq_min", "freq_sum")]), "part_id")
+        out = out.join(hist.groupBy("part_id").agg(*[F.sort_array(F.collect_list(pick(c, bucket))).alias(f"{c}__hist") for c in own]), "part_id", "left")
+        out = out.join(kmv.groupBy("part_id").agg(*[F.max(pick(c, F.col(f))).alias(f"{c}__{f}") for c in own for f in ("ndv", "freq_avg", "freq_max", "freq_min", "freq_sum")]), "part_id", "left")
         item = F.struct(F.col("n").alias("n"), F.col("value").cast("string").alias("value"))
         out = out.join(hh.groupBy("part_id").agg(*[F.sort_array(F.collect_list(pick(c, item)), False).alias(f"{c}__hh") for c in own]), "part_id", "left")
         if kind == "string":
@@ -65,6 +67,8 @@ def partition_stats(df: DataFrame, cfg: TableConfig) -> DataFrame:
             dictionary = S.exact_dictionary(vc)
             out = out.join(dictionary.groupBy("part_id").agg(*[F.sort_array(F.collect_list(pick(c, word))).alias(f"{c}__dict") for c in own]), "part_id", "left")
             out = out.withColumns({f"{c}__dict": F.when(F.size(f"{c}__dict") > 0, F.col(f"{c}__dict")) for c in own})
+        bare = "array<struct<lo:double,hi:double,n_rows:bigint,ndv:bigint>>"
+        out = out.withColumns({f"{c}__hist": F.coalesce(f"{c}__hist", F.array().cast(bare)) for c in own})
     return out
 
 
@@ -72,9 +76,10 @@ def partition_stats_onepass(df: DataFrame, cfg: TableConfig) -> DataFrame:
     """The same table from one scan and one aggregation, by built-in sketches: for wide tables at scale.
 
     Nothing is unpivoted, so rows don't multiply by columns, and a partition's state is bounded:
-    approximate quantiles cut the buckets, a top-k sketch holds frequent values, HLL counts the rest.
-    Extremes stay exact and buckets cover all between them, so the filter still loses nothing. A
-    dictionary is kept only if its counts add up to all non-null rows.
+    approximate quantiles cut buckets of equal rows, of which several may lie on one frequent value, a
+    top-k sketch holds frequent values, HLL counts the rest. Extremes stay exact and buckets cover all
+    between them, so the filter still loses nothing. A dictionary is kept only if its counts add up to
+    all non-null rows.
     """
     pos = S.positive_columns(df, list(cfg.numeric))
     cuts = [i / cfg.buckets for i in range(1, cfg.buckets)]
@@ -92,10 +97,9 @@ def partition_stats_onepass(df: DataFrame, cfg: TableConfig) -> DataFrame:
     more: dict = {}
     for c in (*cfg.numeric, *cfg.strings):
         n, ndv, top = F.col(f"{c}__n"), F.col(f"{c}__ndv"), F.col(f"{c}__top")
-        edges = F.array_distinct(F.concat(F.array(f"{c}__min"), F.col(f"{c}__cuts"), F.array(f"{c}__max")))
-        low, high = F.slice(edges, F.lit(1), F.greatest(F.size(edges) - 1, F.lit(1))), F.slice(edges, F.least(F.size(edges), F.lit(2)), F.greatest(F.size(edges) - 1, F.lit(1)))
-        share = F.greatest(F.size(edges) - 1, F.lit(1))
-        more[f"{c}__hist"] = F.when(n > 0, F.zip_with(low, high, _bucket(n, ndv, share))).otherwise(F.array().cast("array<struct<lo:double,hi:double,n_rows:double,ndv:double>>"))
+        edges = F.concat(F.array(f"{c}__min"), F.col(f"{c}__cuts"), F.array(f"{c}__max"))
+        low, high = F.slice(edges, 1, cfg.buckets), F.slice(edges, 2, cfg.buckets)
+        more[f"{c}__hist"] = F.when(n > 0, F.zip_with(low, high, _bucket(n, ndv, F.lit(cfg.buckets)))).otherwise(F.array().cast("array<struct<lo:double,hi:double,n_rows:double,ndv:double>>"))
         more[f"{c}__hh"] = F.transform(F.filter(top, _frequent(n, cfg.support)), lambda h: F.struct(h["count"].alias("n"), h["item"].cast("string").alias("value")))
         more[f"{c}__freq_avg"] = n / F.greatest(ndv, F.lit(1.0))
         more[f"{c}__freq_max"] = F.get(top, 0)["count"]

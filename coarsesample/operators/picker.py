@@ -1,8 +1,9 @@
 """Choosing weighted partitions: filter, outliers, importance levels, budget, clusters.
 
 The statistics table has one row per partition, so the choice is a planning step: features of the
-candidates come to the driver (``DRIVER_MOST`` partitions at most; beyond, clustering.cell_sample
-clusters on the executors), and the result is a small list of (partition, weight).
+candidates come to the driver, some hundred doubles for each partition, large levels are clustered in
+halves of halves, and the result is a small list of (partition, weight). Tables whose partitions are
+too many even for that are sampled on the executors by clustering.cell_sample.
 """
 
 from __future__ import annotations
@@ -14,7 +15,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from coarsesample.operators.clustering import DRIVER_MOST, cluster_sample
+from coarsesample.operators.clustering import split_sample
 
 SELECTION = "part_id int, weight double, role string, level int, cluster int"
 
@@ -117,8 +118,6 @@ def select_full(
 ) -> list[tuple[int, float, str, int, int]]:
     """(part, weight, role, level, cluster) of ``n`` reads at most. The flags switch parts off for ablations."""
     began = time.perf_counter()
-    if len(c.parts) > DRIVER_MOST:
-        raise ValueError("too many partitions for the driver; use clustering.cell_sample")
     alive = np.flatnonzero(c.upper > 0) if use_filter else np.arange(len(c.parts))
     if n >= len(alive):
         return [(int(c.parts[i]), 1.0, "all", 0, 0) for i in alive]
@@ -147,7 +146,7 @@ def select_full(
         own = alive[level == j]
         if use_clusters and not fallback:
             x = c.features[own] if keep is None else c.features[own][:, keep]
-            out += [(p, w, "cluster", j, k) for p, w, k in cluster_sample(c.parts[own], x, reads[j], algo, exemplar, seed)]
+            out += [(p, w, "cluster", j, k) for p, w, k in split_sample(c.parts[own], x, reads[j], algo, exemplar, seed)]
         elif reads[j]:
             order = own[np.lexsort((c.parts[own], (c.parts[own] * 7919 + seed * 104729) % 10007))][: reads[j]]
             out += [(int(c.parts[i]), len(own) / reads[j], "random", j, 0) for i in order]

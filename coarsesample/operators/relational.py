@@ -7,14 +7,18 @@ from pyspark.sql import functions as F
 
 
 def as_of_join(left: DataFrame, right: DataFrame, key: str, at: str, values: list[str]) -> DataFrame:
-    """Each left row with the last right row of its key strictly before it: a union and one sorted window, no nested loop."""
-    null = [F.lit(None).cast(right.schema[v].dataType).alias(f"__{v}") for v in values]
-    a = left.select("*", F.lit(0).alias("__side"), *null)
+    """Each left row with the last right row of its key strictly before it: a union and one sorted window, no nested loop.
+
+    The right row travels as one struct, so its null values stay null and rows never mix. Of right rows
+    at the same time the greatest struct counts.
+    """
+    row = F.struct(*[F.col(v).alias(v) for v in values])
     rest = [c for c in left.columns if c not in (key, at)]
-    b = right.select(key, at, F.lit(1).alias("__side"), *[F.col(v).alias(f"__{v}") for v in values], *[F.lit(None).cast(left.schema[c].dataType).alias(c) for c in rest])
-    w = Window.partitionBy(key).orderBy(at, "__side").rowsBetween(Window.unboundedPreceding, -1)
-    joined = a.unionByName(b).select("*", *[F.last(f"__{v}", ignorenulls=True).over(w).alias(f"prev_{v}") for v in values])
-    return joined.where("__side = 0").select(*left.columns, *[f"prev_{v}" for v in values])
+    b = right.select(key, at, F.lit(1).alias("__side"), row.alias("__row"), *[F.lit(None).cast(left.schema[c].dataType).alias(c) for c in rest])
+    a = left.select("*", F.lit(0).alias("__side"), F.lit(None).cast(b.schema["__row"].dataType).alias("__row"))
+    w = Window.partitionBy(key).orderBy(at, "__side", "__row").rowsBetween(Window.unboundedPreceding, -1)
+    joined = a.unionByName(b).withColumn("__last", F.last("__row", ignorenulls=True).over(w))
+    return joined.where("__side = 0").select(*left.columns, *[F.col("__last")[v].alias(f"prev_{v}") for v in values])
 
 
 def band_join(values: DataFrame, x: str, bands: DataFrame, low: str, high: str) -> DataFrame:

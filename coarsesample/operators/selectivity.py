@@ -9,8 +9,10 @@ bound is zero loses nothing. All are column expressions over one row per partiti
 
 from __future__ import annotations
 
+import re
 from functools import reduce
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -90,6 +92,71 @@ def bounds(leaf) -> tuple[Column, Column, Column]:
     raise TypeError(leaf)
 
 
+def _like_regex(pattern: str) -> re.Pattern:
+    """A LIKE pattern as a regular expression; a backslash takes the next sign as it is."""
+    out, signs = [], iter(pattern)
+    for c in signs:
+        out.append(re.escape(next(signs, "")) if c == "\\" else {"%": ".*", "_": "."}.get(c, re.escape(c)))
+    return re.compile("".join(out), re.S)
+
+
+class ColumnArrays:
+    """One column's sketches of all partitions as arrays: what bounds() says of a leaf, for many leaves at once.
+
+    A batch of queries shares its columns, so each column's sketches are read once and a leaf is some
+    array operations instead of an expression to plan.
+    """
+
+    def __init__(self, stats: DataFrame, col: str, parts: np.ndarray):
+        held = [c for c in ("hist", "min", "max", "dict") if f"{col}__{c}" in stats.columns]
+        rows = {r["part_id"]: r for r in stats.select("part_id", "n_rows", *[f"{col}__{c}" for c in held]).collect()}
+        rows = [rows[int(p)] for p in parts]
+        self.n = np.array([r["n_rows"] for r in rows], float)
+        get = lambda c: [r[f"{col}__{c}"] if c in held else None for r in rows]
+        self.low, self.high = (np.array([np.nan if v is None else v for v in get(c)], float) for c in ("min", "max"))
+        hists = [h or [] for h in get("hist")]
+        shape = (len(rows), max([1, *map(len, hists)]))
+        self.lo, self.hi, self.rows, self.ndv = np.full(shape, np.nan), np.full(shape, np.nan), np.zeros(shape), np.ones(shape)
+        for i, h in enumerate(hists):
+            for j, b in enumerate(h):
+                self.lo[i, j], self.hi[i, j], self.rows[i, j], self.ndv[i, j] = b["lo"], b["hi"], b["n_rows"], b["ndv"]
+        dictionaries = get("dict")
+        self.known = np.array([d is not None for d in dictionaries])
+        seat: dict[str, int] = {}
+        entries = [(i, seat.setdefault(e["value"], len(seat)), e["n"]) for i, d in enumerate(dictionaries) for e in d or ()]
+        self.values = list(seat)
+        self.at, self.value, self.count = (np.array([e[j] for e in entries], int) for j in range(3))
+
+    def bounds(self, leaf) -> tuple[np.ndarray, np.ndarray]:
+        """(estimate, at most) of a leaf in every partition."""
+        if isinstance(leaf, Intervals):
+            return self._intervals(leaf)
+        if isinstance(leaf, In):
+            held = set(leaf.values)
+            hits = np.array([(v in held) != leaf.negated for v in self.values], bool)
+        else:
+            shape = _like_regex(leaf.pattern)
+            hits = np.array([bool(shape.fullmatch(v)) != leaf.negated for v in self.values], bool)
+        share = np.bincount(self.at, self.count * hits[self.value] if len(self.at) else None, len(self.n)) / self.n
+        return np.where(self.known, share, 0.1), np.where(self.known, share, 1.0)
+
+    def _intervals(self, leaf: Intervals) -> tuple[np.ndarray, np.ndarray]:
+        guess, may, out = np.zeros(len(self.n)), np.zeros(len(self.n)), np.ones(len(self.n), bool)
+        for a, a_open, b, b_open in leaf.spans:
+            touched = ((self.hi > a) if a_open else (self.hi >= a)) & ((self.lo < b) if b_open else (self.lo <= b))
+            covered = ((self.lo > a) if a_open else (self.lo >= a)) & ((self.hi < b) if b_open else (self.hi <= b))
+            width = self.hi - self.lo
+            with np.errstate(invalid="ignore", divide="ignore"):
+                part = self.rows / self.ndv if a == b else np.where(width == 0, self.rows, self.rows * (np.minimum(self.hi, b) - np.maximum(self.lo, a)) / width)
+            guess += np.where(covered, self.rows, np.where(touched, part, 0.0)).sum(1)
+            may += np.where(touched, self.rows, 0.0).sum(1)
+            miss = ((self.high <= a) if a_open else (self.high < a)) | ((self.low >= b) if b_open else (self.low > b))
+            miss |= (self.low == self.high) & ((self.low == a) & a_open | (self.low == b) & b_open)
+            out &= miss | np.isnan(self.low)
+        clean = lambda x: np.where(out, 0.0, np.minimum(x / self.n, 1.0))
+        return clean(guess), clean(may)
+
+
 def leaves_of(p) -> list:
     """Leaves of a normalized predicate, in order."""
     return [x for c in p.of for x in leaves_of(c)] if isinstance(p, And | Or) else [p]

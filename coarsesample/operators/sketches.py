@@ -116,22 +116,34 @@ class LossyCounter:
 
 
 def lossy_heavy_hitters(df: DataFrame, cols: list[str], support: float = 0.01, epsilon: float = 0.001) -> DataFrame:
-    """part_id, col_name, value, freq, err by one pass over each partition, a batch at a time."""
+    """part_id, col_name, value, freq, err by one pass over each partition, a batch at a time.
 
-    def run(key, batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        counters = {c: LossyCounter(epsilon) for c in cols}
-        for batch in batches:
-            for c in cols:
-                for v in batch[c].dropna():
-                    counters[c].add(v)
-        rows = [(int(key[0]), c, v, f, e) for c in cols for v, f, e in counters[c].report(support, epsilon)]
-        yield pd.DataFrame(rows, columns=["part_id", "col_name", "value", "freq", "err"])
+    Rows come sorted by partition, so a task streams through its partitions and holds one partition's
+    counters, of bounded size, and one batch.
+    """
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        now, counters = None, {}
 
-    def whole(key, group: pd.DataFrame) -> pd.DataFrame:
-        return next(run(key, iter([group])))
+        def report() -> pd.DataFrame:
+            rows = [(int(now), c, v, f, e) for c in cols for v, f, e in counters[c].report(support, epsilon)]
+            return pd.DataFrame(rows, columns=["part_id", "col_name", "value", "freq", "err"])
+
+        for batch in batches:
+            for part, rows in batch.groupby("part_id", sort=True):
+                if part != now:
+                    if now is not None:
+                        yield report()
+                    now, counters = part, {c: LossyCounter(epsilon) for c in cols}
+                for c in cols:
+                    add = counters[c].add
+                    for v in rows[c].dropna():
+                        add(v)
+        if now is not None:
+            yield report()
 
     chosen = df.select("part_id", *[F.col(c).cast("string").alias(c) for c in cols])
-    return chosen.groupBy("part_id").applyInPandas(whole, "part_id int, col_name string, value string, freq long, err long")
+    return chosen.repartition("part_id").sortWithinPartitions("part_id").mapInPandas(run, "part_id int, col_name string, value string, freq long, err long")
 
 
 def frequent_items(df: DataFrame, col: str, k: int = 5) -> DataFrame:

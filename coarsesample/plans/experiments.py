@@ -1,23 +1,29 @@
 """The experiments: error curves of all methods, ablations, clusterers, layouts, bands, overheads.
 
 One scan per columnset answers all queries of an experiment per partition; every method, budget and
-seed is then evaluated on those answers, so no sweep rescans the data.
+seed is then evaluated on those answers, a query to a task, so no sweep rescans the data and none runs
+on the driver. A prepared view is kept for the session and never changed; variants are copies.
 """
 
 from __future__ import annotations
 
 import time
+from collections.abc import Callable
+from dataclasses import replace
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from coarsesample.operators import baselines
 from coarsesample.operators.picker import select_full
-from coarsesample.plans.training import Answers, Prepared, batch_partials, constants_of, prepare, select_features
+from coarsesample.plans.training import Answers, Prepared, batch_partials, constants_of, contributions_of, in_tasks, prepare, select_features
 from coarsesample.plans.workload import generate, templates
+from coarsesample.runtime import read_table
 
 _held: dict[tuple, tuple] = {}
-BUDGETS = (0.02, 0.05, 0.1, 0.2, 0.4, 0.8)
+BUDGETS = (0.01, 0.02, 0.05, 0.1, 0.2, 0.4, 0.8)
+VIEWS = (("lineitem", "shipdate"), ("orders", "day"), ("events", "user"), ("documents", "n_chars"), ("embeddings", "e0"))
 FLAGS = {
     "full": {},
     "no_clusters": {"use_clusters": False},
@@ -31,30 +37,49 @@ FLAGS = {
 }
 
 
-def n_parts_of(sf_dir: str, name: str) -> int:
-    """Partition counts that keep some rows in each at the given sizes."""
-    big = "0.1" in sf_dir.rsplit("/", 1)[-1]
-    return {"lineitem": 200 if big else 100, "orders": 100, "events": 100, "documents": 50, "embeddings": 25}[name] if "0.001" not in sf_dir else {"lineitem": 50, "orders": 30, "events": 20, "documents": 20, "embeddings": 10}[name]
+#: Rows of the base table to a partition, and the least count of partitions, by view.
+PART_ROWS = {"lineitem": (600, 50), "orders": (300, 30), "events": (200, 20), "documents": (50, 20), "embeddings": (100, 10)}
 
 
-def trained(spark: SparkSession, sf_dir: str, name: str, layout: str, n_parts: int | None = None, n_train: int = 400, n_test: int = 100) -> tuple:
-    """Prepared view with models, test queries, their answers and selectivities; kept for the session."""
-    n_parts = n_parts or n_parts_of(sf_dir, name)
+def n_parts_of(spark: SparkSession, sf_dir: str, name: str, most: int = 1000) -> int:
+    """Partitions of an experiment: by the table's rows, ``most`` at most."""
+    rows, least = PART_ROWS[name]
+    return min(most, max(least, read_table(spark, sf_dir, name).count() // rows))
+
+
+def trained(spark: SparkSession, sf_dir: str, name: str, layout: str, n_parts: int | None = None, n_train: int = 400, n_test: int = 100, selection_queries: int = 40) -> tuple:
+    """Prepared view with models, test queries, their answers and selectivities; kept for the session.
+
+    Models learn from the contributions of all training queries; features are selected on the first
+    ``selection_queries`` of them that have an answer.
+    """
+    n_parts = n_parts or n_parts_of(spark, sf_dir, name)
     key = (spark.sparkContext.applicationId, sf_dir, name, layout, n_parts, n_train, n_test)
     if key not in _held:
         p = prepare(spark, sf_dir, name, layout, n_parts)
         both = generate(p.w, constants_of(p), n_train + n_test, seed=17)
-        tables = batch_partials(p.df, both)
-        answers = [Answers(q, t, p.parts) for q, t in zip(both, tables, strict=True)]
         sels = p.selectivities(both)
-        train = [i for i in range(n_train) if answers[i].n_groups]
-        p.fit([both[i] for i in train], [answers[i] for i in train], [sels[i] for i in train])
-        p.keep = select_features(p, [both[i] for i in train], [answers[i] for i in train], [sels[i] for i in train])[0]
-        rest = [i for i in range(n_train, len(both)) if answers[i].n_groups]
-        _held[key] = (p, [both[i] for i in rest], [answers[i] for i in rest], [sels[i] for i in rest], ([both[i] for i in train], [answers[i] for i in train], [sels[i] for i in train]))
+        shares = contributions_of(p.df, both[:n_train], p.parts)
+        train = [i for i in range(len(shares)) if shares[i].any()]
+        seen = ([both[i] for i in train], [shares[i] for i in train], [sels[i] for i in train])
+        p = p.fit(*seen)
+        asked = [*both[n_train:], *seen[0][:selection_queries]]
+        answers = [Answers(q, t, p.parts) for q, t in zip(asked, batch_partials(p.df, asked), strict=True)]
+        rest = [i for i in range(len(both) - n_train) if answers[i].n_groups]
+        p.keep = select_features(p, seen[0][:selection_queries], answers[len(both) - n_train :], seen[2][:selection_queries])[0]
+        _held[key] = (p, [asked[i] for i in rest], [answers[i] for i in rest], [sels[n_train + i] for i in rest], (*seen, answers[len(both) - n_train :]))
     return _held[key]
 
 
+def each_query(p: Prepared, queries, answers, sels, work: Callable, schema: str) -> DataFrame:
+    """Rows of ``work(p, query, answers, selectivities)`` for every query, some queries to a task."""
+    spark = p.df.sparkSession
+    tasks = max(1, min(len(queries), 4 * spark.sparkContext.defaultParallelism))
+    shared = (p.light(), list(zip(queries, answers, sels, strict=True)), tasks)
+    rows = in_tasks(spark, shared, tasks, lambda data, i: [row for q, a, s in data[1][i :: data[2]] for row in work(data[0], q, a, s)])
+    return spark.createDataFrame([r for some in rows for r in some], schema)
+
+
 def pick(p: Prepared, method: str, q, sel: np.ndarray, n: int, seed: int) -> list[tuple]:
     """A method's selection for a query."""
     if method == "uniform":
@@ -68,15 +93,28 @@ def pick(p: Prepared, method: str, q, sel: np.ndarray, n: int, seed: int) -> lis
     return select_full(p.candidates(q, sel), n, p.models, seed=seed, **FLAGS[method])
 
 
-def curves(p: Prepared, queries, answers, sels, methods, budgets=BUDGETS, seeds: int = 10) -> list[tuple]:
-    """(method, budget, missed, rel, abs), means over queries and seeds."""
-    rows = []
-    for m in methods:
-        for b in budgets:
-            n = max(1, round(b * len(p.parts)))
-            found = [a.errors(pick(p, m, q, s, n, seed)) for q, a, s in zip(queries, answers, sels, strict=True) for seed in range(seeds if m in ("uniform", "filtered", "strata") or not FLAGS[m].get("use_clusters", True) else 1)]
-            rows.append((m, float(b), *(float(np.mean([f[e] for f in found])) for e in ("missed", "rel", "abs"))))
-    return rows
+CURVE = "method string, budget double, missed double, rel_error double, abs_over_true double"
+
+
+def curves(p: Prepared, queries, answers, sels, methods, budgets=BUDGETS, seeds: int = 10) -> DataFrame:
+    """method, budget, missed, rel_error, abs_over_true: means over queries and seeds."""
+
+    def work(p: Prepared, q, a, s):
+        for m in methods:
+            draws = m in ("uniform", "filtered", "strata") or not FLAGS[m].get("use_clusters", True)
+            for b in budgets:
+                n = max(1, round(b * len(p.parts)))
+                found = [a.errors(pick(p, m, q, s, n, seed)) for seed in range(seeds if draws else 1)]
+                yield (m, float(b), *(float(np.mean([f[e] for f in found])) for e in ("missed", "rel", "abs")))
+
+    each = each_query(p, queries, answers, sels, work, CURVE)
+    return each.groupBy("method", "budget").agg(*[F.round(F.avg(c), 9).alias(c) for c in ("missed", "rel_error", "abs_over_true")])
+
+
+def mean_error(p: Prepared, queries, answers, sels, choose: Callable) -> float:
+    """Mean relative error of ``choose(p, query, selectivities)`` over queries."""
+    rows = each_query(p, queries, answers, sels, lambda p, q, a, s: [(a.errors(choose(p, q, s))["rel"],)], "e double")
+    return float(rows.agg(F.avg("e")).first()[0] or 0.0)
 
 
 def frame(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
@@ -84,49 +122,50 @@ def frame(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
 
 
 def sweep(spark: SparkSession, sf_dir: str, name: str, layout: str, methods=("uniform", "filtered", "strata", "full"), n_parts: int | None = None) -> DataFrame:
-    """Main error curves of one view and layout."""
-    p, q, a, s, _ = trained(spark, sf_dir, name, layout, n_parts)
-    return frame(spark, [(name, layout, len(p.parts), *r) for r in curves(p, q, a, s, methods)], "view string, layout string, parts int, method string, budget double, missed double, rel_error double, abs_over_true double")
+    """Main error curves of one view and layout; kept for the measures that follow from them."""
+    key = (spark.sparkContext.applicationId, "sweep", sf_dir, name, layout, methods, n_parts)
+    if key not in _held:
+        p, q, a, s, _ = trained(spark, sf_dir, name, layout, n_parts)
+        rows = curves(p, q, a, s, methods).select(F.lit(name).alias("view"), F.lit(layout).alias("layout"), F.lit(len(p.parts)).alias("parts"), "*")
+        _held[key] = ([tuple(r) for r in rows.collect()], rows.schema)
+    return spark.createDataFrame(*_held[key])
 
 
-def lesion(spark: SparkSession, sf_dir: str) -> DataFrame:
+def lesion(spark: SparkSession, sf_dir: str, methods: tuple[str, ...] = tuple(FLAGS)) -> DataFrame:
     """Each part left out, and each part alone on top of the filter."""
     p, q, a, s, _ = trained(spark, sf_dir, "events", "user")
-    return frame(spark, curves(p, q, a, s, tuple(FLAGS), budgets=(0.05, 0.1, 0.2)), "method string, budget double, missed double, rel_error double, abs_over_true double")
+    return curves(p, q, a, s, methods, budgets=(0.05, 0.1, 0.2))
 
 
 def knobs(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Rate factor, outlier budget, exemplar."""
     p, q, a, s, _ = trained(spark, sf_dir, "events", "user")
-    rows = []
-    n = max(1, round(0.1 * len(p.parts)))
+    n, rows = max(1, round(0.1 * len(p.parts))), []
     for knob, values in {"alpha": (1.0, 2.0, 4.0, 8.0), "outlier_share": (0.0, 0.1, 0.2, 0.4), "exemplar": ("median", "random")}.items():
         for v in values:
-            rows.append((knob, str(v), float(np.mean([y.errors(select_full(p.candidates(x, z), n, p.models, **{knob: v}))["rel"] for x, y, z in zip(q, a, s, strict=True)]))))
+            rows.append((knob, str(v), mean_error(p, q, a, s, lambda p, x, z, knob=knob, v=v: select_full(p.candidates(x, z), n, p.models, **{knob: v}))))
     return frame(spark, rows, "knob string, setting string, rel_error double")
 
 
 def model_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Number of regressors in the funnel."""
     p, q, a, s, train = trained(spark, sf_dir, "events", "user")
-    n, rows, held = max(1, round(0.1 * len(p.parts))), [], p.models
+    n, rows = max(1, round(0.1 * len(p.parts))), []
     for k in (1, 2, 4, 6):
-        p.fit(*train, k=k)
-        rows.append((k, float(np.mean([y.errors(select_full(p.candidates(x, z), n, p.models))["rel"] for x, y, z in zip(q, a, s, strict=True)]))))
-    p.models = held
+        rows.append((k, mean_error(p.fit(*train[:3], k=k), q, a, s, lambda p, x, z: select_full(p.candidates(x, z), n, p.models))))
     return frame(spark, rows, "models int, rel_error double")
 
 
-def clusterers(spark: SparkSession, sf_dir: str) -> DataFrame:
+def clusterers(spark: SparkSession, sf_dir: str, views=(("orders", "day"), ("events", "user"), ("documents", "n_chars"))) -> DataFrame:
     """Area under the error curve of clustering alone, by algorithm and view."""
     rows = []
-    for name, layout in (("orders", "day"), ("events", "user"), ("documents", "n_chars")):
+    for name, layout in views:
         p, q, a, s, _ = trained(spark, sf_dir, name, layout)
         for algo in ("hac_single", "hac_ward", "kmeans"):
             errors = []
             for b in BUDGETS:
                 n = max(1, round(b * len(p.parts)))
-                errors.append(np.mean([y.errors(select_full(p.candidates(x, z), n, None, algo=algo, use_outliers=False, use_models=False))["rel"] for x, y, z in zip(q, a, s, strict=True)]))
+                errors.append(mean_error(p, q, a, s, lambda p, x, z, n=n, algo=algo: select_full(p.candidates(x, z), n, None, algo=algo, use_outliers=False, use_models=False)))
             rows.append((name, algo, float(np.trapezoid(errors, BUDGETS))))
     return frame(spark, rows, "view string, algorithm string, auc double")
 
@@ -141,84 +180,98 @@ def feature_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Clustering error with each kind left out, and with selected features."""
     p, q, a, s, _ = trained(spark, sf_dir, "events", "user")
     n = max(1, round(0.1 * len(p.parts)))
-    kept, p.keep = p.keep, None
-    sets = {"all": np.ones(len(p.schema), bool), "selected": kept} | {f"no_{k}": np.array([x != k for x in p.schema.kinds]) for k in ("measure", "heavy_hitter", "distinct", "selectivity")}
-    rows = [(name, float(np.mean([y.errors(select_full(p.candidates(x, z), n, p.models, keep=cols))["rel"] for x, y, z in zip(q, a, s, strict=True)])), int(cols.sum())) for name, cols in sets.items()]
-    p.keep = kept
+    sets = {"all": np.ones(len(p.schema), bool), "selected": p.keep} | {f"no_{k}": np.array([x != k for x in p.schema.kinds]) for k in ("measure", "heavy_hitter", "distinct", "selectivity")}
+    rows = [(name, mean_error(replace(p, keep=cols), q, a, s, lambda p, x, z: select_full(p.candidates(x, z), n, p.models)), int(cols.sum())) for name, cols in sets.items()]
     return frame(spark, rows, "features string, rel_error double, dimensions int")
 
 
 def bands(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Error at a tenth of partitions by true selectivity of the query."""
-    p, q, a, s, train = trained(spark, sf_dir, "lineitem", "shipdate")
+    """Error of each test query at a tenth of partitions, with the query's true selectivity."""
+    p, q, a, s, _ = trained(spark, sf_dir, "lineitem", "shipdate")
     total, n = p.df.count(), max(1, round(0.1 * len(p.parts)))
-    rows = []
-    for x, y, z in zip([*q, *train[0]], [*a, *train[1]], [*s, *train[2]], strict=True):
+
+    def work(p: Prepared, x, y: Answers, z):
         for m in ("uniform", "filtered", "full"):
-            rows.append((m, float(y.rows.sum() / total), y.errors(pick(p, m, x, z, n, 1))["rel"]))
-    return frame(spark, rows, "method string, selectivity double, error double")
+            seeds = range(1 if m == "full" else 10)
+            yield m, float(y.rows.sum() / total), float(np.mean([y.errors(pick(p, m, x, z, n, seed))["rel"] for seed in seeds]))
+
+    return each_query(p, q, a, s, work, "method string, selectivity double, error double")
 
 
-def picker_times(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Milliseconds of a pick and of its clustering, by view."""
+def picker_times(spark: SparkSession, sf_dir: str, budgets=(0.01, 0.05, 0.1, 0.2), queries: int = 20) -> DataFrame:
+    """Milliseconds of a pick and of its clustering on the driver, by view and budget, over some test queries."""
     rows = []
-    for name, layout in (("events", "user"), ("orders", "day"), ("lineitem", "shipdate")):
+    for name, layout in VIEWS:
         p, q, _, s, _ = trained(spark, sf_dir, name, layout)
-        times = []
-        for x, z in zip(q, s, strict=True):
-            c = p.candidates(x, z)
-            select_full(c, max(1, round(0.1 * len(p.parts))), p.models)
-            if c.timing:
-                times.append((c.timing["total_ms"], c.timing["cluster_ms"]))
-        t = np.array(times or [(0.0, 0.0)])
-        rows.append((name, len(p.parts), *map(float, (t[:, 0].mean(), t[:, 0].std(), t[:, 1].mean(), t[:, 1].std()))))
-    return frame(spark, rows, "view string, parts int, total_ms double, total_sd double, cluster_ms double, cluster_sd double")
-
-
-def unseen(spark: SparkSession, sf_dir: str, instances: int = 20, budget: float = 0.1) -> DataFrame:
-    """Benchmark-like templates that training never saw: mean, best and worst error of each method."""
+        for b in budgets:
+            times = []
+            for x, z in list(zip(q, s, strict=True))[:queries]:
+                c = p.candidates(x, z)
+                select_full(c, max(1, round(b * len(p.parts))), p.models)
+                if c.timing:
+                    times.append((c.timing["total_ms"], c.timing["cluster_ms"]))
+            t = np.array(times or [(0.0, 0.0)])
+            rows.append((name, len(p.parts), b, *map(float, (t[:, 0].mean(), t[:, 0].std(), t[:, 1].mean(), t[:, 1].std()))))
+    return frame(spark, rows, "view string, parts int, budget double, total_ms double, total_sd double, cluster_ms double, cluster_sd double")
+
+
+def unseen(spark: SparkSession, sf_dir: str, instances: int = 20, budget: float = 0.1, methods=("uniform", "filtered", "strata", "full")) -> DataFrame:
+    """Benchmark-like templates that training never saw: mean, best and worst error of each method over instances."""
     import random
 
+    from coarsesample.operators.metrics import spread
+
     p = trained(spark, sf_dir, "lineitem", "shipdate")[0]
     rng = random.Random(5)
-    named = [(t, q) for _ in range(instances) for t, q in templates(rng).items() if _known(p, q)]
-    tables = batch_partials(p.df, [q for _, q in named])
-    sels = p.selectivities([q for _, q in named])
-    n, rows = max(1, round(budget * len(p.parts))), {}
-    for (t, q), table, sel in zip(named, tables, sels, strict=True):
-        a = Answers(q, table, p.parts)
-        for m in ("uniform", "full"):
-            rows.setdefault((t, m), []).append(a.errors(pick(p, m, q, sel, n, 3))["rel"])
-    return frame(spark, [(t, m, float(np.mean(e)), float(min(e)), float(max(e))) for (t, m), e in rows.items()], "template string, method string, mean_error double, best double, worst double")
+    named = [(t, q) for _ in range(instances) for t, q in templates(rng).items()]
+    queries = [q for _, q in named]
+    answers = [Answers(q, table, p.parts) for q, table in zip(queries, batch_partials(p.df, queries), strict=True)]
+    n = max(1, round(budget * len(p.parts)))
+
+    def work(p: Prepared, q, a: Answers, s):
+        at = next(i for i, x in enumerate(queries) if x == q)
+        for m in methods if a.n_groups else ():
+            yield f"{named[at][0]} {m}", a.errors(pick(p, m, q, s, n, 3))["rel"]
 
+    each = spread(each_query(p, queries, answers, p.selectivities(queries), work, "template string, error double"))
+    return each.select(F.split("template", " ")[0].alias("template"), F.split("template", " ")[1].alias("method"), "mean_error", "best", "worst")
 
-def _known(p: Prepared, q) -> bool:
-    """Whether all filter columns have sketches."""
-    from coarsesample.plans.query import columns_of
 
-    return columns_of(q.where) <= p.w.cfg.columns
+def task_seconds(spark: SparkSession, group: str) -> float:
+    """Run time of all tasks of a job group, from the status store: the compute a query costs."""
+    sc = spark.sparkContext
+    store, total = sc._jsc.sc().statusStore(), 0
+    sc._jsc.sc().listenerBus().waitUntilEmpty(10_000)
+    for job in sc.statusTracker().getJobIdsForGroup(group):
+        for stage in sc.statusTracker().getJobInfo(job).stageIds:
+            total += store.lastStageAttempt(stage).executorRunTime()
+    return total / 1000
 
 
-def speedups(spark: SparkSession, sf_dir: str, path: str) -> DataFrame:
-    """Wall seconds of the full answer over those of a sample, on a layout written as one file per partition."""
-    from coarsesample.operators.execute import weighted_aggregate, weighted_scan
+def speedups(spark: SparkSession, sf_dir: str, queries: int = 10) -> DataFrame:
+    """Wall and task seconds of exact answers over those of the picker's samples, means over test queries.
+
+    A sample's wall time includes the pick; both read the layout's files.
+    """
+    from coarsesample.operators.execute import weighted_aggregate
     from coarsesample.plans.query import exact
-    from coarsesample.sources.layouts import write_layout
-
-    p, *_ = trained(spark, sf_dir, "lineitem", "shipdate")
-    write_layout(p.df, path)
-    stored = spark.read.parquet(path)
-    q = templates()["q01"]
-    exact(stored, q).collect()
-    began = time.perf_counter()
-    exact(stored, q).collect()
-    full = time.perf_counter() - began
+
+    p, q, _, s, _ = trained(spark, sf_dir, "lineitem", "shipdate")
+
+    def timed(tag: str, make: Callable[[], DataFrame]) -> tuple[float, float]:
+        began = time.perf_counter()
+        spark.sparkContext.setJobGroup(tag, tag)
+        make().collect()
+        spark.sparkContext.setJobGroup("", "")
+        return time.perf_counter() - began, task_seconds(spark, tag)
+
+    some, tag = list(zip(q, s, strict=True))[:queries], f"speedup-{time.monotonic_ns()}"
+    timed(f"{tag}-warm", lambda: exact(p.df, some[0][0]))
+    full = np.array([timed(f"{tag}-full-{i}", lambda x=x: exact(p.df, x)) for i, (x, _) in enumerate(some)])
     rows = []
     for b in (0.01, 0.05, 0.1):
-        chosen = baselines.uniform_rows(p.parts, max(1, round(b * len(p.parts))), 1)
-        sel = spark.createDataFrame(chosen, "part_id int, weight double")
-        scan = weighted_scan(stored, sel)
-        began = time.perf_counter()
-        weighted_aggregate(scan, q).collect()
-        rows.append((b, len(chosen) / len(p.parts), full / (time.perf_counter() - began)))
-    return frame(spark, rows, "budget double, parts_read double, speedup double")
+        n = max(1, round(b * len(p.parts)))
+        took = np.array([timed(f"{tag}-{b}-{i}", lambda x=x, z=z: weighted_aggregate(p.scan(select_full(p.candidates(x, z), n, p.models)), x)) for i, (x, z) in enumerate(some)])
+        wall, compute = full.mean(0) / np.maximum(took.mean(0), 1e-3)
+        rows.append((b, n / len(p.parts), float(wall), float(compute)))
+    return frame(spark, rows, "budget double, parts_read double, latency_speedup double, compute_speedup double")

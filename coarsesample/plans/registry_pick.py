@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -13,7 +14,7 @@ from coarsesample.plans import experiments
 from coarsesample.plans.query import Agg, And, Clause, In, Like, QuerySpec, estimate, exact, parse_sql, partials, validate
 from coarsesample.plans.registry import LINES, WIDE, answer_sql, lines, register, rounded
 from coarsesample.plans.training import select_features
-from coarsesample.runtime import read_table, scratch_path, ship_package
+from coarsesample.runtime import bytes_under, read_table, ship_package
 from coarsesample.sources import tables
 
 # A fixed stand-in for occurrence patterns: most partitions share one, some are rare.
@@ -139,7 +140,8 @@ def m4_cell_sample(spark: SparkSession, d: str) -> DataFrame:
 def _picked(spark: SparkSession, d: str, **flags):
     p, queries, answers, sels, _ = experiments.trained(spark, d, "events", "user")
     n = max(1, len(p.parts) // 10)
-    return p, [(i, q, picker.select_full(p.candidates(q, s), n, p.models, **flags)) for i, (q, s) in enumerate(zip(queries, sels, strict=True))], answers
+    found = experiments.in_tasks(spark, (p.light(), queries, sels), len(queries), lambda x, i: picker.select_full(x[0].candidates(x[1][i], x[2][i]), n, x[0].models, **flags))
+    return p, [(i, q, rows) for i, (q, rows) in enumerate(zip(queries, found, strict=True))], answers
 
 
 @register("m4_select_full")
@@ -154,7 +156,7 @@ def m4_answer_full(spark: SparkSession, d: str) -> DataFrame:
     """Weighted answer of one held-out query, executed on the chosen partitions only."""
     p, picks, _ = _picked(spark, d)
     _, q, rows = picks[0]
-    return rounded(weighted_aggregate(weighted_scan(p.df, picker.selection_frame(spark, rows)), q), 2)
+    return rounded(weighted_aggregate(p.scan(rows), q), 2)
 
 
 @register("m4_train")
@@ -165,15 +167,18 @@ def m4_train(spark: SparkSession, d: str) -> DataFrame:
 
 @register("m4_feature_selection")
 def m4_feature_selection(spark: SparkSession, d: str) -> DataFrame:
-    p, *_, train = experiments.trained(spark, d, "events", "user")
-    kept, trace = select_features(p, *(x[:4] for x in train), restarts=1, budgets=(0.2,))
+    p, *_, (queries, _, sels, answers) = experiments.trained(spark, d, "events", "user")
+    kept, trace = select_features(p, queries[: len(answers)], answers, sels[: len(answers)])
     return spark.createDataFrame([(i, float(e), int(kept.sum())) for i, e in enumerate(trace)], "step int, error double, kept int")
 
 
 @register("m4_fallback")
 def m4_fallback(spark: SparkSession, d: str) -> DataFrame:
-    _, picks, _ = _picked(spark, d, near_unique=True)
-    return spark.createDataFrame([(i, r[3], len(rows)) for i, _, rows in picks for r in rows[:1] for r in [(*r[:2], 0, r[2])]], "query int, role string, reads int")
+    """The rule itself: queries whose typical estimated selectivity is under a percent are sampled at random."""
+    p, queries, _, sels, _ = experiments.trained(spark, d, "events", "user")
+    _, picks, _ = _picked(spark, d)
+    rare = [float(np.median(s[s[:, 0] > 0, 1])) if (s[:, 0] > 0).any() else 0.0 for s in sels]
+    return spark.createDataFrame([(i, rare[i], role, sum(r[2] == role for r in rows)) for i, _, rows in picks for role in sorted({r[2] for r in rows})], "query int, typical_selectivity double, role string, reads int")
 
 
 # Execution on a fixed selection: every tenth partition, weight ten.
@@ -376,14 +381,15 @@ def c7_read_fraction(spark: SparkSession, d: str) -> DataFrame:
 @register("c8_storage")
 def c8_storage(spark: SparkSession, d: str) -> DataFrame:
     rows = []
-    for name, layout in (("lineitem", "shipdate"), ("orders", "day"), ("events", "user")):
+    for name, layout in experiments.VIEWS:
         p = experiments.trained(spark, d, name, layout)[0]
         num, text = list(p.w.cfg.numeric), list(p.w.cfg.strings)
         vn, vs = S.value_counts(p.df, num, "double"), S.value_counts(p.df, text, "string")
         kv = S.kmv(vn).unionByName(S.kmv(vs))
         hist = S.histogram(vn).drop("lo", "hi").unionByName(S.histogram(S.hashed(vs)).drop("lo", "hi"))
         hh = S.heavy_hitters(vn).select("part_id", F.col("value").cast("string").alias("value")).unionByName(S.heavy_hitters(vs).select("part_id", "value"))
-        rows.append(S.sketch_bytes(S.measures(p.df, num), hist, kv, hh).withColumn("view", F.lit(name)))
+        per_part = bytes_under(spark, p.path) / max(1, len(p.parts))
+        rows.append(S.sketch_bytes(S.measures(p.df, num), hist, kv, hh).withColumn("view", F.lit(name)).withColumn("share_of_part", F.col("bytes_per_part") / per_part))
     out = rows[0]
     for r in rows[1:]:
         out = out.unionByName(r)
@@ -397,7 +403,7 @@ def c9_picker_times(spark: SparkSession, d: str) -> DataFrame:
 
 @register("c10_speedup")
 def c10_speedup(spark: SparkSession, d: str) -> DataFrame:
-    return experiments.speedups(spark, d, scratch_path(spark, "speedup"))
+    return experiments.speedups(spark, d)
 
 
 @register("c11_filter_quality", f"WITH {LINES}, k AS (SELECT DISTINCT part_id FROM li WHERE ship_day >= 1096 AND ship_day < 1461 AND l_quantity > 49.5), s AS (SELECT part_id FROM li GROUP BY part_id HAVING max(ship_day) >= 1096 AND min(ship_day) < 1461 AND max(l_quantity) > 49.5) SELECT round((SELECT count(*) FROM k) / (SELECT count(*) FROM s)::DOUBLE, 6) AS filter_precision, CAST(1 AS DOUBLE) AS filter_recall")

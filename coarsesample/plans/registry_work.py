@@ -90,10 +90,52 @@ for _key, _view, _layout in (
     _sweep(_view, _layout, _key)
 
 
+def _curve(spark: SparkSession, d: str) -> DataFrame:
+    """The main sweeps of the two views whose columns are skewed or selective, as a curve per view and method."""
+    both = experiments.sweep(spark, d, "events", "user").unionByName(experiments.sweep(spark, d, "orders", "day"))
+    return both.select("view", "method", "budget", F.col("rel_error").alias("error"))
+
+
+@register("w7_auc")
+def w7_auc(spark: SparkSession, d: str) -> DataFrame:
+    from coarsesample.operators.metrics import auc
+
+    return auc(_curve(spark, d), ["view", "method"])
+
+
+@register("w7_error_ratio")
+def w7_error_ratio(spark: SparkSession, d: str) -> DataFrame:
+    """Every method's error over the full method's at 1, 5 and 10 percent read."""
+    from coarsesample.operators.metrics import error_ratio
+
+    out = None
+    for view in ("events", "orders"):
+        for b in (0.01, 0.05, 0.1):
+            part = error_ratio(_curve(spark, d).where(F.col("view") == view), "full", b).select(F.lit(view).alias("view"), F.lit(b).alias("budget"), "method", "ratio")
+            out = part if out is None else out.unionByName(part)
+    return out
+
+
+@register("w7_reduction")
+def w7_reduction(spark: SparkSession, d: str) -> DataFrame:
+    """How many times less the full method reads than another for the error it has at a tenth."""
+    from coarsesample.operators.metrics import reduction
+
+    out = None
+    for view in ("events", "orders"):
+        curve = _curve(spark, d).where(F.col("view") == view)
+        target = curve.where("method = 'full' and abs(budget - 0.1) < 1e-9").first()["error"]
+        for against in ("uniform", "filtered", "strata"):
+            part = reduction(curve, "full", against, target).select(F.lit(view).alias("view"), F.lit(against).alias("against"), F.lit(target).alias("error"), "reduction")
+            out = part if out is None else out.unionByName(part)
+    return out
+
+
 @register("w10_partition_count")
 def w10_partition_count(spark: SparkSession, d: str) -> DataFrame:
-    few = experiments.n_parts_of(d, "events")
-    return experiments.sweep(spark, d, "events", "value", ("uniform", "full"), few).unionByName(experiments.sweep(spark, d, "events", "value", ("uniform", "full"), few * 4))
+    few = experiments.n_parts_of(spark, d, "lineitem") // 10
+    both = [experiments.sweep(spark, d, "lineitem", "shipdate", ("uniform", "filtered", "full"), n) for n in (few, 10 * few)]
+    return both[0].unionByName(both[1])
 
 
 @register("w11_selectivity_bands")
@@ -153,7 +195,7 @@ def w17_benchmark(spark: SparkSession, d: str) -> DataFrame:
 def _lesion_of(key: str, method: str):
     @register(key)
     def run(spark: SparkSession, d: str) -> DataFrame:
-        return experiments.lesion(spark, d).where(F.col("method").isin("full", method))
+        return experiments.lesion(spark, d, ("full", method))
 
     return run
 
@@ -179,7 +221,7 @@ def v6_feature_ablation(spark: SparkSession, d: str) -> DataFrame:
 
 @register("v7_clusterer_swap")
 def v7_clusterer_swap(spark: SparkSession, d: str) -> DataFrame:
-    return experiments.clusterers(spark, d).where("view = 'events'")
+    return experiments.clusterers(spark, d, (("events", "user"),))
 
 
 @register("v8_exemplar")

@@ -1,14 +1,18 @@
 """Offline preparation: statistics, partial answers, contributions, boosted trees, feature selection.
 
-Everything that reads data is a Spark job over all of it; what the driver holds are partition-level
-tables (partitions by features, partitions by groups of each training query), whose size follows the
-count of partitions and queries, not the rows.
+Everything that reads data is a Spark job over all of it. Of training queries the driver gets one
+number per partition, its contribution, which is reduced over the groups on the executors. The trees
+learn from a bounded sample of (query, partition) pairs, one task a model; feature selection runs one
+task a restart. Answers by group come to the driver for evaluation only (Answers), of test queries and
+of the bounded set that feature selection measures its error on.
 """
 
 from __future__ import annotations
 
+import pickle
 import random
-from dataclasses import dataclass, field
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pandas as pd
@@ -17,12 +21,14 @@ from pyspark.sql import functions as F
 
 from coarsesample.operators import features as X
 from coarsesample.operators.clustering import cluster_sample
+from coarsesample.operators.execute import weighted_scan
 from coarsesample.operators.metrics import cutoff_fractions
-from coarsesample.operators.picker import Candidates
-from coarsesample.operators.selectivity import bounds, leaves_of
+from coarsesample.operators.picker import Candidates, selection_frame
+from coarsesample.operators.selectivity import ColumnArrays, leaves_of
 from coarsesample.plans.query import And, Or, QuerySpec, normalize, parts_of, to_sql
 from coarsesample.plans.workload import WORKLOADS, Workload, laid_out
-from coarsesample.runtime import materialize
+from coarsesample.runtime import materialize, scratch_path, ship_package
+from coarsesample.sources.layouts import write_layout
 
 
 class BoostedTrees:
@@ -81,26 +87,38 @@ class BoostedTrees:
     __call__ = predict
 
 
-def batch_partials(df: DataFrame, queries: list[QuerySpec]) -> list[pd.DataFrame]:
-    """Per-partition parts of all queries: one scan for each set of group-by columns, by conditional aggregates."""
-    out: list = [None] * len(queries)
+QUERIES_A_JOB = 40
+
+
+def _batches(queries: list[QuerySpec]) -> Iterator[tuple[tuple, list[tuple[int, QuerySpec]]]]:
+    """Queries of the same group-by columns, some at a time, since each adds columns to one aggregation."""
     for cols in sorted({q.group_by for q in queries}):
         own = [(i, q) for i, q in enumerate(queries) if q.group_by == cols]
-        exprs = []
-        for i, q in own:
-            keep = F.expr(to_sql(q.where))
-            exprs.append(F.count(F.when(keep, 1)).alias(f"q{i}__rows"))
-            for a in q.aggs:
-                x = F.lit(1) if a.expr == "*" else F.expr(a.expr)
-                test = keep if a.where is None else keep & F.expr(to_sql(a.where))
-                x = F.when(test, x)
-                if a.fn == "count":
-                    exprs.append(F.count(x).cast("double").alias(f"q{i}__{a.alias}__s"))
-                else:
-                    exprs.append(F.coalesce(F.sum(x.cast("double")), F.lit(0.0)).alias(f"q{i}__{a.alias}__s"))
-                    if a.fn == "avg":
-                        exprs.append(F.count(x).cast("double").alias(f"q{i}__{a.alias}__c"))
-        table = df.groupBy("part_id", *cols).agg(*exprs).toPandas()
+        for at in range(0, len(own), QUERIES_A_JOB):
+            yield cols, own[at : at + QUERIES_A_JOB]
+
+
+def _parts_table(df: DataFrame, cols: tuple, own: list[tuple[int, QuerySpec]]) -> DataFrame:
+    """part_id, the group and each query's parts, by conditional aggregates in one scan."""
+    exprs = []
+    for i, q in own:
+        keep = f"({to_sql(q.where)})"
+        exprs.append(f"count(CASE WHEN {keep} THEN 1 END) AS q{i}__rows")
+        for a in q.aggs:
+            test = keep if a.where is None else f"{keep} AND ({to_sql(a.where)})"
+            x = f"CASE WHEN {test} THEN {'1' if a.expr == '*' else a.expr} END"
+            count, total = f"CAST(count({x}) AS DOUBLE)", f"coalesce(sum(CAST({x} AS DOUBLE)), 0D)"
+            exprs.append(f"{count if a.fn == 'count' else total} AS q{i}__{a.alias}__s")
+            if a.fn == "avg":
+                exprs.append(f"{count} AS q{i}__{a.alias}__c")
+    return df.groupBy("part_id", *cols).agg(*map(F.expr, exprs))
+
+
+def batch_partials(df: DataFrame, queries: list[QuerySpec]) -> list[pd.DataFrame]:
+    """Per-partition parts of all queries by group, for evaluation."""
+    out: list = [None] * len(queries)
+    for cols, own in _batches(queries):
+        table = _parts_table(df, cols, own).toPandas()
         for i, q in own:
             names = [n for _, n, _, _ in parts_of(q)]
             rows = table[table[f"q{i}__rows"] > 0]
@@ -108,25 +126,65 @@ def batch_partials(df: DataFrame, queries: list[QuerySpec]) -> list[pd.DataFrame
     return out
 
 
+def batch_contributions(df: DataFrame, queries: list[QuerySpec]) -> DataFrame:
+    """part_id, query, contribution (above zero): a partition's largest share of any group's total.
+
+    Groups never leave the executors: a group's total is a window over its per-partition parts, and
+    shares are reduced to one number per partition and query.
+    """
+    out = None
+    for cols, own in _batches(queries):
+        table = _parts_table(df, cols, own)
+        names = {i: [f"q{i}__{n}" for _, n, _, _ in parts_of(q)] for i, q in own}
+        group = f"PARTITION BY {', '.join(cols)}" if cols else ""
+        held = table.selectExpr("part_id", *[f"try_divide({n}, sum({n}) OVER ({group})) AS {n}" for ns in names.values() for n in ns])
+        wide = held.groupBy("part_id").agg(*[F.expr(f"max(greatest(0D, {', '.join(ns)})) AS c{i}") for i, ns in names.items()])
+        each = wide.selectExpr("part_id", f"stack({len(names)}, {', '.join(f'{i}, c{i}' for i in names)}) AS (query, contribution)").where("contribution > 0")
+        out = each if out is None else out.unionByName(each)
+    return out
+
+
+def contributions_of(df: DataFrame, queries: list[QuerySpec], parts: np.ndarray) -> list[np.ndarray]:
+    """batch_contributions as an array over partitions for each query."""
+    out = np.zeros((len(queries), len(parts)))
+    for at in range(0, len(queries), 4 * QUERIES_A_JOB):
+        some = batch_contributions(df, queries[at : at + 4 * QUERIES_A_JOB]).toPandas()
+        out[some["query"].to_numpy(int) + at, np.searchsorted(parts, some["part_id"].to_numpy(int))] = some["contribution"]
+    return list(out)
+
+
 class Answers:
-    """One query's parts as arrays: partitions by groups by parts."""
+    """One query's parts as arrays, a row for each partition and group that has any."""
 
     def __init__(self, q: QuerySpec, table: pd.DataFrame, parts: np.ndarray):
-        self.q, self.names = q, [n for _, n, _, _ in parts_of(q)]
-        where = {int(p): i for i, p in enumerate(parts)}
+        self.q = q
+        names = [n for _, n, _, _ in parts_of(q)]
+        self.where = {int(p): i for i, p in enumerate(parts)}
         if len(q.group_by) and len(table):
-            groups, _ = pd.factorize(pd.MultiIndex.from_frame(table[list(q.group_by)].astype(str)))
+            self.group = pd.factorize(pd.MultiIndex.from_frame(table[list(q.group_by)].astype(str)))[0]
         else:
-            groups = np.zeros(len(table), int)
-        self.n_groups = int(groups.max()) + 1 if len(table) else 0
-        self.x = np.zeros((len(parts), self.n_groups, len(self.names)))
-        self.has = np.zeros((len(parts), self.n_groups), bool)
-        at = table["part_id"].map(where).to_numpy(int)
-        self.x[at, groups] = table[self.names].to_numpy(float)
-        self.has[at, groups] = True
-        self.rows = np.zeros(len(parts))
-        np.add.at(self.rows, at, table["n_rows"].to_numpy(float))
-        self.where = where
+            self.group = np.zeros(len(table), int)
+        self.at = table["part_id"].map(self.where).to_numpy(int)
+        self.x = table[names].to_numpy(float)
+        self.rows = np.bincount(self.at, table["n_rows"].to_numpy(float), len(parts))
+        self._settle()
+
+    def _settle(self) -> None:
+        self.n_groups = int(self.group.max()) + 1 if len(self.group) else 0
+        self.total = self._sum(self.group, self.x)
+
+    def _sum(self, group: np.ndarray, x: np.ndarray) -> np.ndarray:
+        return np.stack([np.bincount(group, x[:, j], self.n_groups) for j in range(x.shape[1])], axis=1)
+
+    def of_parts(self, keep: np.ndarray) -> Answers:
+        """The query over some partitions only, as if they were the table."""
+        out = object.__new__(Answers)
+        own = keep[self.at]
+        out.q, out.where, out.rows = self.q, self.where, np.where(keep, self.rows, 0.0)
+        out.at, out.x = self.at[own], self.x[own]
+        out.group = np.unique(self.group[own], return_inverse=True)[1]
+        out._settle()
+        return out
 
     def _final(self, total: np.ndarray) -> np.ndarray:
         cols, i = [], 0
@@ -143,11 +201,13 @@ class Answers:
         """missed, rel, abs of a weighted selection."""
         if not self.n_groups:
             return {"missed": 0.0, "rel": 0.0, "abs": 0.0}
-        at = np.array([self.where[s[0]] for s in selection], int)
-        w = np.array([s[1] for s in selection], float)
-        truth = self._final(self.x.sum(0))
-        found = self.has[at].any(0) if len(at) else np.zeros(self.n_groups, bool)
-        guess = self._final((self.x[at] * w[:, None, None]).sum(0)) if len(at) else np.zeros_like(truth)
+        weight = np.zeros(len(self.rows))
+        for s in selection:
+            weight[self.where[s[0]]] = s[1]
+        read = weight[self.at] > 0
+        group, x = self.group[read], self.x[read] * weight[self.at[read]][:, None]
+        truth, guess = self._final(self.total), self._final(self._sum(group, x))
+        found = np.bincount(group, minlength=self.n_groups) > 0
         guess[~found] = 0
         rel = np.where(truth == 0, (guess != 0).astype(float), np.abs(guess - truth) / np.where(truth == 0, 1, np.abs(truth)))
         rel[~found] = 1.0
@@ -156,11 +216,11 @@ class Answers:
 
     def contribution(self) -> np.ndarray:
         """Largest share of any group's aggregate, per partition."""
-        if not self.n_groups:
-            return np.zeros(len(self.x))
-        total = self.x.sum(0)
-        share = np.where(total != 0, self.x / np.where(total == 0, 1, total), 0)
-        return np.maximum(share.max((1, 2)), 0)
+        out = np.zeros(len(self.rows))
+        if self.n_groups:
+            total = self.total[self.group]
+            np.maximum.at(out, self.at, np.where(total != 0, self.x / np.where(total == 0, 1, total), 0).max(1))
+        return out
 
 
 @dataclass
@@ -178,21 +238,28 @@ class Prepared:
     models: list = field(default_factory=list)
     scorer: BoostedTrees = None
     keep: np.ndarray = None
+    path: str = None
 
-    def selectivities(self, queries: list[QuerySpec], step: int = 40) -> list[np.ndarray]:
+    def light(self) -> Prepared:
+        """What planning needs, without the data: small enough to be sent to every task."""
+        return replace(self, df=None, stats=None, w=replace(self.w, view=None, layouts=None))
+
+    def scan(self, rows: list[tuple]) -> DataFrame:
+        """The chosen partitions' rows with their weights; the files of others are neither listed nor read."""
+        return weighted_scan(self.df, selection_frame(self.df.sparkSession, rows), self.path)
+
+    def selectivities(self, queries: list[QuerySpec]) -> list[np.ndarray]:
         """The four features of each query for all partitions.
 
-        Every distinct leaf is evaluated on the sketches once, many to a job; predicate trees are then
-        folded over those partition-level columns.
+        The sketches of every column that a predicate names are read once and every distinct leaf is
+        evaluated on them once; predicate trees are then folded over those partition-level numbers.
         """
         trees = [normalize(q.where) for q in queries]
         leaves = list(dict.fromkeys(x for t in trees if t is not None for x in leaves_of(t)))
         known: dict = {}
-        for i in range(0, len(leaves), step):
-            part = leaves[i : i + step]
-            cols = [e.cast("double").alias(f"{n}{j}") for j, x in enumerate(part) for n, e in zip(("guess", "most"), bounds(x)[1:], strict=True)]
-            table = self.stats.select("part_id", *cols).toPandas().set_index("part_id").loc[self.parts].to_numpy(float)
-            known |= {x: np.nan_to_num(table[:, 2 * j : 2 * j + 2]) for j, x in enumerate(part)}
+        for col in sorted({x.col for x in leaves}):
+            arrays = ColumnArrays(self.stats, col, self.parts)
+            known |= {x: np.nan_to_num(np.stack(arrays.bounds(x), axis=1)) for x in leaves if x.col == col}
 
         def fold(t, at: int, both, either):
             if not isinstance(t, And | Or):
@@ -212,9 +279,9 @@ class Prepared:
             out.append(np.stack([upper, indep, each.min(0), each.max(0)], axis=1))
         return out
 
-    def raw(self, q: QuerySpec, sel: np.ndarray) -> np.ndarray:
-        """Masked, normalized features of all partitions for a query."""
-        full = np.concatenate([self.static, sel], axis=1)
+    def raw(self, q: QuerySpec, sel: np.ndarray, own: np.ndarray | slice = slice(None)) -> np.ndarray:
+        """Masked, normalized features of all partitions, or of some, for a query."""
+        full = np.concatenate([self.static[own], sel[own]], axis=1)
         norm = self.norm or X.Normalizer(self.schema).fit(full)
         return norm.transform(full) * self.schema.used(q, self.w.cfg)
 
@@ -225,26 +292,33 @@ class Prepared:
         kept = x if self.keep is None else x[:, self.keep]
         return Candidates(self.parts, kept, keys, sel[:, 0], sel[:, 1], x)
 
-    def fit(self, queries: list[QuerySpec], answers: list[Answers], sels: list[np.ndarray], k: int = 4, top: float = 0.01) -> Prepared:
-        """k regressors on centred, balanced targets with cut-offs at falling shares, and one on the contribution."""
-        full = np.concatenate([np.concatenate([self.static, s], axis=1) for s in sels])
-        self.norm = X.Normalizer(self.schema).fit(full)
-        x = np.concatenate([self.raw(q, s) for q, s in zip(queries, sels, strict=True)])
-        contributions = [a.contribution() for a in answers]
-        self.models = []
+    def fit(self, queries: list[QuerySpec], contributions: list[np.ndarray], sels: list[np.ndarray], k: int = 4, top: float = 0.01, most_rows: int = 40_000, seed: int = 0) -> Prepared:
+        """A copy with k regressors on centred, balanced targets with cut-offs at falling shares, and one on the contribution.
+
+        They learn from ``most_rows`` pairs of query and partition at most, drawn evenly; each model is
+        a task of its own.
+        """
+        n = len(self.parts)
+        drawn = np.sort(np.random.default_rng(seed).permutation(n * len(queries))[:most_rows])
+        own = [drawn[(drawn >= i * n) & (drawn < (i + 1) * n)] - i * n for i in range(len(queries))]
+        full = np.concatenate([np.concatenate([self.static[o], s[o]], axis=1) for o, s in zip(own, sels, strict=True)])
+        out = replace(self, norm=X.Normalizer(self.schema).fit(full))
+        x = np.concatenate([out.raw(q, s, o) for q, s, o in zip(queries, sels, own, strict=True)]).astype(np.float32)
+        targets = []
         for i in range(k):
             target = []
-            for c in contributions:
+            for c, o in zip(contributions, own, strict=True):
                 first = float((c > 0).mean())
                 share = cutoff_fractions(first, k, top)[i] if first > 0 else 0
                 cut = np.sort(c)[::-1][max(0, int(np.ceil(share * len(c) - 1e-9)) - 1)] if share else np.inf
-                target.append(np.where((c >= cut) & (c > 0), 1.0, -1.0))
+                target.append(np.where((c[o] >= cut) & (c[o] > 0), 1.0, -1.0))
             y = np.concatenate(target)
             n_pos = (y > 0).sum()
-            weight = np.where(y > 0, 0.5 / max(1, n_pos), 0.5 / max(1, len(y) - n_pos)) * len(y)
-            self.models.append(BoostedTrees().fit(x, y, weight))
-        self.scorer = BoostedTrees().fit(x, np.concatenate(contributions), np.ones(len(x)))
-        return self
+            targets.append((y, np.where(y > 0, 0.5 / max(1, n_pos), 0.5 / max(1, len(y) - n_pos)) * len(y)))
+        targets.append((np.concatenate([c[o] for c, o in zip(contributions, own, strict=True)]), np.ones(len(x))))
+        held = in_tasks(self.df.sparkSession, (x, targets), len(targets), lambda data, i: BoostedTrees().fit(data[0], *data[1][i]))
+        out.models, out.scorer = held[:k], held[k]
+        return out
 
     def importance_by_kind(self) -> dict[str, float]:
         """Percent of the models' total gain by kind of statistic."""
@@ -253,14 +327,34 @@ class Prepared:
         return {k: float(100 * gain[[i for i, x in enumerate(self.schema.kinds) if x == k]].sum() / total) for k in ("measure", "heavy_hitter", "distinct", "selectivity")}
 
 
+def in_tasks(spark: SparkSession, shared, n: int, work: Callable) -> list:
+    """``work(shared, i)`` for i below n, each in a task; ``shared`` is broadcast, so it has to be small."""
+    ship_package(spark)
+    held = spark.sparkContext.broadcast(pickle.dumps(shared))
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        data = None
+        for batch in batches:
+            for i in batch["id"]:
+                data = pickle.loads(held.value) if data is None else data
+                yield pd.DataFrame({"id": [i], "found": [pickle.dumps(work(data, int(i)))]})
+
+    rows = spark.range(0, n, 1, n).mapInPandas(run, "id long, found binary").collect()
+    held.unpersist()
+    return [pickle.loads(bytes(r["found"])) for r in sorted(rows, key=lambda r: r["id"])]
+
+
 def prepare(spark: SparkSession, sf_dir: str, name: str, layout: str, n_parts: int) -> Prepared:
-    """Lay out a workload's view, sketch it, and bring the partition-level features to the driver."""
+    """Lay out a workload's view as one directory per partition, sketch it in one pass, and bring the
+    partition-level features to the driver."""
     w = WORKLOADS[name]
-    df = materialize(laid_out(spark, sf_dir, name, layout, n_parts), f"view-{name}")
-    stats = materialize(X.partition_stats(df, w.cfg), f"stats-{name}")
+    path = scratch_path(spark, f"view-{name}")
+    write_layout(laid_out(spark, sf_dir, name, layout, n_parts), path)
+    df = spark.read.parquet(path)
+    stats = materialize(X.partition_stats_onepass(df, w.cfg), f"stats-{name}")
     items = X.global_items(stats, w.cfg)
     rows = X.static_features(stats, w.cfg, items).toPandas().sort_values("part_id")
-    return Prepared(w, df, stats, rows["part_id"].to_numpy(int), np.stack(rows["f"].to_numpy()).astype(float), X.FeatureSchema.of(w.cfg), items)
+    return Prepared(w, df, stats, rows["part_id"].to_numpy(int), np.stack(rows["f"].to_numpy()).astype(float), X.FeatureSchema.of(w.cfg), items, path=path)
 
 
 def constants_of(p: Prepared, per_column: int = 20, most_values: int = 10_000) -> dict[str, list]:
@@ -280,39 +374,43 @@ def constants_of(p: Prepared, per_column: int = 20, most_values: int = 10_000) -
     return out
 
 
-def select_features(p: Prepared, queries: list[QuerySpec], answers: list[Answers], sels: list[np.ndarray], restarts: int = 2, budgets: tuple[float, ...] = (0.1, 0.2), seed: int = 0) -> tuple[np.ndarray, list[float]]:
+def select_features(p: Prepared, queries: list[QuerySpec], answers: list[Answers], sels: list[np.ndarray], restarts: int = 4, budgets: tuple[float, ...] = (0.1, 0.2), most_parts: int = 200, seed: int = 0) -> tuple[np.ndarray, list[float]]:
     """Greedy removal of statistic types for clustering: kept columns and the falling training error.
 
-    A type goes from all columns at once. Passes in random order repeat until no removal helps.
+    A type goes from all columns at once. Passes in random order repeat until no removal helps; each
+    restart is a task. The error is that of the given queries over ``most_parts`` partitions at most,
+    drawn evenly, as if they were the table.
     """
     kinds = ["bit" if s.startswith("bit") else s for s in p.schema.stats]
-    data = [(p.raw(q, s), np.flatnonzero(s[:, 0] > 0), a) for q, s, a in zip(queries, sels, answers, strict=True)]
+    drawn = np.zeros(len(p.parts), bool)
+    drawn[np.random.default_rng(seed).permutation(len(p.parts))[:most_parts]] = True
+    data = [(p.raw(q, s).astype(np.float32), np.flatnonzero((s[:, 0] > 0) & drawn), a.of_parts(drawn)) for q, s, a in zip(queries, sels, answers, strict=True)]
+    data = [(x[alive], p.parts[alive], a) for x, alive, a in data if len(alive)]
+    found = in_tasks(p.df.sparkSession, (data, kinds, budgets), restarts, lambda shared, r: _greedy(*shared, seed + r))
+    best_error, trace, best = min(found, key=lambda f: f[0])
+    return np.array([k in best for k in kinds]), trace
+
+
+def _greedy(data: list[tuple], kinds: list[str], budgets: tuple, seed: int) -> tuple[float, list[float], frozenset]:
+    """One restart of the removal: last error, its path, the types kept."""
+    known: dict[frozenset, float] = {}
 
     def error(types: frozenset) -> float:
-        cols = np.array([k in types for k in kinds])
-        found = []
-        for x, alive, a in data:
-            for b in budgets:
-                if len(alive):
-                    found.append(a.errors(cluster_sample(p.parts[alive], x[alive][:, cols], max(1, int(b * len(alive)))))["rel"])
-        return float(np.mean(found)) if found else 0.0
-
-    everything = frozenset(kinds)
-    best, best_error, trace = everything, error(everything), []
-    for r in range(restarts):
-        rng = random.Random(seed + r)
-        now, now_error = everything, error(everything)
-        path = [now_error]
-        improved = True
-        while improved:
-            improved = False
-            for t in rng.sample(sorted(now), len(now)):
-                if len(now) > 1 and (e := error(now - {t})) < now_error:
-                    now, now_error, improved = now - {t}, e, True
-                    path.append(e)
-        if now_error <= best_error:
-            best, best_error, trace = now, now_error, path
-    return np.array([k in best for k in kinds]), trace or [best_error]
+        if types not in known:
+            cols = np.array([k in types for k in kinds])
+            each = [a.errors(cluster_sample(parts, x[:, cols], max(1, int(b * len(parts)))))["rel"] for x, parts, a in data for b in budgets]
+            known[types] = float(np.mean(each)) if each else 0.0
+        return known[types]
+
+    rng, now = random.Random(seed), frozenset(kinds)
+    trace, improved = [error(now)], True
+    while improved:
+        improved = False
+        for t in rng.sample(sorted(now), len(now)):
+            if len(now) > 1 and error(now - {t}) < trace[-1]:
+                now, improved = now - {t}, True
+                trace.append(error(now))
+    return trace[-1], trace, now
 
 
 def needs_retrain(old: Prepared, features: np.ndarray, limit: float = 0.5) -> bool:

@@ -3,13 +3,14 @@
 from __future__ import annotations
 
 import random
+import re
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from coarsesample.operators.features import TableConfig
-from coarsesample.plans.query import Agg, And, Clause, In, Like, Or, QuerySpec
+from coarsesample.plans.query import Agg, And, Clause, In, Like, Not, Or, QuerySpec
 from coarsesample.sources import layouts, tables
 
 
@@ -32,12 +33,12 @@ WORKLOADS = {
         tables.lineitem_wide,
         {"shipdate": ["l_shipdate", *_TIE], "price": ["l_extendedprice", *_TIE], "z_part": ["z_part", *_TIE], "random": None},
         TableConfig(
-            ("l_quantity", "l_extendedprice", "l_discount", "revenue", "ship_day", "order_day", "o_totalprice"),
-            ("l_returnflag", "l_linestatus", "c_mktsegment", "p_brand", "p_type", "cust_region", "supp_nation"),
-            ("l_returnflag", "l_linestatus", "c_mktsegment", "p_type", "cust_region", "supp_nation"),
+            ("l_quantity", "l_extendedprice", "l_discount", "l_tax", "revenue", "ship_day", "order_day", "ship_year", "order_year", "o_totalprice", "c_acctbal", "s_acctbal", "p_size", "p_retailprice", "z_part", "z_supp", "z_cust"),
+            ("l_returnflag", "l_linestatus", "o_orderstatus", "o_orderpriority", "c_mktsegment", "p_brand", "p_type", "p_name", "cust_nation", "cust_region", "supp_nation", "supp_region", "same_nation"),
+            ("l_returnflag", "l_linestatus", "o_orderstatus", "o_orderpriority", "c_mktsegment", "p_type", "cust_region", "supp_nation", "supp_region", "same_nation", "ship_year", "order_year"),
         ),
         ("l_quantity", "l_extendedprice", "revenue", "o_totalprice"),
-        ("l_quantity", "l_extendedprice", "l_discount", "ship_day", "order_day"),
+        ("l_quantity", "l_extendedprice", "l_discount", "l_tax", "ship_day", "order_day", "order_year", "p_size", "p_retailprice", "z_part", "z_supp", "z_cust"),
     ),
     "orders": Workload(
         "orders",
@@ -59,17 +60,17 @@ WORKLOADS = {
         "documents",
         tables.documents_flat,
         {"n_chars": ["n_chars", "doc_id"], "lang": ["lang", "source", "doc_id"]},
-        TableConfig(("n_chars", "n_words", "n_lines", "n_digits", "n_upper"), ("lang", "source"), ("lang", "source")),
+        TableConfig(("n_chars", "n_words", "n_lines", "n_digits", "n_upper", "n_punct", "mean_word_len", "quality", "toxic"), ("lang", "source"), ("lang", "source", "quality")),
         ("n_chars", "n_words", "n_lines"),
-        ("n_chars", "n_words", "n_lines", "n_digits"),
+        ("n_chars", "n_words", "n_lines", "n_digits", "n_punct", "mean_word_len"),
     ),
     "embeddings": Workload(
         "embeddings",
         lambda s, d: tables.embeddings_wide(s, d),
         {"e0": ["e0", "vec_id"], "label": ["label", "vec_id"]},
-        TableConfig(tuple(f"e{i}" for i in range(12)), ("label",), ("label",)),
+        TableConfig(tuple(f"e{i}" for i in range(64)), ("label",), ("label",)),
         ("e0", "e1", "e2"),
-        ("e0", "e1", "e2", "e3"),
+        tuple(f"e{i}" for i in range(64)),
     ),
 }
 
@@ -84,31 +85,69 @@ def laid_out(spark: SparkSession, sf_dir: str, name: str, layout: str, n_parts:
     return layouts.assign_sorted(view, list(dict.fromkeys(order)), n_parts)
 
 
-def generate(w: Workload, constants: dict[str, list], n: int, seed: int) -> list[QuerySpec]:
-    """n different random queries: 0 to 2 group columns, 0 to 5 clauses, 1 to 3 aggregates.
+def _pattern(rng: random.Random, value: str) -> str:
+    """A LIKE pattern that the value matches: its begin, its end, or a part of it."""
+    plain = re.split(r"[%_\\\\]", value)[0]
+    n = rng.randint(1, max(1, len(plain)))
+    at = rng.randint(0, max(0, len(plain) - n))
+    return rng.choice([f"{plain[:n]}%", f"%{plain[at : at + n]}%"]) if plain else "%"
 
-    ``constants`` holds candidate values by column, from sketches; the count of group columns is kept
-    low so that estimated groups stay few.
+
+def _tree(rng: random.Random, clauses: list):
+    """Clauses as one predicate."""
+    if len(clauses) < 2:
+        return clauses[0] if clauses else None
+    kind = rng.random()
+    if kind < 0.2:
+        out = Or(tuple(clauses))
+    elif kind < 0.35 and len(clauses) > 2:
+        out = And((Or(tuple(clauses[:2])), *clauses[2:]))
+    else:
+        out = And(tuple(clauses))
+    return Not(out) if rng.random() < 0.05 else out
+
+
+def generate(w: Workload, constants: dict[str, list], n: int, seed: int, columnsets: int = 16, most_groups: int = 1000) -> list[QuerySpec]:
+    """n different random queries: up to 8 group columns, 0 to 5 clauses, 1 to 3 aggregates.
+
+    ``constants`` holds candidate values by column, from sketches. Group columns come from a pool of
+    ``columnsets`` sets, as a workload's do; a set grows as long as its known distinct values multiply
+    to ``most_groups`` at most. Clauses are comparisons, sets, patterns, and negations of these; a tree
+    is a conjunction, a disjunction, or a disjunction inside a conjunction, now and then negated.
     """
     rng, out, seen = random.Random(seed), [], set()
     strings = [c for c in w.cfg.strings if constants.get(c)]
+    pool = [()]
+    for _ in range(columnsets - 1):
+        cols, groups = [], 1
+        for c in rng.sample(w.cfg.groupable, min(len(w.cfg.groupable), rng.randint(1, 8))):
+            if groups * max(1, len(constants.get(c, ()))) <= most_groups:
+                cols.append(c)
+                groups *= max(1, len(constants.get(c, ())))
+        pool.append(tuple(sorted(cols)))
+    pool = list(dict.fromkeys(pool))
     for _ in range(200 * n):
         if len(out) == n:
             break
-        groups = tuple(sorted(rng.sample(w.cfg.groupable, min(len(w.cfg.groupable), rng.choice([0, 1, 1, 1, 2])))))
+        groups = rng.choice(pool)
         clauses = []
         for _ in range(rng.choice([0, 1, 1, 2, 2, 3, 4, 5])):
             if strings and rng.random() < 0.4:
                 c = rng.choice(strings)
                 values = constants[c]
-                if rng.random() < 0.5:
+                kind = rng.random()
+                if kind < 0.4:
                     clauses.append(Clause(c, rng.choice(["=", "<>"]), rng.choice(values)))
-                else:
+                elif kind < 0.8:
                     clauses.append(In(c, tuple(sorted(rng.sample(values, min(len(values), rng.randint(1, 3)))))))
+                else:
+                    clauses.append(Like(c, _pattern(rng, rng.choice(values))))
             else:
                 c = rng.choice([x for x in w.numeric_filters if constants.get(x)])
                 clauses.append(Clause(c, rng.choice(["<", "<=", ">", ">="]), rng.choice(constants[c])))
-        where = None if not clauses else clauses[0] if len(clauses) == 1 else (Or if rng.random() < 0.2 else And)(tuple(clauses))
+            if rng.random() < 0.1:
+                clauses[-1] = Not(clauses[-1])
+        where = _tree(rng, clauses)
         aggs = [Agg("sum", c, f"sum_{c}") for c in rng.sample(w.sums, rng.randint(1, min(2, len(w.sums))))]
         if rng.random() < 0.6:
             aggs.append(Agg("count", "*", "n"))

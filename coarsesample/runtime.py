@@ -5,6 +5,7 @@ from __future__ import annotations
 import atexit
 import io
 import os
+import re
 import shutil
 import tempfile
 import uuid
@@ -54,12 +55,14 @@ def ship_package(spark: SparkSession) -> None:
 def scratch_path(spark: SparkSession, tag: str) -> str:
     """A fresh folder below the cluster's shared checkpoint folder.
 
-    Only where ``spark.checkpoint.dir`` is unset, as in tests, a local folder is made; it goes at exit.
+    Where ``spark.checkpoint.dir`` is unset, a local folder is made if the master is local, as in
+    tests; it goes at exit. On a cluster that is an error, for executors would not see each other's files.
     """
-    base = spark.conf.get("spark.checkpoint.dir", None)
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
     if not base:
-        held = spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
-        base = held or _local_base()
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
+        base = _local_base()
     return f"{base.rstrip('/')}/coarsesample/{tag}-{uuid.uuid4().hex}"
 
 
@@ -81,6 +84,13 @@ def materialize(df: DataFrame, tag: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def bytes_under(spark: SparkSession, path: str) -> int:
+    """Bytes of all files below a path, in whatever store it is."""
+    jvm = spark.sparkContext._jvm
+    at = jvm.org.apache.hadoop.fs.Path(path)
+    return at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getContentSummary(at).getLength()
+
+
 def broadcast_if_small(df: DataFrame, most_rows: int = 1_000_000) -> DataFrame:
     """``df`` marked for broadcast if its rows, which are counted, are few; else as it is, for a shuffled join."""
     return F.broadcast(df) if df.limit(most_rows + 1).count() <= most_rows else df

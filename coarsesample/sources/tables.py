@@ -70,6 +70,8 @@ def documents_flat(spark: SparkSession, sf_dir: str) -> DataFrame:
             "n_lines": F.size(F.split(text, "\n")).cast("long"),
             "n_digits": F.regexp_count(text, F.lit("[0-9]")).cast("long"),
             "n_upper": F.regexp_count(text, F.lit("[A-Z]")).cast("long"),
+            "n_punct": F.regexp_count(text, F.lit("[!-/:-@]")).cast("long"),
+            "mean_word_len": F.char_length(F.regexp_replace(text, r"\s+", "")) / F.greatest(F.size(F.split(F.trim(text), r"\s+")), F.lit(1)),
         }
     ).drop("text")
     return flat.join(labels, "doc_id", "left")

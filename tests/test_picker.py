@@ -148,6 +148,101 @@ def test_constants_come_from_all_partitions(spark):
     assert got["s"] == [f"v{i:03d}" for i in range(200)]
 
 
+def test_cells_never_overrun_the_budget(spark):
+    rng = np.random.default_rng(1)
+    df = spark.createDataFrame([(i, rng.normal(size=4).tolist()) for i in range(500)], "part_id int, f array<double>")
+    for n, cells in ((10, 64), (1, 64), (37, 5), (499, 64)):
+        rows = clustering.cell_sample(df, n, cells).collect()
+        assert len(rows) == n and sum(r["weight"] for r in rows) == pytest.approx(500)
+
+
+def test_thirty_thousand_partitions():
+    rng = np.random.default_rng(2)
+    x = rng.normal(size=(30_000, 6))
+    c = picker.Candidates(np.arange(30_000), x, [(1,)] * 30_000, np.ones(30_000), np.ones(30_000), x)
+    rows = picker.select_full(c, 1500, [lambda r: r[:, 0], lambda r: r[:, 1] - 1])
+    assert len(rows) == 1500 == len({r[0] for r in rows}) and sum(r[1] for r in rows) == pytest.approx(30_000)
+
+
+def test_split_sample_is_cluster_sample_below_its_limit():
+    x = np.random.default_rng(3).normal(size=(50, 3))
+    assert clustering.split_sample(np.arange(50), x, 7) == clustering.cluster_sample(np.arange(50), x, 7)
+    picks = clustering.split_sample(np.arange(50), x, 7, most=10)
+    assert len(picks) == 7 and sum(w for _, w, _ in picks) == pytest.approx(50)
+
+
+@pytest.mark.parametrize("chosen", [5, 2000])
+def test_only_chosen_files_are_read(spark, tmp_path, chosen):
+    from coarsesample.operators.execute import weighted_scan
+
+    n, path = (40, f"file://{tmp_path}/few") if chosen == 5 else (2500, f"file://{tmp_path}/many")
+    spark.range(n * 2).selectExpr("id AS x", f"CAST(id % {n} AS INT) AS part_id").repartition(4, "part_id").write.partitionBy("part_id").parquet(path)
+    df = spark.read.parquet(path)
+    picks = picker.selection_frame(spark, [(i, 2.0, "r", 0, 0) for i in range(0, n, n // chosen)][:chosen])
+    for at in (path, None):
+        got = weighted_scan(df, picks, at)
+        assert got.count() == 2 * chosen and got.agg({"weight": "sum"}).first()[0] == 4.0 * chosen
+        plan = got._jdf.queryExecution().executedPlan()
+        if at:
+            read = {f.split("part_id=")[1].split("/")[0] for f in got.inputFiles()}
+            assert len(read) == chosen
+        else:
+            assert "PartitionFilters: [" in plan.toString() and "part_id" in plan.toString().split("PartitionFilters: [")[1].split("]")[0]
+
+
+def test_contributions_on_spark_equal_the_answers(spark):
+    from coarsesample.plans.query import Agg, Clause, QuerySpec
+    from coarsesample.plans.training import Answers, batch_partials, contributions_of
+
+    rng = np.random.default_rng(5)
+    rows = [(int(rng.integers(0, 9)), rng.choice(["a", "b", None]), rng.choice(["u", "v"]), float(rng.normal()), int(rng.integers(0, 5))) for _ in range(600)]
+    df = spark.createDataFrame(rows, "part_id int, g string, h string, x double, k int").cache()
+    queries = [QuerySpec((Agg("sum", "x", "s"), Agg("count", "*", "n"), Agg("avg", "x", "m")), w, by) for w in (None, Clause("k", ">", 2.0), Clause("k", ">", 9.0)) for by in ((), ("g",), ("g", "h"))]
+    parts = np.arange(9)
+    got = contributions_of(df, queries, parts)
+    for q, c, t in zip(queries, got, batch_partials(df, queries), strict=True):
+        assert c == pytest.approx(Answers(q, t, parts).contribution())
+
+
+def test_answers_errors_by_hand(spark):
+    import pandas as pd
+
+    from coarsesample.plans.query import Agg, QuerySpec
+    from coarsesample.plans.training import Answers
+
+    t = pd.DataFrame({"part_id": [1, 1, 2, 3], "g": ["a", "b", "a", "c"], "n_rows": [1, 1, 1, 1], "s__s": [10.0, 5.0, 30.0, 8.0]})
+    a = Answers(QuerySpec((Agg("sum", "s", "s"),), None, ("g",)), t, np.array([1, 2, 3]))
+    e = a.errors([(1, 2.0), (2, 1.0)])
+    assert e["missed"] == pytest.approx(1 / 3) and e["rel"] == pytest.approx((0.25 + 1 + 1) / 3)
+    some = a.of_parts(np.array([True, True, False]))
+    assert some.n_groups == 2 and some.errors([(1, 1.0), (2, 1.0)])["rel"] == 0
+
+
+def test_as_of_join_keeps_a_row_together(spark):
+    from coarsesample.operators.relational import as_of_join
+
+    left = spark.createDataFrame([(1, 10, "l")], "k int, at int, tag string")
+    right = spark.createDataFrame([(1, 3, "old", 7), (1, 5, None, 8), (1, 10, "same", 9), (2, 1, "other", 1)], "k int, at int, v string, w int")
+    assert [tuple(r) for r in as_of_join(left, right, "k", "at", ["v", "w"]).collect()] == [(1, 10, "l", None, 8)]
+
+
+def test_generator_uses_every_form():
+    from coarsesample.plans.query import Like, Not, Or
+    from coarsesample.plans.workload import WORKLOADS, generate
+
+    w = WORKLOADS["lineitem"]
+    constants = {c: [1.0, 2.0, 3.0] for c in w.cfg.numeric} | {c: ["AB C", "DE", "F"] for c in w.cfg.strings}
+    queries = generate(w, constants, 400, 1)
+
+    def forms(p):
+        return {type(p).__name__} | {f for x in getattr(p, "of", ()) if not isinstance(x, str) for f in forms(x)} if not isinstance(p, Not) else {"Not"} | forms(p.of)
+
+    seen = set().union(*(forms(q.where) for q in queries if q.where is not None))
+    assert {"Clause", "In", "Like", "And", "Or", "Not"} <= seen and len(queries) == 400 == len(set(queries))
+    assert max(len(q.group_by) for q in queries) >= 4 and any(not q.group_by for q in queries) and len({q.group_by for q in queries}) <= 16
+    assert Like and Or
+
+
 def test_experiments_use_all_training_queries(spark, monkeypatch):
     import inspect
 
@@ -163,5 +258,6 @@ def test_experiments_use_all_training_queries(spark, monkeypatch):
         return np.ones(len(p.schema), bool), [0.0]
 
     monkeypatch.setattr(experiments, "select_features", noted)
-    train = experiments.trained(spark, "/root/testdata/sf0.001", "events", "user", 10, n_train=30, n_test=3)[4]
-    assert asked == [len(train[0])] and asked[0] > 16
+    assert of(experiments.trained)["selection_queries"] == 40 and 0.01 in experiments.BUDGETS
+    p, *_, train = experiments.trained(spark, "/root/testdata/sf0.001", "events", "user", 10, n_train=30, n_test=3)
+    assert asked == [len(train[0])] and asked[0] > 16 and len(p.models) == 4

@@ -81,3 +81,38 @@ def test_features_of_both_builders_agree(spark):
         for n, a, b in zip(names, out[0][p], out[1][p]):
             if n.split("__")[-1] not in ("freq_min",):
                 assert abs(a - b) <= 0.06 * max(1, abs(a)), n
+
+
+@pytest.mark.parametrize("build", [X.partition_stats, X.partition_stats_onepass])
+def test_partitions_without_values_stay(spark, build):
+    rows = [(0, 1.0, 2.0, "a"), (1, None, None, None), (1, None, None, None), (2, 3.0, None, None), (3, None, 1.0, "b")]
+    df = spark.createDataFrame(rows, "part_id int, x double, y double, s string")
+    stats = build(df, CFG)
+    assert sorted(r["part_id"] for r in stats.collect()) == [0, 1, 2, 3]
+    for p in (Clause("x", ">", 2.0), Clause("y", "<", 5.0), In("s", ("a",)), Like("s", "b%")):
+        kept = {r["part_id"] for r in filter_by_predicate(with_selectivity(stats, p)).collect()}
+        true = {r["part_id"] for r in df.where(to_sql(p)).collect()}
+        assert true <= kept
+    assert X.static_features(stats, CFG, X.global_items(stats, CFG)).count() == 4
+
+
+@pytest.mark.parametrize("build", [X.partition_stats, X.partition_stats_onepass])
+def test_arrays_say_what_expressions_say(spark, build):
+    import numpy as np
+
+    from coarsesample.operators.selectivity import ColumnArrays, bounds, leaves_of
+    from coarsesample.plans.query import normalize
+
+    rng = random.Random(8)
+    rows = [(p, None if rng.random() < 0.1 else float(rng.randint(0, 30)), rng.random(), None if p == 4 or rng.random() < 0.1 else rng.choice(["ab", "bc", "c_%"])) for p in range(12) for _ in range(rng.randint(1, 60))]
+    df = spark.createDataFrame([*rows, (12, None, None, None)], "part_id int, x double, y double, s string")
+    stats = build(df, CFG).cache()
+    preds = [Clause("x", o, v) for o in ("<", "<=", ">", ">=", "=", "<>") for v in (0.0, 7.0, 7.5, 30.0, 99.0)] + [In("s", ("ab", "zz")), In("s", ("ab",), True), Like("s", "%b%"), Like("s", "b_"), Like("s", "c%", True), Like("s", "c\\_\\%")]
+    leaves = list(dict.fromkeys(x for p in preds for x in leaves_of(normalize(p))))
+    parts = np.arange(13)
+    want = stats.select("part_id", *[e.cast("double").alias(f"{n}{i}") for i, x in enumerate(leaves) for n, e in zip("gm", bounds(x)[1:])]).toPandas().set_index("part_id").loc[parts]
+    arrays = {c: ColumnArrays(stats, c, parts) for c in ("x", "s")}
+    for i, x in enumerate(leaves):
+        guess, most = arrays[x.col].bounds(x)
+        assert np.nan_to_num(guess) == pytest.approx(np.nan_to_num(want[f"g{i}"].to_numpy(float))), x
+        assert np.nan_to_num(most) == pytest.approx(np.nan_to_num(want[f"m{i}"].to_numpy(float))), x
