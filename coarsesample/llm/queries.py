@@ -86,5 +86,20 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op10_token_files": op10_token_files,
 }
 
-#: None of these can be stated in DuckDB's SQL (crc32, learned models, token ids, sha256 of loops); tests hold them against brute force.
-ORACLE_SQL: dict[str, str] = {}
+#: Self joins over all pairs: what the two similarity operators have to find, by another way.
+#: The others need learnt models, token ids, a parser, crc32 or windows of formatted text; tests hold them against brute force.
+ORACLE_SQL: dict[str, str] = {
+    "op7_near_vectors": """WITH RECURSIVE v AS (SELECT vec_id, label, CAST(embedding AS DOUBLE[]) AS e FROM embeddings),
+ link AS (SELECT a.vec_id AS u, b.vec_id AS w FROM v a JOIN v b ON a.label = b.label AND a.vec_id <> b.vec_id WHERE list_cosine_similarity(a.e, b.e) >= 0.98),
+ reach AS (SELECT vec_id AS u, vec_id AS w FROM v UNION SELECT r.u, l.w FROM reach r JOIN link l ON r.w = l.u),
+ named AS (SELECT u, min(w) AS component_id FROM reach GROUP BY u), linked AS (SELECT u, count(*) AS n FROM link GROUP BY u)
+ SELECT vec_id, coalesce(n, 0) AS n_links, component_id, vec_id = component_id AS kept FROM v JOIN named ON named.u = vec_id LEFT JOIN linked ON linked.u = vec_id""",
+    "op9_near_text": r"""WITH RECURSIVE words AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS t FROM documents),
+ sets AS (SELECT doc_id, CASE WHEN len(t) = 0 THEN CAST([] AS VARCHAR[]) WHEN len(t) < 3 THEN [array_to_string(t, ' ')] ELSE list_distinct(list_transform(range(1, len(t) - 1), lambda i: t[i] || ' ' || t[i + 1] || ' ' || t[i + 2])) END AS s FROM words),
+ held AS (SELECT doc_id, len(s) AS n, unnest(s) AS g FROM sets),
+ met AS (SELECT a.doc_id AS u, b.doc_id AS w, any_value(a.n) AS nu, any_value(b.n) AS nw, count(*) AS n FROM held a JOIN held b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY 1, 2),
+ link AS (SELECT u, w FROM met WHERE 100 * n >= 85 * (nu + nw - n)), both_ways AS (SELECT u, w FROM link UNION ALL SELECT w, u FROM link),
+ reach AS (SELECT doc_id AS u, doc_id AS w FROM sets UNION SELECT r.u, l.w FROM reach r JOIN both_ways l ON r.w = l.u),
+ named AS (SELECT u, min(w) AS component_id FROM reach GROUP BY u)
+ SELECT doc_id, CAST(len(s) AS BIGINT) AS n_shingles, component_id, doc_id = component_id AS kept FROM sets JOIN named ON named.u = doc_id""",
+}
