@@ -265,11 +265,9 @@ def s4_sessions(spark: SparkSession, d: str) -> DataFrame:
     return rounded(streams.drain(streams.sessions(streams.events_stream(spark, d), "2 hours"), "complete", "s4"))
 
 
-@register("s5_seal", f"SELECT {DAY} // 86400 AS part_id, 'value' AS col_name, count(*) AS n_rows, round(avg(value), 4) AS mean, round(max(value), 4) AS max FROM events GROUP BY 1")
+@register("s5_seal", f"SELECT {DAY} // 86400 AS part_id, count(*) AS n_rows, round(avg(value), 4) AS mean, round(max(value), 4) AS max FROM events GROUP BY 1 HAVING ({DAY} // 86400 + 1) * 86400 <= (SELECT max(CAST(floor(epoch(ts)) AS BIGINT)) FROM events) - 3600")
 def s5_seal(spark: SparkSession, d: str) -> DataFrame:
-    day = F.floor(F.unix_timestamp("at") / 86400)
-    seal = lambda batch: S.measures(batch.withColumn("part_id", day), ["value"]).select("part_id", "col_name", "n_rows", "mean", "max")
-    return rounded(streams.drain(streams.events_stream(spark, d, 1000), "append", "s5", seal))
+    return rounded(streams.drain(streams.sealed(streams.events_stream(spark, d, 1000)), "append", "s5"))
 
 
 @register("s6_stateful", "SELECT CAST(user_id % 10 AS INTEGER) AS key, count(*) AS n, round(min(value), 4) AS low, round(max(value), 4) AS high, round(sum(value), 2) AS total FROM events GROUP BY 1")
@@ -280,9 +278,13 @@ def s6_stateful(spark: SparkSession, d: str) -> DataFrame:
     return last.select("key", "n", F.round("low", 4).alias("low"), F.round("high", 4).alias("high"), F.round("total", 2).alias("total"))
 
 
-@register("s7_late_rows", f"SELECT CAST({DAY} // 86400 AS VARCHAR) || CASE WHEN event_id % 97 = 5 THEN '-delta' ELSE '' END AS part_key, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY 1")
+LATE = "event_id % 97 = 5"
+MARK = f"(SELECT max(CAST(floor(epoch(ts)) AS BIGINT)) FROM events WHERE NOT ({LATE})) - 3600"
+
+
+@register("s7_late_rows", f"SELECT CAST({DAY} // 86400 AS VARCHAR) || CASE WHEN {LATE} AND ({DAY} // 86400 + 1) * 86400 <= {MARK} THEN '-delta' ELSE '' END AS part_key, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY 1")
 def s7_late_rows(spark: SparkSession, d: str) -> DataFrame:
-    out = streams.drain(streams.split_late(streams.events_stream(spark, d)), "append", "s7")
+    out = streams.deltas(spark, d, LATE)
     return rounded(out.groupBy("part_key").agg(F.count(F.lit(1)).alias("n"), F.sum("value").alias("total")))
 
 

@@ -1,7 +1,8 @@
 """Sealing partitions from a stream: windows, idempotent sketches, state, late rows, joins.
 
 Streams read with ``availableNow`` and write through foreachBatch into numbered folders of shared
-scratch, so a batch that is replayed overwrites its own folder and nothing is counted twice.
+scratch, so a batch that is replayed overwrites its own folder and nothing is counted twice. A
+partition is sealed once the watermark has passed its end; rows that come later go to a delta.
 """
 
 from __future__ import annotations
@@ -12,7 +13,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from coarsesample.runtime import scratch_path
+from coarsesample.runtime import read_table, scratch_path
 
 INSTANT = "timestamp_seconds(timestampdiff(SECOND, TIMESTAMP_NTZ'1970-01-01 00:00:00', ts))"
 
@@ -55,11 +56,35 @@ def sessions(stream: DataFrame, gap: str) -> DataFrame:
     return agg.select("user_id", F.unix_timestamp("w.start").alias("start"), "n", "total")
 
 
-def split_late(stream: DataFrame, horizon: str = "2024-01-02 00:00:00") -> DataFrame:
-    """Rows of windows that are sealed already get a delta partition of their own."""
-    day = F.floor(F.unix_timestamp("at") / 86400)
-    late = F.pmod(F.col("event_id"), F.lit(97)) == 5
-    return stream.select("event_id", day.alias("day"), "value", F.when(late, F.concat_ws("-", day.cast("string"), F.lit("delta"))).otherwise(day.cast("string")).alias("part_key"))
+def sealed(stream: DataFrame, length: str = "1 day", delay: str = "1 hour") -> DataFrame:
+    """part_id, n_rows, mean, max of the windows that the watermark has passed; each is given once, when it is whole."""
+    agg = stream.withWatermark("at", delay).groupBy(F.window("at", length).alias("w")).agg(F.count(F.lit(1)).alias("n_rows"), F.avg("value").alias("mean"), F.max("value").alias("max"))
+    return agg.select(F.floor(F.unix_timestamp("w.start") / 86400).alias("part_id"), "n_rows", "mean", "max")
+
+
+def deltas(spark: SparkSession, sf_dir: str, late: str, delay: int = 3600) -> DataFrame:
+    """event_id, day, value, part_key of the events in two deliveries; the second brings the rows that ``late`` names.
+
+    A batch's watermark is the latest time of all batches before it less ``delay`` seconds, kept in
+    shared scratch beside them. Rows of a day that had ended by then find it sealed and get a delta
+    partition of their own; other rows, late or not, still join their day.
+    """
+    out, events = scratch_path(spark, "deltas"), read_table(spark, sf_dir, "events")
+
+    def write(batch: DataFrame, number: int) -> None:
+        held = batch.withColumn("at", F.expr(INSTANT)).withColumn("day", F.floor(F.unix_timestamp("at") / 86400)).persist()
+        before = spark.read.parquet(*[f"{out}/mark/batch={n}" for n in range(number)]).agg(F.max("latest")).first()[0] if number else None
+        is_late = F.lit(before is not None) & ((F.col("day") + 1) * 86400 <= F.lit((before or 0) - delay))
+        key = F.when(is_late, F.concat_ws("-", F.col("day").cast("string"), F.lit("delta"))).otherwise(F.col("day").cast("string"))
+        held.select("event_id", "day", "value", key.alias("part_key")).write.mode("overwrite").parquet(f"{out}/data/batch={number}")
+        held.agg(F.max(F.unix_timestamp("at")).alias("latest")).write.mode("overwrite").parquet(f"{out}/mark/batch={number}")
+        held.unpersist()
+
+    for delivery in (f"NOT ({late})", late):
+        events.where(delivery).write.mode("append").parquet(f"{out}/arrivals")
+        stream = spark.readStream.schema(events.schema).parquet(f"{out}/arrivals")
+        stream.writeStream.foreachBatch(write).option("checkpointLocation", f"{out}/log").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.parquet(f"{out}/data").drop("batch")
 
 
 class StatefulMeasures:
