@@ -365,9 +365,10 @@ def constants_of(p: Prepared, per_column: int = 20, most_values: int = 10_000) -
     """
     out: dict[str, list] = {}
     ranks = F.array(*[F.lit(i / (per_column - 1)) for i in range(per_column)])
-    for c in p.w.cfg.numeric:
-        edges = p.stats.select(F.explode(F.col(f"{c}__hist.hi")).alias("edge")).select(F.round(F.col("edge").cast("double"), 4).alias("edge")).distinct()
-        out[c] = sorted(set(edges.agg(F.percentile_approx("edge", ranks, F.lit(10_000))).first()[0] or []))
+    each = F.explode(F.array(*[F.struct(F.lit(c).alias("c"), F.col(f"{c}__hist.hi").alias("hi")) for c in p.w.cfg.numeric]))
+    edges = p.stats.select(each.alias("x")).select("x.c", F.explode("x.hi").alias("edge")).select("c", F.round(F.col("edge").cast("double"), 4).alias("edge")).distinct()
+    found = {r["c"]: r["q"] for r in edges.groupBy("c").agg(F.percentile_approx("edge", ranks, F.lit(10_000)).alias("q")).collect()}
+    out |= {c: sorted(set(found.get(c) or [])) for c in p.w.cfg.numeric}
     for c in p.w.cfg.strings:
         values = p.stats.select(F.explode(F.col(f"{c}__dict.value")).alias("value")).where("value is not null").distinct()
         out[c] = sorted(r[0] for r in values.orderBy(F.xxhash64("value"), "value").limit(most_values).collect())
