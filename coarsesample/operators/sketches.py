@@ -62,16 +62,18 @@ def hashed(counts: DataFrame) -> DataFrame:
 
 def kmv(counts: DataFrame, k: int = 128) -> DataFrame:
     """part_id, col_name, hash, n: the k smallest distinct hashes and how often each occurred."""
-    by_hash = counts.groupBy(*_EACH, hash32(F.col("value").cast("string")).alias("hash")).agg(F.sum("n").alias("n"))
+    return kmv_shrink(counts.groupBy(*_EACH, hash32(F.col("value").cast("string")).alias("hash")).agg(F.sum("n").alias("n")), k)
+
+
+def kmv_shrink(sketch: DataFrame, k: int) -> DataFrame:
+    """The sketch of size ``k`` that a larger one holds."""
     rank = F.row_number().over(Window.partitionBy(*_EACH).orderBy("hash"))
-    return by_hash.withColumn("__r", rank).where(F.col("__r") <= k).drop("__r")
+    return sketch.withColumn("__r", rank).where(F.col("__r") <= k).drop("__r")
 
 
 def kmv_merge(a: DataFrame, b: DataFrame, k: int = 128) -> DataFrame:
     """Sketch of the union of two pieces with the same part ids."""
-    both = a.unionByName(b).groupBy(*_EACH, "hash").agg(F.sum("n").alias("n"))
-    rank = F.row_number().over(Window.partitionBy(*_EACH).orderBy("hash"))
-    return both.withColumn("__r", rank).where(F.col("__r") <= k).drop("__r")
+    return kmv_shrink(a.unionByName(b).groupBy(*_EACH, "hash").agg(F.sum("n").alias("n")), k)
 
 
 def kmv_features(sketch: DataFrame, k: int = 128) -> DataFrame:

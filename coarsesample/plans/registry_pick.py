@@ -441,6 +441,18 @@ def c16_bias_variance(spark: SparkSession, d: str) -> DataFrame:
     return metrics.bias_variance(fixed_clusters(spark, d)).select(F.round("expected", 4).alias("expected"), F.round("variance", 2).alias("variance"))
 
 
+@register("c16_drawn", f"WITH {LINES}, f AS (SELECT part_id, part_id % 5 AS cluster, avg(l_quantity) AS x FROM li GROUP BY 1, 2), s AS (SELECT cluster, count(*) AS size FROM f GROUP BY 1), r AS (SELECT seed, size * x AS e, row_number() OVER (PARTITION BY seed, cluster ORDER BY (part_id * 7919 + seed * 104729) % 10007, part_id) AS pos FROM f JOIN s USING (cluster), range(200) t(seed)), e AS (SELECT seed, sum(e) AS e FROM r WHERE pos = 1 GROUP BY seed) SELECT round(avg(e), 4) AS mean, round(stddev_pop(e), 4) AS deviation, count(*) AS draws FROM e")
+def c16_drawn(spark: SparkSession, d: str) -> DataFrame:
+    """Mean and deviation of the total over 200 drawings of random exemplars, beside the closed forms of c16_bias_variance."""
+    f = fixed_clusters(spark, d).select("part_id", "cluster", "x")
+    sized = f.join(F.broadcast(f.groupBy("cluster").agg(F.count(F.lit(1)).alias("size"))), "cluster")
+    seeds = spark.range(200).select(F.col("id").alias("seed"))
+    order = Window.partitionBy("seed", "cluster").orderBy(F.pmod(F.col("part_id") * 7919 + F.col("seed") * 104729, F.lit(10007)), "part_id")
+    drawn = sized.crossJoin(F.broadcast(seeds)).withColumn("at", F.row_number().over(order)).where("at = 1")
+    each = drawn.groupBy("seed").agg(F.sum(F.col("size") * F.col("x")).alias("e"))
+    return rounded(each.agg(F.avg("e").alias("mean"), F.stddev_pop("e").alias("deviation"), F.count(F.lit(1)).alias("draws")))
+
+
 # Row-level answers on the wide view serve W5's exact side.
 def wide_exact(name: str, q: QuerySpec):
     @register(f"w5_{name}", f"WITH {WIDE} {answer_sql(q, 'wide')}")

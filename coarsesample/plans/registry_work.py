@@ -254,3 +254,79 @@ def v9_bucket_counts(spark: SparkSession, d: str) -> DataFrame:
         one = truth.join(hist, "part_id").select(F.lit(b).alias("buckets"), F.abs(guess - F.col("truth")).alias("e")).groupBy("buckets").agg(F.avg("e").alias("error"))
         out = one if out is None else out.unionByName(one)
     return rounded(out, 6)
+
+
+def _kmv_sizes_sql() -> str:
+    from coarsesample.functions.portable import HASH_SPACE
+    from coarsesample.plans.registry import HASH, counts_sql
+    from coarsesample.plans.registry_stats import KEYS
+
+    truth = " UNION ALL ".join(f"SELECT part_id, '{c}' AS col_name, count(DISTINCT {c}) AS truth FROM li GROUP BY part_id" for c in KEYS)
+    return f"""WITH {LINES}, h AS (SELECT DISTINCT part_id, col_name, {HASH.format('value')} AS hash FROM ({counts_sql(KEYS, 'VARCHAR')})), r AS (SELECT *, row_number() OVER (PARTITION BY part_id, col_name ORDER BY hash) AS place FROM h), t AS ({truth}),
+ e AS (SELECT k, part_id, col_name, count(*) AS kept, CASE WHEN count(*) < k THEN CAST(count(*) AS DOUBLE) ELSE (k - 1) * {HASH_SPACE} / max(hash) END AS ndv FROM r, (VALUES (32), (64), (128), (256)) s(k) WHERE place <= k GROUP BY 1, 2, 3)
+ SELECT k, round(avg(abs(ndv - truth) / truth), 6) AS error, round(avg(kept), 6) AS kept FROM e JOIN t USING (part_id, col_name) GROUP BY k"""
+
+
+@register("v9_kmv_sizes", _kmv_sizes_sql())
+def v9_kmv_sizes(spark: SparkSession, d: str) -> DataFrame:
+    """Error of the distinct estimates by the sketch's size."""
+    from coarsesample.operators import sketches as S
+    from coarsesample.plans.registry_stats import KEYS
+    from coarsesample.runtime import materialize
+
+    df, out = lines(spark, d), None
+    each = F.inline(F.array(*[F.struct(F.lit(c).alias("col_name"), F.col(c).alias("truth")) for c in KEYS]))
+    truth = df.groupBy("part_id").agg(*[F.countDistinct(c).alias(c) for c in KEYS]).select("part_id", each)
+    largest = materialize(S.kmv(S.value_counts(df, KEYS, "string"), 256), "kmv")
+    for k in (32, 64, 128, 256):
+        sketch = S.kmv_shrink(largest, k)
+        kept = sketch.groupBy("part_id", "col_name").agg(F.count(F.lit(1)).alias("kept"))
+        each = S.kmv_features(sketch, k).join(kept, ["part_id", "col_name"]).join(truth, ["part_id", "col_name"])
+        one = each.agg(F.lit(k).alias("k"), F.avg(F.abs(F.col("ndv") - F.col("truth")) / F.col("truth")).alias("error"), F.avg("kept").alias("kept"))
+        out = one if out is None else out.unionByName(one)
+    return rounded(out, 6)
+
+
+SUPPORTS = (0.005, 0.01, 0.02, 0.05)
+
+
+def _supports_sql() -> str:
+    from coarsesample.plans.registry import counts_sql
+
+    return f"""WITH {LINES}, vc AS (SELECT *, CAST(sum(n) OVER (PARTITION BY part_id, col_name) AS DOUBLE) AS whole FROM ({counts_sql(['l_quantity', 'l_linenumber'], 'DOUBLE')})), a AS (SELECT col_name, count(DISTINCT part_id) AS parts, sum(n) AS whole FROM vc GROUP BY 1)
+ SELECT support, col_name, round(count(*) / any_value(a.parts)::DOUBLE, 6) AS items, round(sum(n) / any_value(a.whole)::DOUBLE, 6) AS covered FROM vc JOIN a USING (col_name), (VALUES {', '.join(f'({s}::DOUBLE)' for s in SUPPORTS)}) t(support) WHERE n >= vc.whole * support GROUP BY 1, 2"""
+
+
+@register("v9_supports", _supports_sql())
+def v9_supports(spark: SparkSession, d: str) -> DataFrame:
+    """Heavy hitters of a partition and the rows they cover, by support; a support that no value reaches has no row."""
+    from coarsesample.operators import sketches as S
+
+    vc, out = S.value_counts(lines(spark, d), ["l_quantity", "l_linenumber"], "double"), None
+    whole = vc.groupBy("col_name").agg(F.countDistinct("part_id").alias("parts"), F.sum("n").alias("whole"))
+    for s in SUPPORTS:
+        one = S.heavy_hitters(vc, s).groupBy("col_name").agg(F.count(F.lit(1)).alias("items"), F.sum("n").alias("n")).select(F.lit(s).alias("support"), "*")
+        out = one if out is None else out.unionByName(one)
+    shares = out.join(F.broadcast(whole), "col_name").select("support", "col_name", (F.col("items") / F.col("parts")).alias("items"), (F.col("n") / F.col("whole")).alias("covered"))
+    return rounded(shares, 6)
+
+
+def _bitmap_caps_sql() -> str:
+    from coarsesample.plans.registry import counts_sql
+
+    return f"""WITH {LINES}, hh AS (SELECT part_id, value, n FROM ({counts_sql(['l_quantity'], 'DOUBLE')}) QUALIFY n >= 0.01 * sum(n) OVER (PARTITION BY part_id)), g AS (SELECT value, sum(n) AS n, row_number() OVER (ORDER BY sum(n) DESC, value) AS place FROM hh GROUP BY value)
+ SELECT cap, count(*) AS bits, round(sum(n) / (SELECT sum(n) FROM g)::DOUBLE, 6) AS covered FROM g, (VALUES (5), (10), (25), (50)) t(cap) WHERE place <= cap GROUP BY cap"""
+
+
+@register("v9_bitmap_caps", _bitmap_caps_sql())
+def v9_bitmap_caps(spark: SparkSession, d: str) -> DataFrame:
+    """Share of the heavy hitters' rows that the occurrence bitmap can name, by its cap."""
+    from coarsesample.operators import sketches as S
+    from coarsesample.runtime import materialize
+
+    hh, out = materialize(S.heavy_hitters(S.value_counts(lines(spark, d), ["l_quantity"], "double")), "hitters"), None
+    for cap in (5, 10, 25, 50):
+        one = S.global_heavy_hitters(hh, cap).agg(F.lit(cap).alias("cap"), F.count(F.lit(1)).alias("bits"), F.sum("n").alias("n"))
+        out = one if out is None else out.unionByName(one)
+    whole = hh.agg(F.sum("n").alias("whole"))
+    return rounded(out.crossJoin(F.broadcast(whole)).select("cap", "bits", (F.col("n") / F.col("whole")).alias("covered")), 6)
