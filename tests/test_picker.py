@@ -261,3 +261,27 @@ def test_experiments_use_all_training_queries(spark, monkeypatch):
     assert of(experiments.trained)["selection_queries"] == 40 and 0.01 in experiments.BUDGETS
     p, *_, train = experiments.trained(spark, "/root/testdata/sf0.001", "events", "user", 10, n_train=30, n_test=3)
     assert asked == [len(train[0])] and asked[0] > 16 and len(p.models) == 4
+
+
+def test_answers_stay_in_a_table(spark, monkeypatch):
+    """Answers by group never come to the driver, and measured in tasks they equal those of the driver's form."""
+    from coarsesample.plans import experiments, training
+    from coarsesample.plans.query import Agg, Clause, QuerySpec
+
+    rng = np.random.default_rng(6)
+    rows = [(int(rng.integers(0, 9)), rng.choice(["a", "None", None]), float(rng.normal()), int(rng.integers(0, 5))) for _ in range(400)]
+    df = spark.createDataFrame(rows, "part_id int, g string, x double, k int").cache()
+    queries = [QuerySpec((Agg("sum", "x", "s"), Agg("avg", "x", "m")), w, by) for by in ((), ("g",)) for w in (None, Clause("k", ">", 9.0), Clause("k", ">", 2.0))]
+    parts = np.arange(9)
+    table = training.answers_table(df, queries, parts)
+    assert table.ids == [0, 2, 3, 5] and table.rows().columns == ["query", "packed"]
+    for r in table.rows().collect():
+        q = queries[r["query"]]
+        got, (want,) = training.Answers.unpack(q, parts, bytes(r["packed"])), training.batch_partials(df, [q])
+        assert got.n_groups == (3 if q.group_by else 1) and got.rows.sum() == want["n_rows"].sum()
+        assert got.errors([(int(p), 1.0) for p in parts])["rel"] == pytest.approx(0)
+        if want.notna().all(axis=None):
+            assert got.contribution() == pytest.approx(training.Answers(q, want, parts).contribution())
+    monkeypatch.setattr(training, "batch_partials", None)
+    answers = experiments.trained(spark, "/root/testdata/sf0.001", "events", "user", 10, n_train=30, n_test=3)[2]
+    assert isinstance(answers, training.AnswerTable)
