@@ -51,8 +51,12 @@ def windowed(stream: DataFrame, length: str, slide: str | None = None) -> DataFr
 
 
 def sessions(stream: DataFrame, gap: str) -> DataFrame:
-    """A user's runs of events with no pause of ``gap``."""
-    agg = stream.withWatermark("at", "1 hour").groupBy("user_id", F.session_window("at", gap).alias("w")).agg(F.count(F.lit(1)).alias("n"), F.sum("value").alias("total"))
+    """A user's runs of events with no pause of ``gap`` or more, for complete mode.
+
+    Spark joins an event that begins just where a session ends, so a session ends a microsecond before
+    the gap. Complete mode keeps every session; a watermark would only drop rows of later files behind it.
+    """
+    agg = stream.groupBy("user_id", F.session_window("at", f"{gap} -1 microseconds").alias("w")).agg(F.count(F.lit(1)).alias("n"), F.sum("value").alias("total"))
     return agg.select("user_id", F.unix_timestamp("w.start").alias("start"), "n", "total")
 
 

@@ -89,3 +89,21 @@ def test_llm_can_be_deleted(tmp_path):
 @pytest.mark.parametrize("name", ["o06_project", "o24_ranking", "o25_analytic", "o30_math"])
 def test_every_row_of_lineitem(spark, name):
     assert QUERIES[name](spark, TINY).count() == spark.read.parquet(f"{TINY}/lineitem.parquet").count()
+
+
+def test_sessions_of_exact_gaps_and_unordered_files(spark, tmp_path):
+    """A pause of just the gap ends a session, and rows of an earlier time in a later file count."""
+    import datetime
+    import os
+
+    at = datetime.datetime(2024, 1, 9)
+    rows = [(0, 7), (7200, 7), (14399, 7), (90, 8)]
+    schema = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
+    for n, some in enumerate(([(400_000, 9)], rows)):
+        events = [(i, at + datetime.timedelta(seconds=s), u, "view", 1.0, "{}") for i, (s, u) in enumerate(some)]
+        spark.createDataFrame(events, schema).coalesce(1).write.mode("append").parquet(f"{tmp_path}/events.parquet")
+        for f in (tmp_path / "events.parquet").glob("*.parquet"):
+            if f.stat().st_mtime > 1e6:
+                os.utime(f, (1000 * (n + 1), 1000 * (n + 1)))
+    got = {(r["user_id"], r["n"]) for r in QUERIES["s4_sessions"](spark, str(tmp_path)).collect()}
+    assert got == {(7, 1), (7, 2), (8, 1), (9, 1)}
