@@ -91,6 +91,12 @@ def test_every_row_of_lineitem(spark, name):
     assert QUERIES[name](spark, TINY).count() == spark.read.parquet(f"{TINY}/lineitem.parquet").count()
 
 
+@pytest.mark.parametrize("name", ["c15_blocks_closed_form"])
+def test_needs_its_table(spark, tmp_path, name):
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        QUERIES[name](spark, str(tmp_path)).collect()
+
+
 def test_sessions_of_exact_gaps_and_unordered_files(spark, tmp_path):
     """A pause of just the gap ends a session, and rows of an earlier time in a later file count."""
     import datetime
