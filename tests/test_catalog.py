@@ -91,7 +91,7 @@ def test_every_row_of_lineitem(spark, name):
     assert QUERIES[name](spark, TINY).count() == spark.read.parquet(f"{TINY}/lineitem.parquet").count()
 
 
-@pytest.mark.parametrize("name", ["c15_blocks_closed_form", "m4_allocate", "m4_cutoffs"])
+@pytest.mark.parametrize("name", ["c15_blocks_closed_form", "m4_allocate", "m4_cutoffs", "m5_validate"])
 def test_needs_its_table(spark, tmp_path, name):
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
         QUERIES[name](spark, str(tmp_path)).collect()
