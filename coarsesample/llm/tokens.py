@@ -1,7 +1,8 @@
 """Token ids of the public ``tokenizers`` vocabularies, encoded once per distinct piece of text.
 
 Both vocabularies treat white space as a hard border, so a text's ids are the ids of its pieces in
-order. Each worker keeps the ids of frequent pieces; a piece that is new goes through the library.
+order. Each worker keeps the ids of the pieces that it met first, among them the frequent ones, up to a
+limit of some 40 MB; any other piece goes through the library each time.
 Texts with the separators U+001C to U+001F, which Python and the library class differently, are
 encoded whole.
 """
@@ -108,7 +109,7 @@ class _SpacedPieces(_Pieces):
 class PieceEncoder:
     """Encodes texts to ids. ``spaces`` says whether the vocabulary keeps white space (byte level) or drops it."""
 
-    def __init__(self, vocabulary: str, spaces: bool, limit: int = 700_000):
+    def __init__(self, vocabulary: str, spaces: bool, limit: int = 200_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 

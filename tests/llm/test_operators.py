@@ -719,3 +719,16 @@ def test_pipeline_odd(spark, odd, tmp_path):
             d = stage(spark, d, str(tmp_path))
             assert d.columns == odd.columns
         assert p.STAGES[-1][1](spark, d, str(tmp_path)).count() >= 0
+
+
+def test_worker_keeps_few_pieces(spark):
+    """A worker's cache is bounded well below its share of an executor, and its size changes no ids."""
+    import inspect
+
+    from coarsesample.llm import tokens
+
+    assert inspect.signature(tokens.PieceEncoder).parameters["limit"].default <= 200_000
+    texts = [r["text"] for r in spark.read.parquet(f"{TINY}/documents.parquet").select("text").limit(40).collect()]
+    for name, spaces in (("byte_bpe_50k.json", True), ("word_bpe_49k.json", False)):
+        small, large = tokens.PieceEncoder(name, spaces, 10), tokens.PieceEncoder(name, spaces)
+        assert [small.ids_bytes(t) for t in texts] == [large.ids_bytes(t) for t in texts] and len(small._pieces) == 10
