@@ -1,8 +1,8 @@
 """Token ids of the public ``tokenizers`` vocabularies, encoded once per distinct piece of text.
 
 Both vocabularies treat white space as a hard border, so a text's ids are the ids of its pieces in
-order. Each worker keeps the ids of the pieces that it met first, among them the frequent ones, up to a
-limit of some 40 MB; any other piece goes through the library each time.
+order. Each worker keeps the ids of the pieces that it was first to meet twice, among them the frequent
+ones, up to a limit of some 40 MB; any other piece goes through the library each time.
 Texts with the separators U+001C to U+001F, which Python and the library class differently, are
 encoded whole.
 """
@@ -13,11 +13,12 @@ import os
 import re
 import unicodedata
 from array import array
+from itertools import islice
 
 from coarsesample.llm import worker
 
 END_ID = 1
-_ODD = re.compile("[\x1c-\x1f]")
+_ODD = "\x1c\x1d\x1e\x1f"
 _SPACE = re.compile(r"\s")
 _CLOSING = ".,!?;:#$%&*|-\"()"
 _SPACED = re.compile(r"\s+(?!\S)| ?\S+|\s")
@@ -40,29 +41,45 @@ def _byte_letters() -> dict[int, str]:
 
 
 _LETTERS = _byte_letters()
+_SPACE_LETTER = _LETTERS[32]
 _LATIN_END = "\u0250"
 
 
 class _Pieces(dict):
     """Piece to its ids as little-endian 32-bit bytes; stops growing at ``limit`` entries.
 
+    A piece is kept when it comes again, so that the many that come once take no entry; ``seen`` has a
+    byte for each hash.
+
     A new piece that is letters and closing punctuation is the ids of both, since every vocabulary
     here cuts between letters and other signs; so the library sees each stem once.
     """
 
     def __init__(self, tokenizer, limit: int, folds: bool):
         super().__init__()
-        self.tokenizer, self.limit, self.folds, self.model = tokenizer, limit, folds, tokenizer.model
+        self.tokenizer, self.limit, self.folds, self.tokenize = tokenizer, limit, folds, tokenizer.model.tokenize
+        self.seen = bytearray(1 << 22)
+
+    def keep(self, piece: str, ids: bytes) -> bytes:
+        if len(self) < self.limit and len(piece) < 64:
+            at = hash(piece) & 0x3FFFFF
+            if self.seen[at]:
+                self[piece] = ids
+            self.seen[at] = 1
+        return ids
 
     def encode(self, text: str) -> bytes:
         return array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
 
     def letters(self, word: str, before: str = "") -> bytes:
-        """Ids of a word of Latin letters: one pre-token, so the vocabulary's model takes it as it is."""
+        """Ids of a word of Latin letters: one pre-token, so the vocabulary's model takes it as it is.
+
+        ``before`` is in the byte-level alphabet, where ASCII letters stand for themselves.
+        """
         if self.folds:
             word = word.lower()
-        mapped = (before + word).encode().decode("latin-1").translate(_LETTERS)
-        return array("I", [t.id for t in self.model.tokenize(mapped)]).tobytes()
+        mapped = before + (word if word.isascii() else word.encode().decode("latin-1").translate(_LETTERS))
+        return array("I", [t.id for t in self.tokenize(mapped)]).tobytes()
 
     def __missing__(self, piece: str) -> bytes:
         stem = piece.rstrip(_CLOSING)
@@ -72,9 +89,7 @@ class _Pieces(dict):
             ids = self[piece.lower()]
         else:
             ids = self.novel(piece)
-        if len(self) < self.limit and len(piece) < 64:
-            self[piece] = ids
-        return ids
+        return self.keep(piece, ids)
 
     def tail(self, signs: str) -> bytes:
         return self[signs]
@@ -92,12 +107,17 @@ class _SpacedPieces(_Pieces):
         super().__init__(tokenizer, limit, False)
         self.bare = _Pieces(tokenizer, 50_000, False)
 
+    def __missing__(self, piece: str) -> bytes:
+        if not (piece.isascii() and piece.isalpha()):
+            return super().__missing__(piece)
+        return self.keep(piece, array("I", [t.id for t in self.tokenize(_SPACE_LETTER + piece)]).tobytes())
+
     def tail(self, signs: str) -> bytes:
         return self.bare[signs]
 
     def novel(self, piece: str) -> bytes:
         if piece.isalpha() and max(piece) < _LATIN_END:
-            return self.letters(piece, " ")
+            return self.letters(piece, _SPACE_LETTER)
         if _SPACE.search(piece) or not piece:
             return self.join(_SPACED.findall(" " + piece))
         return self.encode(" " + piece)
@@ -123,14 +143,14 @@ class PieceEncoder:
         if not text:
             return b""
         pieces = self._pieces
-        if _ODD.search(text):
+        if any(c in text for c in _ODD):
             return pieces.encode(text)
         if not self.spaces:
             return b"".join(map(pieces.__getitem__, text.split()))
-        first, *rest = text.split(" ")
-        if not first or "" in rest:
+        if text[0] == " " or text[-1] == " " or "  " in text:
             return pieces.join(_SPACED.findall(text))
-        return pieces.join(_SPACED.findall(first)) + b"".join(map(pieces.__getitem__, rest))
+        words = text.split(" ")
+        return pieces.join(_SPACED.findall(words[0])) + b"".join(map(pieces.__getitem__, islice(words, 1, None)))
 
 
 END_BYTES = array("I", [END_ID]).tobytes()

@@ -732,3 +732,14 @@ def test_worker_keeps_few_pieces(spark):
     for name, spaces in (("byte_bpe_50k.json", True), ("word_bpe_49k.json", False)):
         small, large = tokens.PieceEncoder(name, spaces, 10), tokens.PieceEncoder(name, spaces)
         assert [small.ids_bytes(t) for t in texts] == [large.ids_bytes(t) for t in texts] and len(small._pieces) == 10
+
+
+def test_pieces_are_kept_from_their_second_time_on():
+    from coarsesample.llm.tokens import _SPACE_LETTER, PieceEncoder
+
+    coder = PieceEncoder("byte_bpe_50k.json", True, 2)
+    pieces = coder._pieces
+    assert pieces.letters("word", _SPACE_LETTER) == pieces["word"] == pieces.encode(" word")
+    assert not pieces and pieces["word"] and list(pieces) == ["word"]  # kept when it comes again
+    for text in ("", " ", "a b", "a b ", " a b", "a  b", "Word, (other) words\n\nwords caf\u00e9", "a\x1cb c", "x" * 70 + " y"):
+        assert coder.ids_bytes(text) == pieces.encode(text)
