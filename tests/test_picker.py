@@ -285,3 +285,15 @@ def test_answers_stay_in_a_table(spark, monkeypatch):
     monkeypatch.setattr(training, "batch_partials", None)
     answers = experiments.trained(spark, "/root/testdata/sf0.001", "events", "user", 10, n_train=30, n_test=3)[2]
     assert isinstance(answers, training.AnswerTable)
+
+
+def test_whole_scans_read_few_files(spark):
+    """Training and exact answers over all partitions don't open a file for each."""
+    from conftest import TINY
+
+    from coarsesample.plans.training import prepare
+
+    p = prepare(spark, TINY, "events", "user", 60)
+    assert len(p.df.inputFiles()) == 60 and len(p.flat.inputFiles()) <= 8
+    assert p.flat.select(p.df.columns).exceptAll(p.df).isEmpty() and p.flat.count() == p.df.count()
+    assert p.flat.groupBy("part_id").count().count() == 60 and p.light().flat is None
