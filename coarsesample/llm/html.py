@@ -14,10 +14,14 @@ them where no container vouches for a text, and ``main_share`` and ``main_fewest
 articles quote each other, and the extraction may drop nothing but boilerplate. A page is known by its
 blocks, so copies of it under other ids or addresses count once.
 
-An array takes about ``group_bytes`` of html at most. A host beyond that is cut into slices of pages by
-a hash, each with an array of its own, which sees the host's boilerplate as well as the whole host
-would, since shares are what counts. So no host makes a task, and all tasks get like amounts. One
-shuffle of the pages by host and slice; nothing else leaves a task but the result.
+An array takes pages of about ``group_bytes`` of html at most. A host beyond that is cut into slices
+by a hash of the pages' blocks, each with an array of its own, and counts of a run in all slices are
+added, so that the result is that of one array over the whole host. A run that reaches a share of the
+host's pages reaches it in some slice at least, so a slice reports those runs only. Where some slices
+have not reported a run that could still be repeated, it is counted in all of them.
+
+Pages are parsed where they lie, and one shuffle takes their blocks to the arrays, once for copies in
+the same task. Repeated runs go to the pages of their hosts alone; hosts without any need no shuffle.
 
 Defined results: null or empty html gives an empty text; broken or unclosed markup is closed at the
 end of its parent; pages of equal blocks are one page to the array and each get their result; null
@@ -26,17 +30,19 @@ urls share one host; an empty table gives an empty result. Only page_id, url and
 
 from __future__ import annotations
 
+import hashlib
 import html
 import math
 import re
 from collections import Counter
+from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from coarsesample.runtime import broadcast_if_small
+from coarsesample.runtime import broadcast_if_small, materialize
 
 # Elements of HTML by their part in a page.
 RAW = "script style noscript template textarea iframe svg math canvas object select"
@@ -210,60 +216,150 @@ def pages_sharing(symbols: np.ndarray, page: np.ndarray, run: int) -> np.ndarray
     return out
 
 
-def unique_texts(pages: list[str | None], run: int, share: float, fewest: int, main_share: float, main_fewest: int) -> list[str]:
-    """Texts of one array's pages, without the runs that enough of them repeat."""
-    seat: dict[tuple, int] = {}
-    at = []
-    for page in pages:
-        has_main, blocks = candidates(page)
-        at.append(seat.setdefault((has_main, tuple(map(tuple, blocks))), len(seat)))
-    distinct = list(seat)
-    least = [max(main_fewest, math.ceil(main_share * len(distinct))) if m else max(fewest, math.ceil(share * len(distinct))) for m, _ in distinct]
-    if len(distinct) < min(least, default=0):
-        texts = [" ".join(t for b in blocks for t in b) for _, blocks in distinct]
-        return [texts[i] for i in at]
+def repeats(distinct: list[tuple], run: int, least: int) -> dict[str, int]:
+    """Runs of ``run`` tokens, and whole shorter blocks, that ``least`` of the distinct pages hold, and how many do."""
     whole = Counter(b for _, blocks in distinct for b in {b for b in blocks if len(b) < run})
+    out = {" ".join(b): n for b, n in whole.items() if n >= least}
     known: dict[str, int] = {}
-    symbols, owner, ends = [], [], 0
+    symbols, tokens, owner, ends = [], [], [], 0
     for i, (_, blocks) in enumerate(distinct):
         for b in blocks:
             if len(b) >= run:
                 ends += 1
                 symbols += [known.setdefault(t, len(known)) for t in b]
                 symbols.append(-ends)
+                tokens += [*b, ""]
                 owner += [i] * (len(b) + 1)
-    page = np.array(owner, np.int64)
-    found = np.flatnonzero(pages_sharing(np.array(symbols, np.int64), page, run) >= np.array(least, np.int64)[page]) if symbols else np.zeros(0, np.int64)
-    step = np.zeros(len(symbols) + 1, np.int64)
-    np.add.at(step, found, 1)
-    np.add.at(step, found + run, -1)
-    covered = np.cumsum(step)[:-1] > 0
-    texts, place = [], 0
-    for i, (_, blocks) in enumerate(distinct):
-        kept: list[str] = []
-        for b in blocks:
-            if len(b) < run:
-                kept += b if whole[b] < least[i] else ()
-            else:
-                gone = covered[place : place + len(b)]
-                kept += b if not gone.any() else [t for t, g in zip(b, gone, strict=True) if not g]
-                place += len(b) + 1
-        texts.append(" ".join(kept))
+    if symbols:
+        held, ending = pages_sharing(np.array(symbols, np.int64), np.array(owner, np.int64), run), np.append(0, np.cumsum(np.array(symbols) < 0))
+        starts = np.flatnonzero(held >= least)
+        starts = starts[starts + run <= len(symbols)]
+        for i in starts[ending[starts + run] == ending[starts]]:
+            out[" ".join(tokens[i : i + run])] = int(held[i])
+    return out
+
+
+def runs_of(block: tuple | list, run: int) -> list[str]:
+    """What repeats() may name of a block: its runs, or itself if it is shorter."""
+    return [" ".join(block[i : i + run]) for i in range(max(1, len(block) - run + 1))]
+
+
+def without(blocks: tuple | list, gone: set[str], run: int) -> str:
+    """Text of blocks without the tokens of the runs in ``gone``."""
+    kept: list[str] = []
+    for b in blocks:
+        step = np.zeros(len(b) + 1, int)
+        for i, text in enumerate(runs_of(b, run)):
+            if text in gone:
+                step[i] += 1
+                step[min(i + run, len(b))] -= 1
+        covered = np.cumsum(step)[:-1] > 0
+        kept += [t for t, c in zip(b, covered, strict=True) if not c] if covered.any() else b
+    return " ".join(kept)
+
+
+def unique_texts(pages: list[str | None], run: int, share: float, fewest: int, main_share: float, main_fewest: int) -> list[str]:
+    """Texts of one array's pages, without the runs that enough of them repeat."""
+    seat: dict[tuple, int] = {}
+    at = []
+    for page in pages:
+        has_main, blocks = candidates(page)
+        at.append(seat.setdefault((has_main, tuple(map(tuple, blocks))), len(seat)))
+    distinct = list(seat)
+    least = {m: max(main_fewest, math.ceil(main_share * len(distinct))) if m else max(fewest, math.ceil(share * len(distinct))) for m in {m for m, _ in distinct}}
+    found = repeats(distinct, run, min(least.values(), default=1))
+    gone = {m: {text for text, n in found.items() if n >= most} for m, most in least.items()}
+    texts = [without(blocks, gone[m], run) for m, blocks in distinct]
     return [texts[i] for i in at]
 
 
+def coded(page: str | None) -> str:
+    """What the markup leaves of a page as one string: m with a container, else p, then a line a block."""
+    has_main, blocks = candidates(page)
+    return ("m" if has_main else "p") + "\n".join(map(" ".join, blocks))
+
+
+def decoded(code: str) -> tuple[bool, tuple]:
+    return code[0] == "m", tuple(tuple(b.split(" ")) for b in code[1:].split("\n") if b)
+
+
 def extract(pages: DataFrame, run: int = 12, share: float = 0.5, fewest: int = 3, main_share: float = 0.8, main_fewest: int = 10, group_bytes: int = 2_000_000) -> DataFrame:
     """page_id, url, text, n_chars of every page."""
     given = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", "html", F.coalesce(F.lower(F.regexp_extract("url", _HOST, 1)), F.lit("")).alias("host"))
     weight = F.coalesce(F.octet_length("html"), F.lit(0)) + F.lit(256)
     sizes = given.groupBy("host").agg(F.sum(weight).alias("bytes"))
     large = broadcast_if_small(sizes.where(F.col("bytes") > group_bytes).select("host", F.ceil(F.col("bytes") / group_bytes).alias("slices")))
-    sliced = given.join(large, "host", "left").withColumn("slice", F.pmod(F.xxhash64("page_id", F.monotonically_increasing_id()), F.coalesce("slices", F.lit(1))))
-    dealt = sliced.select(F.col("page_id").cast("string").alias("page_id"), "url", "html", "host", "slice")
-
-    def texts(group: pd.DataFrame) -> pd.DataFrame:
-        found = unique_texts(group["html"].tolist(), run, share, fewest, main_share, main_fewest)
-        return pd.DataFrame({"page_id": group["page_id"], "url": group["url"], "text": found})
-
-    found = dealt.groupBy("host", "slice").applyInPandas(texts, "page_id string, url string, text string")
-    return found.select(F.col("page_id").cast("long").alias("page_id"), "url", "text", F.char_length("text").cast("long").alias("n_chars"))
+    slices = F.coalesce("slices", F.lit(1))
+
+    def first_seen(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        seen: set = set()
+        for batch in batches:
+            new = []
+            for host, page in zip(batch["host"], batch["html"], strict=True):
+                code = coded(page)
+                key = host, hashlib.blake2b(code.encode(), digest_size=16).digest()
+                if key not in seen:
+                    seen.add(key)
+                    new.append((host, code))
+            yield pd.DataFrame(new, columns=["host", "code"])
+
+    def reports(group: pd.DataFrame) -> pd.DataFrame:
+        distinct = list(map(decoded, group["code"].unique()))
+        n, mains = len(distinct), sum(m for m, _ in distinct)
+        if group["slices"].iloc[0] > 1:
+            least = max(1, math.ceil(min(share, main_share) * n - 1e-9))
+        else:
+            least = min([max(main_fewest, math.ceil(main_share * n))] * (mains > 0) + [max(fewest, math.ceil(share * n))] * (mains < n))
+        found = repeats(distinct, run, least) if least <= n else {}
+        head = [(None, n)] + list(found.items())
+        out = pd.DataFrame({"item": [i for i, _ in head], "held": [h for _, h in head]})
+        return out.assign(host=group["host"].iloc[0], slice=group["slice"].iloc[0], slices=group["slices"].iloc[0], n=n, mains=mains)
+
+    def recount(group: pd.DataFrame, asked: pd.DataFrame) -> pd.DataFrame:
+        wanted, held = set(asked["item"]), Counter()
+        for code in group["code"].unique() if wanted else ():
+            held.update({text for b in decoded(code)[1] for text in runs_of(b, run) if text in wanted})
+        return pd.DataFrame([(group["host"].iloc[0], *x) for x in held.items()], columns=["host", "item", "held"])
+
+    def removed(group: pd.DataFrame, found: pd.DataFrame) -> pd.DataFrame:
+        gone = {m: set(found["item"][found["held"] >= found["main_least" if m else "least"]]) for m in (True, False)}
+        texts = [without(blocks, gone[m], run) for m, blocks in map(decoded, group["code"])]
+        return pd.DataFrame(list(zip(group["page_id"], group["url"], texts, strict=True)), columns=["page_id", "url", "text"])
+
+    codes = given.select("host", "html").mapInPandas(first_seen, "host string, code string")
+    dealt = codes.join(large, "host", "left").select("host", "code", slices.alias("slices")).withColumn("slice", F.pmod(F.xxhash64("code"), "slices"))
+    found = materialize(dealt.groupBy("host", "slice").applyInPandas(reports, "host string, slice long, slices long, n long, mains long, item string, held long"), "repeats")
+
+    each = found.where("item is null")
+    least, main_least = (F.greatest(F.lit(f), F.ceil(F.lit(float(s)) * F.col("pages"))) for s, f in ((share, fewest), (main_share, main_fewest)))
+    hosts = each.groupBy("host").agg(F.sum("n").alias("pages"), F.sum("mains").alias("mains"), F.count("n").alias("parts")).select("*", least.alias("least"), main_least.alias("main_least"))
+    hosts = hosts.withColumn("lowest", F.least(F.when(F.col("mains") > 0, F.col("main_least")), F.when(F.col("mains") < F.col("pages"), F.col("least"))))
+    known = found.where("item is not null").groupBy("host", "item").agg(F.sum("held").alias("held"), F.sum("n").alias("seen"), F.count("n").alias("reports")).join(hosts, "host")
+    more = F.when(F.col("reports") < F.col("parts"), F.lit(float(min(share, main_share))) * (F.col("pages") - F.col("seen")) + 1e-6).otherwise(0.0)
+    known = materialize(known.where(F.col("held") + more >= F.col("lowest")), "known")
+    open_items = known.where("reports < parts").select("host", "item")
+    final = known.select("host", "item", "held", "least", "main_least", "lowest")
+    if open_items.limit(1).count():
+        asked = open_items.join(each.select("host", "slice"), "host")
+        own = dealt.join(broadcast_if_small(open_items.select("host").distinct()), "host", "left_semi")
+        again = own.groupBy("host", "slice").cogroup(asked.groupBy("host", "slice")).applyInPandas(recount, "host string, item string, held long")
+        exact = again.groupBy("host", "item").agg(F.sum("held").alias("exact"))
+        final = final.join(exact, ["host", "item"], "left").withColumn("held", F.coalesce("exact", "held")).where("held >= lowest")
+        final = materialize(final.drop("exact"), "repeated")
+
+    @F.pandas_udf("string")
+    def code(pages: pd.Series) -> pd.Series:
+        return pd.Series([coded(page) for page in pages], dtype=object)
+
+    all_pages = given.select("page_id", "url", "host", code("html").alias("code"))
+    plain, text = all_pages, F.translate(F.substring("code", 2, 2**31 - 1), "\n", " ")
+    out = None
+    if final.limit(1).count():
+        marked = broadcast_if_small(final.select("host").distinct())
+        plain = all_pages.join(marked, "host", "left_anti")
+        placed = all_pages.join(marked, "host", "left_semi").join(large, "host", "left").withColumn("slice", F.pmod(F.xxhash64("page_id", F.monotonically_increasing_id()), slices))
+        lists = final.join(large, "host", "left").withColumn("slice", F.explode(F.sequence(F.lit(0).cast("long"), slices - 1)))
+        given_back = placed.select(F.col("page_id").cast("string").alias("page_id"), "url", "host", "code", "slice").groupBy("host", "slice").cogroup(lists.groupBy("host", "slice"))
+        out = given_back.applyInPandas(removed, "page_id string, url string, text string").select(F.col("page_id").cast("long").alias("page_id"), "url", "text")
+    rest = plain.select("page_id", "url", text.alias("text"))
+    return (rest if out is None else rest.unionByName(out)).select("page_id", "url", "text", F.char_length("text").cast("long").alias("n_chars"))

@@ -393,6 +393,23 @@ def test_large_hosts_are_cut_into_slices(spark):
     assert got == {i: " ".join(f"o{i}y{j}" for j in range(30)) for i in range(300)}
 
 
+def test_slices_of_a_host_change_nothing(spark):
+    rng = random.Random(3)
+    said = {k: " ".join(f"s{k}x{i}" for i in range(5 if k % 4 == 0 else 20)) for k in range(20, 60)}
+    rows = []
+    for i in range(60):
+        own = " ".join(f"o{i}y{j}" for j in range(rng.choice([8, 60])))
+        lines = [own, *(text for k, text in said.items() if rng.random() < k / 60 or k == 59)]
+        inner = "".join(f"<p>{x}</p>" for x in lines)
+        rows.append((i, "http://b.example/x", f"<article>{inner}</article>" if i % 3 else f"<div>{inner}</div>"))
+    rows += [(100 + i, "http://b.example/copy", rows[i % 7][2]) for i in range(50)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string").repartition(4)
+    kept = lambda n: {r["page_id"]: r["text"] for r in html.extract(df, group_bytes=n).collect()}
+    whole = kept(10**9)
+    assert list(whole.values()) != [] and whole == dict(zip([r[0] for r in rows], html.unique_texts([r[2] for r in rows], 12, 0.5, 3, 0.8, 10), strict=True))
+    assert kept(20_000) == whole and kept(3_000) == whole
+
+
 def test_a_container_loses_what_most_pages_repeat(spark):
     line, quote = "sign up for our letter", " ".join(f"q{i}" for i in range(15))
     rows = [(i, "http://c.example/x", f"<article><p>own {i} text</p><p>{line}</p>{f'<p>{quote}</p>' if i % 2 else ''}</article>") for i in range(12)]
