@@ -297,3 +297,16 @@ def test_whole_scans_read_few_files(spark):
     assert len(p.df.inputFiles()) == 60 and len(p.flat.inputFiles()) <= 8
     assert p.flat.select(p.df.columns).exceptAll(p.df).isEmpty() and p.flat.count() == p.df.count()
     assert p.flat.groupBy("part_id").count().count() == 60 and p.light().flat is None
+
+
+def test_driver_is_settled_between_jobs(spark, monkeypatch):
+    from coarsesample.plans import training
+    from coarsesample.plans.query import Agg, Clause, QuerySpec
+
+    df = spark.range(200).selectExpr("cast(id % 8 as int) AS part_id", "cast(id AS double) AS x")
+    queries, parts = [QuerySpec((Agg("sum", "x", "s"),), Clause("x", ">", float(i))) for i in range(10)], np.arange(8)
+    want, calls, real = training.contributions_of(df, queries, parts), [], training.settle
+    monkeypatch.setattr(training, "QUERIES_A_JOB", 1)
+    monkeypatch.setattr(training, "settle", lambda s: (calls.append(s), real(s)))
+    assert np.allclose(training.contributions_of(df, queries, parts), want) and len(calls) == 2
+    assert len(training.answers_table(df, queries, parts)) == 10 and len(calls) == 4
