@@ -310,3 +310,37 @@ def test_driver_is_settled_between_jobs(spark, monkeypatch):
     monkeypatch.setattr(training, "settle", lambda s: (calls.append(s), real(s)))
     assert np.allclose(training.contributions_of(df, queries, parts), want) and len(calls) == 2
     assert len(training.answers_table(df, queries, parts)) == 10 and len(calls) == 4
+
+
+def test_many_queries_share_a_scan(spark, monkeypatch):
+    """Partial answers of all queries come from a fixed number of jobs, and equal those of SQL, odd values and cut partitions included."""
+    import datetime
+
+    from coarsesample.plans import partials, training
+    from coarsesample.plans.query import Agg, And, Clause, In, Like, Not, Or, QuerySpec
+
+    rng = np.random.default_rng(8)
+    pick = lambda *v: v[int(rng.integers(0, len(v)))]
+    day = datetime.date(2020, 1, 1)
+    rows = [(i // 70, pick("a", "b%", "é\n", "", "null", None), pick(0.0, -0.0, 1.5, None), pick(float("nan"), -2.0, 3.0, None), pick(2**53, 2**53 + 1, 5, None), pick(1.0, 2.5, None), pick(day, None)) for i in range(700)]
+    df = spark.createDataFrame(rows, "part_id int, g string, h double, x double, k long, v double, d date").repartition(3).cache()
+    leaves = [Clause("g", "<>", "a"), In("g", ("a", "")), In("g", ("null", "b%"), True), Like("g", "%\n"), Like("g", "_%", True), Clause("x", ">", 2.0), Clause("x", "<=", 3.0), Clause("k", ">", float(2**53)), Clause("k", "<", 5.5), In("h", (0.0, 1.5), True), Clause("d", "=", "2020-01-01"), Like("g", "b\\%")]
+    trees = [None, *leaves, Not(leaves[0]), And(tuple(leaves[1:3])), Or((leaves[2], leaves[5])), Not(And((leaves[5], leaves[2]))), And((Or((leaves[0], leaves[7])), leaves[9]))]
+    aggs = (Agg("sum", "v * 2", "s"), Agg("avg", "v", "m"), Agg("count", "*", "n", leaves[5]), Agg("count", "v", "c"))
+    queries = [QuerySpec(aggs[: 1 + i % 4], t, by) for i, t in enumerate(trees) for by in ((), ("g",), ("g", "h"), ("d",))]
+    parts = np.arange(10)
+    want = [training.Answers(q, t, parts) for q, t in zip(queries, training.batch_partials(df, queries), strict=True)]
+    monkeypatch.setattr(partials, "BLOCK_ROWS", 50)
+    spark.sparkContext.setJobGroup("one scan", "one scan")
+    shares, table = training.contributions_of(df, queries, parts), training.answers_table(df, queries, parts)
+    spark.sparkContext.setJobGroup("", "")
+    assert len(spark.sparkContext.statusTracker().getJobIdsForGroup("one scan")) < len(queries) // 4
+    for q, c, w in zip(queries, shares, want, strict=True):
+        assert c == pytest.approx(w.contribution()), q
+    got = {r["query"]: training.Answers.unpack(queries[r["query"]], parts, bytes(r["packed"])) for r in table.rows().collect()}
+    assert sorted(got) == [i for i, w in enumerate(want) if w.rows.sum()]
+    for i, a in got.items():
+        assert (a.rows == want[i].rows).all() and a.n_groups == want[i].n_groups, queries[i]
+        assert sorted(map(tuple, a.total.round(9))) == sorted(map(tuple, want[i].total.round(9))), queries[i]
+    monkeypatch.setattr(training, "MOST_TOTALS", 0)
+    assert np.allclose(training.contributions_of(df, queries[:8], parts), shares[:8])
