@@ -344,3 +344,20 @@ def test_many_queries_share_a_scan(spark, monkeypatch):
         assert sorted(map(tuple, a.total.round(9))) == sorted(map(tuple, want[i].total.round(9))), queries[i]
     monkeypatch.setattr(training, "MOST_TOTALS", 0)
     assert np.allclose(training.contributions_of(df, queries[:8], parts), shares[:8])
+
+
+def test_rows_that_lie_by_partition_are_not_dealt_again(spark, monkeypatch):
+    """Contributions and answers don't shuffle rows of whole partitions; a partition found in two places is still right."""
+    from coarsesample.plans import training
+    from coarsesample.plans.query import Agg, Clause, QuerySpec
+
+    rows = [(p, i % 3, float(i)) for p in (4, 1, 3, 0, 2) for i in range(50 + p)]
+    df = spark.createDataFrame(rows, "part_id int, g int, x double").coalesce(1).cache()
+    queries, parts = [QuerySpec((Agg("sum", "x", "s"), Agg("count", "*", "n")), w, ("g",)) for w in (None, Clause("x", ">", 20.0))], np.arange(5)
+    want = training.contributions_of(df, queries, parts)
+    dealt, real = [], training._by_partition
+    monkeypatch.setattr(training, "_by_partition", lambda t: (dealt.append(t), real(t))[1])
+    assert np.allclose(training.contributions_of(df, queries, parts, whole=True), want)
+    table = training.answers_table(df, queries, parts, whole=True)
+    assert not dealt and np.allclose([training.Answers.unpack(queries[r["query"]], parts, bytes(r["packed"])).contribution() for r in sorted(table.rows().collect())], want)
+    assert np.allclose(training.contributions_of(df.repartition(4), queries, parts, whole=True), want) and len(dealt) == 1

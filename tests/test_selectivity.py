@@ -116,3 +116,22 @@ def test_arrays_say_what_expressions_say(spark, build):
         guess, most = arrays[x.col].bounds(x)
         assert np.nan_to_num(guess) == pytest.approx(np.nan_to_num(want[f"g{i}"].to_numpy(float))), x
         assert np.nan_to_num(most) == pytest.approx(np.nan_to_num(want[f"m{i}"].to_numpy(float))), x
+
+
+@pytest.mark.parametrize("dealt", [False, True])
+def test_runs_say_what_exact_counts_say(spark, dealt):
+    """Statistics of rows that lie by partition, also where that turns out not to be so, without the sketches' aggregation."""
+    rng = random.Random(4)
+    rows = [(p, None if p == 3 or rng.random() < 0.1 else float(rng.randint(p == 2, 9) or -0.0), 1.0 + rng.random(), None if p == 4 else rng.choice(["a", "é", ""])) for p in range(6) for _ in range(40)]
+    df = spark.createDataFrame(rows, "part_id int, x double, y double, s string").coalesce(1)
+    got = X.partition_stats_onepass(df.repartition(3) if dealt else df, CFG, whole=True)
+    want = X.partition_stats(df, CFG).cache()
+    items = X.global_items(want, CFG)
+    each = [{r["part_id"]: dict(zip(X.FeatureSchema.of(CFG).names, r["f"])) for r in X.static_features(t, CFG, items).collect()} for t in (got, want)]
+    assert sorted(each[0]) == sorted(each[1]) == list(range(6))
+    for p, named in each[1].items():
+        for n, v in named.items():
+            if not n.endswith("freq_min"):
+                assert each[0][p][n] == pytest.approx(v, abs=1e-9), (p, n)
+    held = [{r["part_id"]: sorted((e["value"], e["n"]) for e in r["s__dict"] or ()) for r in t.select("part_id", "s__dict").collect()} for t in (got, want)]
+    assert held[0] == held[1]

@@ -66,3 +66,27 @@ def test_built_in_top_items(spark):
     df = spark.createDataFrame([(1, "a")] * 5 + [(1, "b")] * 3, "part_id int, s string")
     top = S.frequent_items(df, "s", 1).select(F.explode("items").alias("i")).first()["i"]
     assert top["item"] == "a" and top["count"] == 5
+
+
+def test_runs_have_bounded_state():
+    """Streamed statistics are exact up to a number of distinct values, and near beyond it."""
+    import numpy as np
+
+    from coarsesample.operators.streamed import Numbers, Texts
+
+    rng = np.random.default_rng(3)
+    x = np.concatenate([rng.random(20_000), np.full(3_000, 0.5), np.full(500, -0.25)])
+    rng.shuffle(x)
+    exact, near, ordered = Numbers(), Numbers(500), np.sort(x)
+    for at in range(0, len(x), 1_000):
+        exact.add(x[at : at + 1_000])
+        near.add(x[at : at + 1_000])
+    want = [ordered[int(np.ceil(k * len(x) / 10)) - 1] for k in range(1, 10)]
+    assert exact.cuts(10) == want and exact.distinct() == 20_002 and exact.top()[:2] == [{"item": 0.5, "count": 3_000}, {"item": -0.25, "count": 500}]
+    assert len(near.values) <= 500 and len(near.points[0]) <= 1_000 and (near.low, near.high, near.n) == (ordered[0], ordered[-1], len(x))
+    assert np.allclose(near.cuts(10), want, atol=0.05) and abs(near.distinct() - 20_002) < 2_000
+    assert near.top()[0]["item"] == 0.5 and 3_000 - len(x) / 500 <= near.top()[0]["count"] <= 3_000
+    words = Texts(50)
+    for at in range(100):
+        words.add(["a", f"w{at}"], np.array([1.0, 2.0 + at]), np.array([5, 1]))
+    assert len(words.counts) <= 50 and words.top()[0]["item"] == "a" and words.n == 600 and words.distinct() == 101
